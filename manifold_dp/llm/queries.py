@@ -2,15 +2,20 @@
 
 from __future__ import annotations
 
-from . import chat, linededup, substring
+from . import chat, html, linededup, quality, substring, tokencount, topk
 
 QUERIES = {
     "op2_line_dedup": linededup.query,
+    "op3_token_counts": tokencount.query,
     "op4_chat_format": chat.query,
+    "op6_quality": quality.query,
     "op7_substring_dedup": substring.query,
+    "op9_topk": topk.query,
+    "op10_page_text": html.query,
 }
 
 ORACLES = {
     "op2_line_dedup": linededup.ORACLE,
     "op4_chat_format": chat.ORACLE,
+    "op9_topk": topk.ORACLE,
 }
