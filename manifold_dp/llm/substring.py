@@ -35,6 +35,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -43,9 +44,9 @@ from .common import Scratch, odd_at_least, table, total_chars
 
 K = 13
 #: Windows that a task settles among themselves before it sends them.
-EMIT = 2_000_000
+EMIT = 1_000_000
 #: Expected windows of a bucket, and bytes of text of a part of the documents.
-BUCKET, PART = 500_000, 8 << 20
+BUCKET, PART = 1_000_000, 8 << 20
 
 SENT = "bucket long, kind string, part long, h binary, h2 binary, d binary, f binary"
 _SENT = pa.schema([("bucket", pa.int64()), ("kind", pa.string()), ("part", pa.int64()), *((c, pa.binary()) for c in ("h", "h2", "d", "f"))])
@@ -339,36 +340,42 @@ class FingerprintIndex:
         self.buckets = max(8, round(expected_bytes / 6.5 / BUCKET))
         self.parts = odd_at_least(expected_bytes / PART + 7)
         self.scratch = Scratch(spark)
-        self.runs: list[DataFrame] = []
-        self.tables: list[str] = []
+        self.name, self.at = f"runs_{uuid.uuid4().hex}", self.scratch.path("runs")
+        self.runs: list[int] = []
+        self.made = 0
 
-    def hits(self, batch: DataFrame) -> DataFrame:
-        """Match a batch with the index and itself, and add it to the index: rows of packed hits."""
+    def hits(self, batch: DataFrame, keep: bool = True) -> DataFrame:
+        """Match a batch with the index and itself, and add it to the index: rows of packed hits.
+
+        ``keep=False``: only match. Runs are partitions of one table bucketed by hash
+        range, so that the merge reads them in place, without a shuffle.
+        """
         ids = batch.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").cast("long"), "text")
         sent = ids.mapInArrow(_sender(self.k, self.lanes, self.bits, self.parts, self.buckets), SENT)
-        compact = len(self.runs) >= self.max_runs
+        compact = keep and len(self.runs) >= self.max_runs
         merge = _merger(self.lanes, self.parts, self.buckets, compact)
         if self.runs:
-            old = self.runs[0]
-            for r in self.runs[1:]:
-                old = old.unionByName(r)
-            both = old.select(*_SENT.names).groupBy("bucket").cogroup(sent.groupBy("bucket")).applyInArrow(merge, SENT)
+            old = self.spark.table(self.name).where((F.col("kind") == "key") & F.col("run").isin(self.runs)).select(*_SENT.names)
+            both = old.groupBy("bucket").cogroup(sent.groupBy("bucket")).applyInArrow(merge, SENT)
         else:
             both = sent.groupBy("bucket").applyInArrow(_first_run(merge), SENT)
-        name = f"runs_{uuid.uuid4().hex}"
-        at = self.scratch.path("run")
-        both.write.option("path", at).option("compression", "zstd").bucketBy(min(self.buckets, 4096), "bucket").partitionBy("kind").saveAsTable(name)
-        self.tables.append(name)
-        made = self.spark.table(name)
+        if not keep:
+            return both.where("kind = 'hit'").select("part", "h", "h2", "d", "f")
+        self.made += 1
+        out = both.withColumn("run", F.lit(self.made)).write.option("compression", "zstd").bucketBy(min(self.buckets, 4096), "bucket").partitionBy("run", "kind")
+        out.mode("append").option("path", self.at).saveAsTable(self.name)
+        self.spark.catalog.refreshTable(self.name)
         if compact:
+            for r in self.runs:
+                self.scratch.drop(f"{self.at}/run={r}/kind=key")
+                self.spark.sql(f"ALTER TABLE {self.name} DROP IF EXISTS PARTITION (run = {r}, kind = 'key')")
             self.runs = []
-        self.runs.append(made.where("kind = 'key'"))
+        self.runs.append(self.made)
         self.scratch.free()
-        return made.where("kind = 'hit'").select("part", "h", "h2", "d", "f")
+        return self.spark.table(self.name).where((F.col("kind") == "hit") & (F.col("run") == self.made)).select("part", "h", "h2", "d", "f")
 
     def drop(self) -> None:
-        for t in self.tables:
-            self.spark.sql(f"DROP TABLE IF EXISTS {t}")
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
         self.scratch.drop(self.scratch.base)
 
 
@@ -378,10 +385,10 @@ def _with_part(docs: DataFrame, parts: int) -> DataFrame:
 
 def _once(docs: DataFrame, batches: list[DataFrame], index: FingerprintIndex, want_text: bool) -> tuple[DataFrame, int]:
     found = None
-    for b in batches:
-        hits = index.hits(b)
-        found = hits if found is None else found.unionByName(hits)
     scratch = Scratch(index.spark)
+    for i, b in enumerate(batches):
+        hits = index.hits(b, keep=i + 1 < len(batches))
+        found = hits if found is None else found.unionByName(hits)
     found = scratch.keep(found, "hits")
     index.drop()
     parted = _with_part(docs, index.parts)
@@ -394,7 +401,7 @@ def _once(docs: DataFrame, batches: list[DataFrame], index: FingerprintIndex, wa
     return marked.where("kind = 'doc'").select("doc_id", "n_words", "n_removed", "text", "kept_sha256"), bad
 
 
-def dedup(docs: DataFrame, k: int = K, batches: int = 3, bits: int = 64, lanes: int = 1, max_runs: int = 8, want_text: bool = True) -> DataFrame:
+def dedup(docs: DataFrame, k: int = K, batches: int = 2, bits: int = 64, lanes: int = 1, max_runs: int = 8, want_text: bool = True) -> DataFrame:
     """``(doc_id, n_words, n_removed, text, kept_sha256)`` of every document.
 
     The documents are ingested in ``batches`` ranges of ``doc_id``, oldest first.
