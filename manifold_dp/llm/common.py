@@ -42,10 +42,14 @@ def shared_dir(spark: SparkSession) -> str:
 class Scratch:
     """Tables written to the shared folder, to cut lineage and survive lost executors."""
 
+    live: list[Scratch] = []
+
     def __init__(self, spark: SparkSession):
         self.spark = spark
         self.base = f"{shared_dir(spark)}/scratch-{uuid.uuid4().hex}"
         self.count = 0
+        self.written: list[str] = []
+        Scratch.live.append(self)
 
     def path(self, name: str) -> str:
         self.count += 1
@@ -57,6 +61,7 @@ class Scratch:
         df.write.option("compression", "zstd").parquet(at)
         out = self.spark.read.schema(df.schema).parquet(at)
         out.scratch_path = at
+        self.written.append(at)
         return out
 
     def drop(self, *tables: DataFrame | str) -> None:
@@ -67,6 +72,19 @@ class Scratch:
             at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
         self.free()
 
+    def drop_but(self, *kept: DataFrame) -> None:
+        """Delete all tables of this scratch but those."""
+        stay = {t.scratch_path for t in kept}
+        self.drop(*(t for t in self.written if t not in stay))
+        self.written = [t for t in self.written if t in stay]
+
+    @classmethod
+    def drop_all(cls) -> None:
+        """Delete every scratch table of this process, once the results that read them are written."""
+        for s in cls.live:
+            s.drop(s.base)
+        cls.live.clear()
+
     def free(self) -> None:
         """Let Spark's cleaner delete shuffle files of finished plans."""
         import gc
