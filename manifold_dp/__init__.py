@@ -1,0 +1 @@
+"""Private supervised embeddings and retrieval on Spark."""
