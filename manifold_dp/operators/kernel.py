@@ -138,15 +138,15 @@ class DenseOp(Op):
         n = -(-self.n // self.block)
         own = F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
         every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-        left = self.points.select("id", "x", own.alias("bi"), every.alias("bj"))
-        right = both.select("id", "x", "v", own.alias("bj"), every.alias("bi"))
+        left = self.points.select(F.col("id").alias("i"), F.col("x").alias("xi"), own.alias("bi"), every.alias("bj"))
+        right = both.select(F.col("id").alias("j"), F.col("x").alias("xj"), "v", own.alias("bj"), every.alias("bi"))
         sigma = self.sigma
 
         def part(key, a, b):
-            i, j = a["id"].to_numpy(), b["id"].to_numpy()
+            i, j = a["i"].to_numpy(), b["j"].to_numpy()
             if not len(i) or not len(j):
                 return pa.table([pa.array([], pa.int64()), pa.array([], pa.float64()), pa.array([], pa.list_(pa.float64()))], names=["id", "deg", "wv"])
-            w = np.exp(-square_gaps(_matrix(a["x"], len(i)), _matrix(b["x"], len(j))) / sigma)
+            w = np.exp(-square_gaps(_matrix(a["xi"], len(i)), _matrix(b["xj"], len(j))) / sigma)
             w[i[:, None] == j[None, :]] = 0.0
             return pa.table([pa.array(i), pa.array(w.sum(1)), _lists(w @ _matrix(b["v"], len(j)))], names=["id", "deg", "wv"])
 
@@ -179,7 +179,8 @@ class SparseOp(Op):
             lsh = BucketedRandomProjectionLSH(inputCol="f", outputCol="h", bucketLength=2 * radius, numHashTables=8, seed=self.seed).fit(p)
             near = lsh.approxSimilarityJoin(p, p, radius + 1e-9, "dist").where("datasetA.id <> datasetB.id")
             return near.select(F.col("datasetA.id").alias("i"), F.col("datasetB.id").alias("j"), F.exp(-F.col("dist") * F.col("dist") / self.sigma).alias("w"))
-        return self._compared(lambda w, ids: [np.flatnonzero(row >= (self.theta or 0.0)) for row in w])
+        least = self.theta or 0.0
+        return self._compared(lambda w, ids: [np.flatnonzero(row >= least) for row in w])
 
     def _knn(self) -> DataFrame:
         k = self.knn
@@ -263,7 +264,7 @@ class FeatureMapOp(Op):
                 if n:
                     f = z(_matrix(b.column(0), n))
                     total += f.T @ np.c_[_matrix(b.column(1), n), np.ones(n)]
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(r)), _lists(total)], ["r", "s"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(r, dtype=np.int32)), _lists(total)], ["r", "s"])
 
         parts = rows.select("x", "v").mapInArrow(sums, "r int, s array<double>")
         added = parts.groupBy("r").agg(*vector_sum("s", m + 1)).orderBy("r").collect()  # R rows
