@@ -84,8 +84,12 @@ def sets(data: np.ndarray, bounds: np.ndarray, k: int = K) -> tuple[np.ndarray,
             g, where = w.windows(n)
             use = np.isin(w.text[where], some)
             h, text = np.r_[h, g[use]], np.r_[text, w.text[where][use]]
-    order = np.lexsort((h, text))
-    h, text = h[order], text[order]
+    if len(h) and (text[1:] < text[:-1]).any():  # short texts came last
+        order = np.argsort(text, kind="stable")
+        h, text = h[order], text[order]
+    ends = np.searchsorted(text, np.arange(len(bounds)))
+    for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+        h[a:b].sort()
     new = np.ones(len(h), bool)
     new[1:] = (h[1:] != h[:-1]) | (text[1:] != text[:-1])
     return h[new], np.searchsorted(text[new], np.arange(len(bounds)))

@@ -14,7 +14,7 @@ _BASE = U64(0x9E3779B97F4A7C15)
 _BASE_INV = U64(pow(0x9E3779B97F4A7C15, -1, 2**64))
 _STEP = 0xD6E8FEB86659FD93
 #: Bytes of text that are worked on together; one longer text is taken whole.
-CHUNK = 4 << 20
+CHUNK = 2 << 20
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -37,13 +37,13 @@ _powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
 def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
-    size = 1 << max(16, int(n).bit_length())
-    if size not in _powers:
+    size = -(-max(1, n) // 65536) * 65536
+    if not _powers or max(_powers) < size:
         _powers.clear()
         up, down = np.full(size, _BASE, U64), np.full(size, _BASE_INV, U64)
         up[0] = down[0] = 1
         _powers[size] = np.multiply.accumulate(up), np.multiply.accumulate(down)
-    return _powers[size]
+    return _powers[max(_powers)]
 
 
 class Words:
