@@ -5,6 +5,8 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -39,6 +41,22 @@ def shared_dir(spark: SparkSession) -> str:
     return "file://" + tempfile.gettempdir() + "/manifold_dp"
 
 
+@contextmanager
+def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
+    """Within it, Spark deletes an execution's shuffle files as soon as it has ended.
+
+    For tables that are written once and read from their files afterwards; the setting is
+    put back as it was.
+    """
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    old = spark.conf.get(key)
+    spark.conf.set(key, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, old)
+
+
 class Scratch:
     """Tables written to the shared folder, to cut lineage and survive lost executors."""
 
@@ -58,7 +76,8 @@ class Scratch:
     def keep(self, df: DataFrame, name: str = "t") -> DataFrame:
         """Write ``df`` once and return a DataFrame that reads what was written."""
         at = self.path(name)
-        df.write.option("compression", "zstd").parquet(at)
+        with shuffles_dropped(self.spark):
+            df.write.option("compression", "zstd").parquet(at)
         out = self.spark.read.schema(df.schema).parquet(at)
         out.scratch_path = at
         self.written.append(at)
