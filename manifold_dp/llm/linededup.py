@@ -19,9 +19,9 @@ back is a plain equi join whose hot keys AQE can split, against one row per wind
 
 Defined results: null or empty text has no lines and stays as it is; rows with a null
 ``doc_id`` come first in order and are never matched to a document (their text stays);
-repeated rows of one id are one document's versions: the joined table keeps each row, and
-positions of equal ids are told apart by no more than the text itself, so equal rows keep
-equal results. Extra columns pass through ``clean`` untouched.
+rows of one id are versions of one document, each cleaned by its own text, and a line
+counts as further up if it stands at a smaller index in any of them. Extra columns pass
+through ``clean`` untouched; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -34,23 +34,29 @@ from .common import table
 MIN_LINES = 3
 
 
+def _key() -> Column:
+    """Tells rows of one ``doc_id`` apart."""
+    return F.xxhash64("text")
+
+
 def _lines() -> Column:
     return F.filter(F.transform(F.split("text", "\n"), lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda s: F.length(F.trim(s["x"], F.lit(" \t\r"))) > 0)
 
 
 def fingerprints(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
-    """Winnowing: rows ``(doc_id, fp, q, from, h, i)``, one for each elected line.
+    """Winnowing: rows ``(doc_id, key, fp, q, from, h, i)``, one for each elected line.
 
-    ``q``: its place among the document's lines; ``h``, ``i``: hashes and indexes of it and
+    ``key``: hash of the text; ``q``: its place among the document's lines; ``h``, ``i``: hashes and indexes of it and
     of the ``min_lines - 1`` lines on both sides, the first of which has place ``from``.
     """
     k = min_lines
-    d = docs.where(F.col("doc_id").isNotNull() & (F.length("text") > 0)).select("doc_id", F.transform(_lines(), lambda s: F.struct(s["i"].alias("i"), F.xxhash64(s["x"]).alias("h"))).alias("l"))
-    d = d.where(F.size("l") >= k).select("doc_id", F.col("l.h").alias("h"), F.col("l.i").alias("i"))
+    d = docs.where(F.col("doc_id").isNotNull() & (F.length("text") > 0)).select("doc_id", _key().alias("key"), F.transform(_lines(), lambda s: F.struct(s["i"].alias("i"), F.xxhash64(s["x"]).alias("h"))).alias("l"))
+    d = d.where(F.size("l") >= k).select("doc_id", "key", F.col("l.h").alias("h"), F.col("l.i").alias("i"))
     elected = F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("h") - (k - 1)), lambda p: (p + F.array_position(F.slice("h", p, k), F.array_min(F.slice("h", p, k))) - 1).cast("int")))
     begin = lambda q: F.greatest(F.lit(1), q - (k - 1))
     return d.select(
         "doc_id",
+        "key",
         F.inline(F.transform(elected, lambda q: F.struct(F.element_at("h", q).alias("fp"), q.alias("q"), begin(q).alias("from"), F.slice("h", begin(q), q + k - begin(q)).alias("h"), F.slice("i", begin(q), q + k - begin(q)).alias("i")))),
     )
 
@@ -58,32 +64,33 @@ def fingerprints(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
 def windows(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
     """Extension to both sides: the runs of ``min_lines`` lines that elected a fingerprint.
 
-    Rows ``(fp, w, doc_id, at)``; ``w``: line hashes, ``at``: indexes of its lines.
+    Rows ``(fp, w, doc_id, key, at)``; ``w``: line hashes, ``at``: indexes of its lines.
     """
     k = min_lines
     place = F.col("q") - F.col("from") + 1
     run = F.transform(F.sequence(F.lit(1), F.size("h") - (k - 1)), lambda p: F.struct(F.slice("h", p, k).alias("w"), F.slice("i", p, k).alias("at"), (p + F.array_position(F.slice("h", p, k), F.array_min(F.slice("h", p, k))) - 1 == place).alias("own")))
-    return fingerprints(docs, k).select("fp", "doc_id", F.inline(F.filter(run, lambda r: r["own"]))).select("fp", "w", "doc_id", "at")
+    return fingerprints(docs, k).select("fp", "doc_id", "key", F.inline(F.filter(run, lambda r: r["own"]))).select("fp", "w", "doc_id", "key", "at")
 
 
 def repeated_lines(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
-    """``(doc_id, gone)``: indexes of the lines to delete, for documents that have any."""
+    """``(doc_id, key, gone)``: indexes of the lines to delete, for documents that have any."""
     w = windows(docs, min_lines)
     start = F.struct("doc_id", F.col("at")[0].alias("i"))
     first = w.groupBy("fp", "w").agg(F.min(start).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
     hits = w.join(first, ["fp", "w"]).where((F.col("doc_id") > F.col("first.doc_id")) | (F.col("at")[0] > F.col("first.i")))
-    return hits.groupBy("doc_id").agg(F.array_distinct(F.flatten(F.collect_set("at"))).alias("gone"))
+    return hits.groupBy("doc_id", "key").agg(F.array_distinct(F.flatten(F.collect_set("at"))).alias("gone"))
 
 
 def clean(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
-    """``docs`` with repeated runs deleted from ``text``, and ``n_lines``, ``n_removed``."""
-    hits = repeated_lines(docs, min_lines).withColumnRenamed("doc_id", "_hit_id")
-    j = docs.join(hits, F.col("doc_id") == F.col("_hit_id"), "left")
-    gone = F.coalesce("gone", F.array().cast("array<int>"))
+    """``docs`` with repeated runs deleted from ``text``, and ``n_lines``, ``n_removed`` (replaced if there)."""
+    names = [c for c in docs.columns if c.lower() not in ("n_lines", "n_removed")]
+    hits = repeated_lines(docs, min_lines).select(F.col("doc_id").alias("_line_dedup_id"), F.col("key").alias("_line_dedup_key"), F.col("gone").alias("_line_dedup_gone"))
+    j = docs.select(*names).join(hits, (F.col("doc_id") == F.col("_line_dedup_id")) & (_key() == F.col("_line_dedup_key")), "left")
+    gone = F.coalesce("_line_dedup_gone", F.array().cast("array<int>"))
     rows = F.split("text", "\n")
     kept = F.array_join(F.filter(rows, lambda x, i: ~F.array_contains(gone, i)), "\n")
     return j.select(
-        *[F.when(F.size(gone) > 0, kept).otherwise(F.col("text")).alias("text") if c == "text" else docs[c] for c in docs.columns],
+        *[F.when(F.size(gone) > 0, kept).otherwise(F.col("text")).alias("text") if c == "text" else F.col(f"`{c}`") for c in names],
         F.coalesce(F.when(F.length("text") > 0, F.size(rows)), F.lit(0)).cast("long").alias("n_lines"),
         F.size(gone).cast("long").alias("n_removed"),
     )
