@@ -41,20 +41,23 @@ def shared_dir(spark: SparkSession) -> str:
     return "file://" + tempfile.gettempdir() + "/manifold_dp"
 
 
-@contextmanager
-def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
-    """Within it, Spark deletes an execution's shuffle files as soon as it has ended.
+#: Settings under which tables are written that are read from their files afterwards: an
+#: execution's shuffle files go as soon as it has ended, and rows travel to Python in
+#: batches small enough for long texts.
+WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2000"}
 
-    For tables that are written once and read from their files afterwards; the setting is
-    put back as it was.
-    """
-    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-    old = spark.conf.get(key)
-    spark.conf.set(key, "true")
+
+@contextmanager
+def writing(spark: SparkSession) -> Iterator[None]:
+    """``WRITING`` holds within; then all is put back as it was."""
+    old = {k: spark.conf.get(k) for k in WRITING}
+    for k, v in WRITING.items():
+        spark.conf.set(k, v)
     try:
         yield
     finally:
-        spark.conf.set(key, old)
+        for k, v in old.items():
+            spark.conf.set(k, v)
 
 
 class Scratch:
@@ -76,7 +79,7 @@ class Scratch:
     def keep(self, df: DataFrame, name: str = "t") -> DataFrame:
         """Write ``df`` once and return a DataFrame that reads what was written."""
         at = self.path(name)
-        with shuffles_dropped(self.spark):
+        with writing(self.spark):
             df.write.option("compression", "zstd").parquet(at)
         out = self.spark.read.schema(df.schema).parquet(at)
         out.scratch_path = at

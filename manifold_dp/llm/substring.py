@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import words as W
-from .common import Scratch, odd_at_least, shuffles_dropped, table
+from .common import Scratch, odd_at_least, table, writing
 
 K = 13
 #: Windows that a task settles among themselves before it sends them.
@@ -363,7 +363,7 @@ class FingerprintIndex:
             return both.where("kind = 'hit'").select("part", "h", "h2", "d", "f")
         self.made += 1
         out = both.withColumn("run", F.lit(self.made)).write.option("compression", "zstd").bucketBy(min(self.buckets, 4096), "bucket").partitionBy("run", "kind")
-        with shuffles_dropped(self.spark):
+        with writing(self.spark):
             out.mode("append").option("path", self.at).saveAsTable(self.name)
         self.spark.catalog.refreshTable(self.name)
         if compact:
