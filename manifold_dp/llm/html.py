@@ -46,7 +46,7 @@ PROSE = set("p h1 h2 h3 h4 h5 h6 li blockquote pre dd dt td th figcaption".split
 CLOSES_P = set("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split())
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"tr", "td", "th"}, "tbody": {"thead", "tr", "td", "th"}, "tfoot": {"tbody", "tr", "td", "th"}}
 WALLS = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table"}, "th": {"table"}, "option": {"select"}, "thead": {"table"}, "tbody": {"table"}, "tfoot": {"table"}}
-SAYS = set("ad ads advert adverts advertisement advertising adbox adsense sponsor sponsored promo promotion cookie cookies consent gdpr notice popup modal overlay newsletter subscribe signup share sharing social sidebar menu nav navbar navigation breadcrumb breadcrumbs comment comments disqus respond replies related recommended pagination pager login skip".split())
+SAYS = set("ad adslot adunit ads advert adverts advertisement advertising adbox adsense sponsor sponsored promo promotion cookie cookies consent gdpr notice popup modal overlay newsletter subscribe signup share sharing social sidebar menu nav navbar navigation breadcrumb breadcrumbs comment comments disqus respond replies related recommended pagination pager login skip promoted outbrain taboola".split())
 SAYS_OUTSIDE = SAYS | set("header footer banner masthead topbar bottom widget legal copyright search".split())
 ROLES = set("navigation banner contentinfo complementary search alert alertdialog dialog form status menu menubar toolbar".split())
 
@@ -57,11 +57,13 @@ _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 
 
 class _Element:
-    __slots__ = ("drop", "hash", "main", "parent", "prose", "tag")
+    __slots__ = ("drop", "hash", "main", "named", "parent", "prose", "tag")
 
-    def __init__(self, tag: str, parent: _Element | None, drop: bool, main: bool):
-        self.tag, self.parent, self.drop, self.main = tag, parent, drop, main
-        self.prose = main and (tag in PROSE or bool(parent and parent.prose))
+    def __init__(self, tag: str, parent: _Element | None, drop: bool = False, named: bool = False):
+        self.tag, self.parent = tag, parent
+        self.drop, self.named = drop, named  # by what it is, by what it is called
+        self.main = tag in MAIN or bool(parent and parent.main)
+        self.prose = self.main and (tag in PROSE or bool(parent and parent.prose))
         self.hash: int | None = None
 
 
@@ -69,20 +71,25 @@ def _attributes(text: str) -> dict[str, str]:
     return {m[1].lower(): unescape(m[2] or m[3] or m[4] or "") for m in _ATTR.finditer(text)} if text else {}
 
 
-def _boilerplate(tag: str, attr: dict[str, str], in_main: bool) -> bool:
+def _dropped(tag: str, attr: dict[str, str], in_main: bool) -> bool:
     if tag in DROPPED or tag == "header" and not in_main:
         return True
     if not attr or tag in ("html", "body"):
         return False
-    if "hidden" in attr or attr.get("aria-hidden") == "true" or attr.get("role", "").lower() in ROLES or _HIDDEN.search(attr.get("style", "")):
-        return True
-    named = set(_WORD.findall(f"{attr.get('class', '')} {attr.get('id', '')}".lower()))
-    return bool(named & (SAYS if in_main or tag in MAIN else SAYS_OUTSIDE))
+    return "hidden" in attr or attr.get("aria-hidden") == "true" or attr.get("role", "").lower() in ROLES or bool(_HIDDEN.search(attr.get("style", "")))
+
+
+def _named(tag: str, attr: dict[str, str], in_main: bool) -> bool:
+    if not attr or tag in ("html", "body"):
+        return False
+    words = set(_WORD.findall(f"{attr.get('class', '')} {attr.get('id', '')}".lower()))
+    return bool(words & (SAYS if in_main or tag in MAIN else SAYS_OUTSIDE))
 
 
 def read(html: str) -> tuple[list[tuple], list[_Element]]:
     """Items ``(element, text)`` in page order (text None: a block starts or ends), and the block elements."""
-    root = _Element("", None, False, False)
+    root = _Element("", None)
+    article: _Element | None = None
     items: list[tuple] = []
     blocks: list[_Element] = []
     stack, content = [root], [[]]
@@ -130,9 +137,15 @@ def read(html: str) -> tuple[list[tuple], list[_Element]]:
             continue
         up = stack[-1]
         attr = _attributes(m[3] or m[6])
-        in_main = up.main
-        drop = up.drop or _boilerplate(tag, attr, in_main)
-        e = _Element(tag, up, drop, in_main or (not drop and (tag in MAIN or attr.get("role", "").lower() == "main")))
+        e = _Element(tag, up, _dropped(tag, attr, up.main), _named(tag, attr, up.main))
+        if attr.get("role", "").lower() == "main":
+            e.main = True
+        if e.main and article is None:  # what holds the page's first article is not boilerplate, whatever its name
+            article = e
+            while e is not None:
+                e.named = False
+                e = e.parent
+            e = article
         if tag not in INLINE:
             items.append((up, None))
         if tag in VOID:
@@ -153,9 +166,7 @@ def read(html: str) -> tuple[list[tuple], list[_Element]]:
 
 def main_text(html: str, templates: set[int]) -> str:
     items, blocks = read(html)
-    gone = {e for e in blocks if e.drop}
-    if templates:
-        gone |= {e for e in blocks if e.hash in templates and _candidate(e)}
+    gone = {e for e in blocks if e.hash in templates and _candidate(e)} if templates else set()
     state: dict[_Element, bool] = {}
 
     def kept(e: _Element) -> bool:
@@ -165,10 +176,10 @@ def main_text(html: str, templates: set[int]) -> str:
             e = e.parent
         ok = True if e is None else state[e]
         for x in reversed(path):
-            ok = state[x] = ok and x not in gone and not x.drop
+            ok = state[x] = ok and not (x.drop or x.named or x in gone)
         return ok
 
-    marked = any(e.main for e, t in items)
+    marked = any(t is not None and e.main and kept(e) for e, t in items)
     out: list[str] = []
     block: list[str] = []
     for e, text in [*items, (None, None)]:

@@ -233,6 +233,15 @@ def test_html_edges(spark):
     assert html.extract(df.limit(0)).count() == 0
 
 
+def test_html_names():
+    page = """<body class="has-sidebar"><div id="page" class="layout sidebar-right"><div class="cookie-notice">We use cookies</div>
+<main class="menu-open"><header><h1>Title</h1></header><p>Text</p><div class="share-links">Share</div><p>more</p><form>Sign up</form></main>
+<div class="sidebar">Side</div><section id="comments"><article class="comment"><p>First!</p></article></section><div hidden>h</div><div style="display: none">n</div></div></body>"""
+    assert html.main_text(page, set()) == "Title Text more"
+    assert html.main_text("<div class='menu'>a</div><div>body text</div><ul role=navigation><li>x</ul>", set()) == "body text"
+    assert html.main_text("<table><tr><td>a<td>b<tr><td>c</table><dl><dt>t<dd>d</dl><ul><li>x<li>y</ul>", set()) == "a b c t d x y"
+
+
 def test_html_templates(spark):
     body = "<html><body><div>Site name <span>slogan</span></div><div><p>Story %d</p><p>words %d</p></div><div>Terms apply</div></body></html>"
     pages = [(i, "http://one.example/x", body % (i, i)) for i in range(6)] + [(90, "http://two.example/", body % (90, 90))]
