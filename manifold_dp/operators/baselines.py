@@ -103,6 +103,12 @@ def dp_rp(points: DataFrame, m: int, epsilon: float, delta: float, seed: int | s
     return noise.add_test_noise(v, tau, test_noise, True) if test_noise is not None else cut(noise.add(v, tau), "dp_rp")
 
 
+def _few(df: DataFrame, rows: int) -> None:
+    """These baselines hold a matrix of all pairs of rows on the driver, so their size is checked."""
+    if df.limit(rows + 1).count() > rows:
+        raise ValueError(f"more than {rows} rows")
+
+
 def row_bandwidths(gaps: np.ndarray, perplexity: float) -> np.ndarray:
     """Conditional affinities of each row (own column masked as inf) at the given perplexity, by bisection of all rows at once."""
     n, k = gaps.shape
@@ -120,9 +126,10 @@ def row_bandwidths(gaps: np.ndarray, perplexity: float) -> np.ndarray:
     return p / p.sum(1, keepdims=True)
 
 
-def tsne(points: DataFrame, m: int = 2, perplexity: float = 30.0, iterations: int = 250, rate: float = 200.0, seed: int | str = 1, exaggerate: float = 12.0, log: list | None = None) -> DataFrame:
+def tsne(points: DataFrame, m: int = 2, perplexity: float = 30.0, iterations: int = 250, rate: float = 200.0, seed: int | str = 1, exaggerate: float = 12.0, log: list | None = None, max_rows: int = 20_000) -> DataFrame:
     """t-SNE with exact affinities: rows are dealt over tasks, each computes its rows' affinities once and their forces in each round; positions (n x m) go out to all."""
     spark = points.sparkSession
+    _few(points, max_rows)
     all_ = points.orderBy("id").toArrow()
     ids, x = all_["id"].to_numpy(), _matrix(all_["x"], len(all_))
     n = len(ids)
@@ -164,12 +171,13 @@ def tsne(points: DataFrame, m: int = 2, perplexity: float = 30.0, iterations: in
     return spark.createDataFrame([(int(i), [float(z) for z in row]) for i, row in zip(ids, y, strict=True)], "id long, v array<double>")
 
 
-def dp_sne(points: DataFrame, m: int, epsilon: float, delta: float, sites: int = 4, clip: float = 0.1, iterations: int = 30, rate: float = 5.0, perplexity: float = 20.0, seed: int = 1, anchors: str = "role = 'public'", ledger: list | None = None, noisy: bool = True) -> DataFrame:
+def dp_sne(points: DataFrame, m: int, epsilon: float, delta: float, sites: int = 4, clip: float = 0.1, iterations: int = 30, rate: float = 5.0, perplexity: float = 20.0, seed: int = 1, anchors: str = "role = 'public'", ledger: list | None = None, noisy: bool = True, max_anchors: int = 20_000) -> DataFrame:
     """Several sites embed shared anchors together: each round every site averages the clipped forces its rows put on the anchors, with Gaussian noise; rounds are accounted as zero-concentrated privacy.
 
     Rows without anchor role are placed by their site as the mean of their nearest anchors' places, with noise for the rest of the budget.
     """
     spark = points.sparkSession
+    _few(points.where(anchors), max_anchors)
     shared = points.where(anchors).orderBy("id").toArrow()
     ids, ax = shared["id"].to_numpy(), _matrix(shared["x"], len(shared))
     if not len(ids):

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import norm, unit
-from ..sources import read
+from ..sources import read, sized
 
 BINS = 64
 
@@ -25,7 +25,7 @@ def label_codes(df: DataFrame, col: str, out: str = "label") -> DataFrame:
     """
     codes = df.where(F.col(col).isNotNull()).select(F.col(col).alias("_value")).distinct()
     codes = codes.withColumn("_code", F.dense_rank().over(Window.orderBy("_value")) - 1)
-    return df.join(F.broadcast(codes), F.col(col) == F.col("_value"), "left").withColumn(out, F.col("_code").cast("int")).drop("_value", "_code")
+    return df.join(sized(codes), F.col(col) == F.col("_value"), "left").withColumn(out, F.col("_code").cast("int")).drop("_value", "_code")
 
 
 def role_of(id_: Column, seed: int = 42) -> Column:

@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import dist2, gauss_weight
-from ..sources import cut
+from ..sources import cut, sized
 
 #: Bytes that may be sent to every task; beyond it, the block form is used.
 BROADCAST = 64 << 20
@@ -31,7 +31,7 @@ def pairs(points: DataFrame, sigma: float) -> DataFrame:
     """``(i, j, w)`` for all unordered pairs ``i < j``; for inputs of test size."""
     a = points.select(F.col("id").alias("i"), F.col("x").alias("xi"))
     b = points.select(F.col("id").alias("j"), F.col("x").alias("xj"))
-    return a.join(F.broadcast(b), F.col("i") < F.col("j")).select("i", "j", gauss_weight(F.col("xi"), F.col("xj"), sigma).alias("w"))
+    return a.join(sized(b), F.col("i") < F.col("j")).select("i", "j", gauss_weight(F.col("xi"), F.col("xj"), sigma).alias("w"))
 
 
 def degrees(points: DataFrame, op: Op) -> DataFrame:

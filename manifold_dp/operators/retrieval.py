@@ -11,6 +11,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources import sized
 from . import align
 from .kernel import Op, _matrix, square_gaps
 from .release import ReleaseReport, free_steps, labels_for, noisy_first_step, resume
@@ -27,7 +28,7 @@ def dummies(target: DataFrame, public: DataFrame, seed: int | str = 1) -> DataFr
     """
     t = target.select(F.col("id").alias("target_id"), F.col("label").alias("_own"))
     h = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("target_id").cast("string"), F.col("id").cast("string")))
-    j = F.broadcast(t).join(public.select("id", "x", "label"), F.col("label") != F.col("_own"))
+    j = sized(t).join(public.select("id", "x", "label"), F.col("label") != F.col("_own"))
     w = Window.partitionBy("target_id", "label").orderBy("_h", "id")
     return j.withColumn("_h", h).withColumn("_r", F.row_number().over(w)).where("_r = 1").select("target_id", "id", "x", "label")
 

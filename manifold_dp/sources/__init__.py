@@ -45,6 +45,17 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{tempfile.gettempdir()}/manifold_dp"
 
 
+#: Rows up to which a side of a join may be sent to every executor.
+SMALL = 100_000
+
+
+def sized(df: DataFrame, rows: int = SMALL) -> DataFrame:
+    """``df`` marked for broadcast if it has no more than ``rows`` rows, else as it is."""
+    from pyspark.sql import functions as F
+
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
 def cut(df: DataFrame, name: str = "t", fmt: str = "parquet", partition_by: list[str] | None = None) -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: cuts lineage, fixes random draws."""
     at = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}-{name}"

@@ -257,7 +257,7 @@ def test_exchange_finds_planted_classes(spark):
     x /= np.linalg.norm(x, axis=1, keepdims=True)
     role = ["target" if i < 8 else "public" if i // 4 % 2 else "server" for i in range(n)]
     p = points(spark, x, lab, role).cache()
-    cfg = retrieval.Config(m=4, sigma=0.3, alpha=0.0, steps=6, private=False)
+    cfg = retrieval.Config(m=16, sigma=0.3, alpha=0.0, steps=6, private=False)
     got = retrieval.private_retrieve(p.where("role = 'target'"), p.where("role = 'public'"), p.where("role = 'server'"), 5, cfg)
     assert metrics.precision_at(got.answers, p, 5) > 0.9
     assert got.rmsd_after <= got.rmsd_before
