@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, html, jaccard, linededup, pieces, quality, substring, tokencount, topk
+from . import chat, decontaminate, html, jaccard, linededup, pieces, quality, sql, substring, tokencount, topk
 
 QUERIES = {
     "op1_decontaminate": decontaminate.query,
@@ -17,8 +17,4 @@ QUERIES = {
     "op10_page_text": html.query,
 }
 
-ORACLES = {
-    "op2_line_dedup": linededup.ORACLE,
-    "op4_chat_format": chat.ORACLE,
-    "op9_topk": topk.ORACLE,
-}
+ORACLES = sql.ORACLES
