@@ -40,7 +40,31 @@ SELECT d.doc_id, coalesce(n, 0) AS n_shingles, coalesce(c, d.doc_id) AS componen
 FROM documents d LEFT JOIN size USING (doc_id) LEFT JOIN least ON a = d.doc_id
 """
 
+_NORMAL = "list_filter(string_split_regex(lower(coalesce(text, '')), '[^a-z0-9\\x{80}-\\x{10FFFF}]+'), lambda z: z <> '')"
+
+#: Windows of a document and of an item (13 words, or all of a shorter item) meet on one of
+#: three stretches that at least one must be free of the two substitutions.
+CONTAMINATION = f"""
+WITH dt AS (SELECT doc_id, generate_subscripts(ws, 1) - 1 AS p, unnest(ws) AS x FROM (SELECT doc_id, {_NORMAL} AS ws FROM documents)),
+it AS (SELECT item_id, len(ws) AS n, generate_subscripts(ws, 1) - 1 AS a, unnest(ws) AS y FROM (SELECT item_id, {_NORMAL} AS ws FROM benchmark) WHERE len(ws) >= 5),
+dp AS (SELECT doc_id, p, string_agg(x, ' ') OVER f4 AS k4, count(*) OVER f4 AS c4, string_agg(x, ' ') OVER f2 AS k2, count(*) OVER f2 AS c2 FROM dt
+  WINDOW f4 AS (PARTITION BY doc_id ORDER BY p ROWS BETWEEN CURRENT ROW AND 3 FOLLOWING), f2 AS (PARTITION BY doc_id ORDER BY p ROWS BETWEEN CURRENT ROW AND 1 FOLLOWING)),
+ip AS (SELECT item_id, n, a, string_agg(y, ' ') OVER f4 AS k4, count(*) OVER f4 AS c4, string_agg(y, ' ') OVER f2 AS k2, count(*) OVER f2 AS c2 FROM it
+  WINDOW f4 AS (PARTITION BY item_id ORDER BY a ROWS BETWEEN CURRENT ROW AND 3 FOLLOWING), f2 AS (PARTITION BY item_id ORDER BY a ROWS BETWEEN CURRENT ROW AND 1 FOLLOWING)),
+diag AS (SELECT DISTINCT doc_id, item_id, n, p - a AS shift FROM dp JOIN ip ON dp.k4 = ip.k4 AND dp.c4 = 4 AND ip.c4 = 4 AND n >= 13
+  UNION SELECT DISTINCT doc_id, item_id, n, p - a FROM dp JOIN ip ON dp.k2 = ip.k2 AND dp.c2 = 2 AND ip.c2 = 2 AND n < 13),
+cell AS (SELECT g.doc_id, g.item_id, g.n, shift, a, CASE WHEN x = y THEN 1 ELSE 0 END AS same FROM diag g JOIN it USING (item_id) JOIN dt ON dt.doc_id = g.doc_id AND dt.p = it.a + shift),
+win AS (SELECT *, least(13, n) AS span, sum(same) OVER f AS hits, count(*) OVER f AS c FROM cell
+  WINDOW f AS (PARTITION BY doc_id, item_id, n, shift ORDER BY a ROWS BETWEEN CURRENT ROW AND 12 FOLLOWING)),
+good AS (SELECT doc_id, item_id, n, shift, a, span FROM win WHERE c = span AND hits >= span - CASE WHEN n >= 13 THEN 2 ELSE n * 2 // 13 END),
+cover AS (SELECT DISTINCT doc_id, item_id, n, shift, unnest(generate_series(a, a + span - 1)) AS a FROM good),
+per AS (SELECT doc_id, item_id, n, shift, CAST(sum(same) AS BIGINT) AS matched, count(*) AS overlap, min(a) + shift AS doc_from FROM cover JOIN cell USING (doc_id, item_id, n, shift, a) GROUP BY doc_id, item_id, n, shift)
+SELECT doc_id, item_id, n AS item_words, matched, overlap, doc_from
+FROM (SELECT *, row_number() OVER (PARTITION BY doc_id, item_id ORDER BY matched DESC, overlap DESC, doc_from DESC) AS r FROM per) WHERE r = 1
+"""
+
 ORACLES = {
+    "op1_decontaminate": CONTAMINATION,
     "op2_line_dedup": linededup.ORACLE,
     "op4_chat_format": chat.ORACLE,
     "op7_substring_dedup": SUBSTRING,
