@@ -53,8 +53,9 @@ def trigrams(df: DataFrame, text: str, key: str = "id", bins: int = BINS) -> Dat
     characters have none and are left out. Texts keep their case.
     """
     t = F.col(text)
-    grams = F.transform(F.sequence(F.lit(1), F.char_length(t) - 2), lambda i: F.substr(t, i, F.lit(3)))
-    counts = df.where(F.char_length(t) >= 3).select(key, F.explode(grams).alias("g")).groupBy(key, "g").count()
+    chars = df.where(F.char_length(t) >= 3).select(key, F.regexp_extract_all(t, F.lit("(?s)(.)"), 1).alias("c"))  # substr would count from the start each time
+    grams = F.transform(F.sequence(F.lit(1), F.size("c") - 2), lambda i: F.concat(F.element_at("c", i), F.element_at("c", i + 1), F.element_at("c", i + 2)))
+    counts = chars.select(key, F.explode(grams).alias("g")).groupBy(key, "g").count()
     bin_ = (F.conv(F.substring(F.md5("g"), 1, 4), 16, 10).cast("long") % bins).cast("int")
     binned = counts.groupBy(key, bin_.alias("b")).agg(F.sum("count").cast("double").alias("n"))
     sparse = binned.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("b", "n"))).alias("m"))
