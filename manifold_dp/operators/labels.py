@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources import cut, sized
+from ..sources import local
 from .kernel import as_vector, vector_sum
 
 
@@ -41,7 +41,7 @@ class LabelOp:
         on = F.col("label") == F.col("_l") if self.kernel == "same" else None
         mixed = (a.join(b, on) if on is not None else a.crossJoin(b)).withColumn("_k", k)  # one row for each two classes
         sums = mixed.groupBy("label").agg(F.sum(F.col("_k") * F.col("n")).alias("_e"), *(F.sum(F.col("_k") * F.element_at("s", i + 1)).alias(f"_s{i}") for i in range(m))).select("label", "_e", as_vector(m, "_t"))
-        rows = v.select("id", "v").join(self.labels, "id", "left").join(sized(cut(sums, "classes")), "label", "left")
+        rows = v.select("id", "v").join(self.labels, "id", "left").join(local(sums), "label", "left")
         e = F.coalesce(F.col("_e") - 1.0, F.lit(0.0))
         zero = F.transform("v", lambda z: z * 0.0)
         lv = F.when(F.col("_t").isNull(), zero).otherwise(F.zip_with("v", "_t", lambda z, t: z * F.col("_e") - t))

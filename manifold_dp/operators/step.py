@@ -90,7 +90,7 @@ def run(
         v = cut(contrast_step(v, op, labels, alpha), "v")
         if rescale:
             rms = math.sqrt(v.agg(F.avg(F.aggregate("v", F.lit(0.0), lambda s, z: s + z * z) / F.size("v"))).first()[0] or 1.0) or 1.0
-            v = cut(v.select("id", F.transform("v", lambda z: z / F.lit(rms)).alias("v")), "v")
+            v = v.select("id", F.transform("v", lambda z: z / F.lit(rms)).alias("v"))  # narrow: read with the next step
             scale += math.log(rms)
         out.v = v
         if keep:

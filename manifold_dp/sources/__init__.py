@@ -56,6 +56,14 @@ def sized(df: DataFrame, rows: int = SMALL) -> DataFrame:
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
+def local(df: DataFrame, rows: int = SMALL) -> DataFrame:
+    """A small aggregate computed once and sent along with later plans; beyond ``rows`` rows, as it is."""
+    from pyspark.sql import functions as F
+
+    got = df.limit(rows + 1).collect()
+    return F.broadcast(df.sparkSession.createDataFrame(got, df.schema)) if len(got) <= rows else df
+
+
 def cut(df: DataFrame, name: str = "t", fmt: str = "parquet", partition_by: list[str] | None = None) -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: cuts lineage, fixes random draws."""
     at = f"{shared_dir(df.sparkSession)}/cut-{uuid.uuid4().hex}-{name}"
