@@ -233,14 +233,17 @@ def templates(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = M
     size = found.groupBy("host", "article").agg(F.lit(1).alias("x")).groupBy("host").agg(F.count(F.lit(1)).alias("of"))
     seen = found.groupBy("host", "subtree", "article").agg(F.lit(1).alias("x")).groupBy("host", "subtree").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= min_pages)
     often = seen.join(size, "host").where(F.col("n") >= min_share * F.col("of")).select("host", "subtree")
-    return found.join(often, ["host", "subtree"]).groupBy("page").agg(F.collect_set("subtree").alias("hits"))
+    hits = scratch.keep(found.join(often, ["host", "subtree"]).groupBy("page").agg(F.collect_set("subtree").alias("hits")), "hits")
+    scratch.drop_but(hits)
+    return hits
 
 
 def extract(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = MIN_SHARE) -> DataFrame:
     """``(page_id, url, text, n_chars)`` of every page."""
     hits = templates(pages, min_pages, min_share).withColumnRenamed("page", "_page")
     own = with_keys(pages)
-    return own.join(hits, F.col("page") == F.col("_page"), "left").select("page_id", "url", "html", "hits").mapInArrow(_extractor, "page_id long, url string, text string, n_chars long")
+    # a shuffle at every size: what a hit list weighs grows with the pages
+    return own.join(hits.hint("merge"), F.col("page") == F.col("_page"), "left").select("page_id", "url", "html", "hits").mapInArrow(_extractor, "page_id long, url string, text string, n_chars long")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
