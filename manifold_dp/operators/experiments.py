@@ -14,11 +14,10 @@ from .release import free_steps, labels_for, release_then_iterate
 from .step import run
 
 SETS = ("emb_planted", "doc_lang", "page_lang")
-#: Rows of a set that a quadratic experiment takes, by least hash of the id; None takes all.
-ROWS = 500
 
 
-def points_of(spark: SparkSession, sf_dir: str, name: str, rows: int | None = ROWS) -> DataFrame:
+def points_of(spark: SparkSession, sf_dir: str, name: str, rows: int | None = None) -> DataFrame:
+    """A set, written once: all of it, or for trials the ``rows`` of least hash of the id. Registered queries take all."""
     p = features.feature_set(spark, sf_dir, name).select("id", "x", "label", "role")
     if rows is not None:
         p = p.orderBy(F.md5(F.concat_ws(":", F.lit("rows"), F.col("id").cast("string"))), "id").limit(rows)
@@ -56,7 +55,7 @@ def convergence(spark: SparkSession, sf_dir: str, steps: int = 10, sigma: float
     return _table(spark, rows)
 
 
-def grid(spark: SparkSession, sf_dir: str, ms=(2, 4, 8, 16, 32), alphas=(0.0, 0.05, 0.1, 0.5, 1.0), sigmas=(0.05, 0.1, 0.25, 1.0, 4.0), private: bool = False, name: str = "emb_planted", base=(16, 0.1, 0.1), epsilon: float = 10.0, steps: int = 5, rows: int = 300) -> DataFrame:
+def grid(spark: SparkSession, sf_dir: str, ms=(2, 4, 8, 16, 32), alphas=(0.0, 0.05, 0.1, 0.5, 1.0), sigmas=(0.05, 0.1, 0.25, 1.0, 4.0), private: bool = False, name: str = "emb_planted", base=(16, 0.1, 0.1), epsilon: float = 10.0, steps: int = 5, rows: int | None = None) -> DataFrame:
     """One parameter moved at a time around ``base`` (m, alpha, sigma) (W3). Private runs use public rows only, since a search on secret rows would spend budget."""
     p = points_of(spark, sf_dir, name, rows)
     m0, a0, s0 = base
@@ -71,7 +70,7 @@ def grid(spark: SparkSession, sf_dir: str, ms=(2, 4, 8, 16, 32), alphas=(0.0, 0.
     return _table(spark, out)
 
 
-def privacy_utility(spark: SparkSession, sf_dir: str, epsilons=(0.1, 1.0, 10.0, 100.0, 1000.0), sets=SETS, seeds=(1, 2, 3, 4, 5), m: int = 16, sigma: float = 4.0, alpha: float = 0.1, delta: float = 1e-5, steps: int = 5, rows: int = 300, sne: bool = True) -> DataFrame:
+def privacy_utility(spark: SparkSession, sf_dir: str, epsilons=(0.1, 1.0, 10.0, 100.0, 1000.0), sets=SETS, seeds=(1, 2, 3, 4, 5), m: int = 16, sigma: float = 4.0, alpha: float = 0.1, delta: float = 1e-5, steps: int = 5, rows: int | None = None, sne: bool = True) -> DataFrame:
     """Recall and precision at 8 by epsilon, method, set and seed, with the controls beside them (W4, W9)."""
     out = []
     for name in sets:
@@ -97,7 +96,7 @@ def privacy_utility(spark: SparkSession, sf_dir: str, epsilons=(0.1, 1.0, 10.0,
     return _table(spark, out)
 
 
-def alignment(spark: SparkSession, sf_dir: str, epsilons=(1.0, 100.0, 1e4, 1e6), alpha: float = 0.5, rows: int = 300, **cfg) -> DataFrame:
+def alignment(spark: SparkSession, sf_dir: str, epsilons=(1.0, 100.0, 1e4, 1e6), alpha: float = 0.5, rows: int | None = None, **cfg) -> DataFrame:
     """Anchor distance before and after alignment, and target precision, by epsilon (W5)."""
     p = points_of(spark, sf_dir, "emb_planted", rows)
     out = []
@@ -113,7 +112,7 @@ def _exchange(p: DataFrame, cfg: retrieval.Config, k: int = 8) -> retrieval.Exch
     return retrieval.private_retrieve(p.where("role = 'target'"), p.where("role = 'public'"), p.where("role = 'server'"), k, cfg)
 
 
-def end_to_end(spark: SparkSession, sf_dir: str, name: str = "emb_planted", cfg: retrieval.Config | None = None, k: int = 8, rows: int | None = ROWS) -> DataFrame:
+def end_to_end(spark: SparkSession, sf_dir: str, name: str = "emb_planted", cfg: retrieval.Config | None = None, k: int = 8, rows: int | None = None) -> DataFrame:
     """The whole exchange: the answers each target's client keeps (W6)."""
     p = points_of(spark, sf_dir, name, rows)
     return _exchange(p, cfg or retrieval.Config(), k).answers.select("query_id", "match_id", "rank")
@@ -137,12 +136,13 @@ def cost(spark: SparkSession, sf_dir: str, copies=(1, 4, 16), ops: dict[str, Op]
     return _table(spark, out)
 
 
-def null_controls(spark: SparkSession, sf_dir: str, m: int = 16, rows: int = 400) -> DataFrame:
+def null_controls(spark: SparkSession, sf_dir: str, m: int = 16, rows: int | None = None) -> DataFrame:
     """Sets whose labels carry no signal: every method must stay at chance (W8)."""
     out = []
     for name in ("emb_raw", "cust_profile"):
         p = points_of(spark, sf_dir, name, rows)
-        shares = [r.n / rows for r in p.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()]
+        n = p.count()
+        shares = [r.n / n for r in p.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()]
         chance = sum(s * s for s in shares)
         k = min(m, p.select(F.size("x")).first()[0])
         for method, v in (("raw", baselines.raw(p)), ("contrast", baselines.contrast(p, k, 0.1, 0.0)), ("pca", baselines.pca(p, k))):

@@ -708,12 +708,12 @@ def w3_parameters(spark, sf_dir):
 
 @query()
 def w4_privacy_utility(spark, sf_dir):
-    return experiments.privacy_utility(spark, sf_dir, epsilons=(1.0, 1000.0), sets=("emb_planted",), seeds=(1,), steps=3, rows=200)
+    return experiments.privacy_utility(spark, sf_dir, epsilons=(1.0, 1000.0), sets=("emb_planted",), seeds=(1,), steps=3)
 
 
 @query()
 def w5_alignment(spark, sf_dir):
-    return experiments.alignment(spark, sf_dir, epsilons=(1.0, 1e6), rows=200)
+    return experiments.alignment(spark, sf_dir, epsilons=(1.0, 1e6))
 
 
 @query()

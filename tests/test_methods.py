@@ -311,3 +311,12 @@ def test_measures(some):
 def test_gram(some):
     v = noise.start_matrix(some, 3)
     assert gram(v) == pytest.approx(matrix(v).T @ matrix(v))
+
+
+def test_experiments_take_every_row(spark, sf):
+    """Sets of over 500 rows are whole in the workloads."""
+    from manifold_dp.plans import methods
+
+    n = features.feature_set(spark, sf, "doc_lang").count()
+    assert n > 500
+    assert {r.queries for r in methods.QUERIES["baseline_raw"](spark, sf).collect()} == {n}
