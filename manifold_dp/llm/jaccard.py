@@ -140,9 +140,8 @@ def _unpacked(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return h, d, n
 
 
-def _members(k: int, lists: bool, parts: int, buckets: int):
-    """Sets by document: sizes and keys, or (``lists``) every shingle of the first document of each set of a task."""
-    none = pa.Table.from_pylist([], _PACKED)
+def _members(k: int):
+    """Sizes and keys of the sets of all rows."""
 
     def sizes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -151,29 +150,42 @@ def _members(k: int, lists: bool, parts: int, buckets: int):
                 k1, k2 = _set_keys(h, at)
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), pa.array(np.diff(at)), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64))], ["doc_id", "n_shingles", "k1", "k2"])
 
-    def shingles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    return sizes
+
+
+def _node_rows(docs: pa.Table, right: pa.Table) -> pa.Table:
+    """The rows of a part that are nodes, as rows of kind ``node`` name them."""
+    nodes = right.filter(pa.compute.equal(right["kind"].combine_chunks(), "node"))["d"].to_pylist()
+    return docs.filter(pa.compute.is_in(docs["doc_id"].combine_chunks(), pa.array(np.frombuffer(b"".join(nodes), ">i8").astype(np.int64))))
+
+
+def _shingles(k: int, buckets: int):
+    """Per part: every shingle of each node, once if its row is repeated. What is marked is what is indexed."""
+
+    def shingles(key, docs, right):
+        docs = _node_rows(docs, right)
+        ids = docs["doc_id"].combine_chunks().to_numpy(zero_copy_only=False)
         held: list[tuple[np.ndarray, np.ndarray]] = []
-        seen: set[tuple[int, int]] = set()
-        total = 0
-        for b in batches:
-            ids = b.column(0).to_numpy(zero_copy_only=False)
-            for i, j, data, bounds in W.chunks(b.column(1)):
-                h, at = sets(data, bounds, k)
-                use = np.zeros(j - i, bool)
-                for t, key in enumerate(zip(*(x.tolist() for x in _set_keys(h, at)), strict=True)):
-                    if key not in seen:
-                        seen.add(key)
-                        use[t] = True
-                own = np.repeat(np.arange(j - i), np.diff(at))
-                held.append((h[use[own]], ids[i:j][own[use[own]]].astype(np.int64)))
-                total += len(held[-1][0])
-                if total >= EMIT:
-                    yield from pa.Table.from_pylist(_by_bucket("set", *map(np.concatenate, zip(*held, strict=True)), None, buckets), _PACKED).to_batches()
-                    held, total, seen = [], 0, set()
+        seen: set[tuple[int, int, int]] = set()
+        total, out = 0, []
+        for i, j, data, bounds in W.chunks(docs["text"]):
+            h, at = sets(data, bounds, k)
+            use = np.zeros(j - i, bool)
+            for t, row in enumerate(zip(ids[i:j].tolist(), *(x.tolist() for x in _set_keys(h, at)), strict=True)):
+                if row not in seen:
+                    seen.add(row)
+                    use[t] = True
+            own = np.repeat(np.arange(j - i), np.diff(at))
+            held.append((h[use[own]], ids[i:j][own[use[own]]].astype(np.int64)))
+            total += len(held[-1][0])
+            if total >= EMIT:
+                out += _by_bucket("set", *map(np.concatenate, zip(*held, strict=True)), None, buckets)
+                held, total = [], 0
         if held:
-            yield from (pa.Table.from_pylist(_by_bucket("set", *map(np.concatenate, zip(*held, strict=True)), None, buckets), _PACKED) or none).to_batches()
+            out += _by_bucket("set", *map(np.concatenate, zip(*held, strict=True)), None, buckets)
+        return pa.Table.from_pylist(out, _PACKED)
 
-    return shingles if lists else sizes
+    return shingles
 
 
 def _frequent(parts: int, most: int):
@@ -217,9 +229,7 @@ def _indexer(k: int, percent: int, buckets: int, combine: int):
     def index(key, docs, right):
         kind = right["kind"].combine_chunks()
         fh, fd, _ = _unpacked(right.filter(pa.compute.equal(kind, "frequent")))
-        nodes = np.frombuffer(b"".join(right.filter(pa.compute.equal(kind, "node"))["d"].to_pylist()), ">i8").astype(np.int64)
-        ids = docs["doc_id"].combine_chunks()
-        docs = docs.filter(pa.compute.is_in(ids, pa.array(nodes)))
+        docs = _node_rows(docs, right)
         ids = docs["doc_id"].combine_chunks().to_numpy(zero_copy_only=False)
         tags = np.sort(W.mix(fh ^ W.mix(fd.view(W.U64))))
         out: list[dict] = []
@@ -468,18 +478,18 @@ def links(docs: DataFrame, k: int = K, percent: int = PERCENT, limits: Limits =
     buckets, parts = max(8, round(size / 6.5 / BUCKET)), odd_at_least(size / PART + 7)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     real = docs.where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
-    members = scratch.keep(docs.mapInArrow(_members(k, False, parts, buckets), "doc_id long, n_shingles long, k1 long, k2 long"), "members")
+    members = scratch.keep(docs.mapInArrow(_members(k), "doc_id long, n_shingles long, k1 long, k2 long"), "members")
     full = members.where("n_shingles > 0 AND doc_id IS NOT NULL")
     node = full.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("node"))
     known = members.join(node, ["k1", "k2", "n_shingles"], "left").select("doc_id", "n_shingles", "node")
     known = scratch.keep(known, "nodes")
     parted = real.select(F.pmod("doc_id", F.lit(parts)).cast("long").alias("part"), "doc_id", "text")
 
-    frequent = real.mapInArrow(_members(k, True, parts, buckets), PACKED).groupBy("bucket").applyInArrow(_frequent(parts, limits.frequent), PACKED)
-    frequent = scratch.keep(frequent, "frequent")
-    scratch.free()
     own = known.where("node = doc_id").select("node").distinct()
     to_node = own.select(F.lit(None).cast("long").alias("bucket"), F.lit("node").alias("kind"), F.pmod("node", F.lit(parts)).cast("long").alias("part"), F.lit(None).cast("binary").alias("h"), F.to_binary(F.lpad(F.hex("node"), 16, "0"), F.lit("hex")).alias("d"), F.lit(None).cast("binary").alias("n"))
+    shingles = parted.groupBy("part").cogroup(to_node.groupBy("part")).applyInArrow(_shingles(k, buckets), PACKED)
+    frequent = scratch.keep(shingles.groupBy("bucket").applyInArrow(_frequent(parts, limits.frequent), PACKED), "frequent")
+    scratch.free()
     right = frequent.unionByName(to_node)
     keys = parted.groupBy("part").cogroup(right.groupBy("part")).applyInArrow(_indexer(k, percent, buckets, limits.combine), PACKED)
     lists = scratch.keep(keys.groupBy("bucket").applyInArrow(_lister(percent, parts, limits.list), PACKED), "lists")

@@ -256,3 +256,13 @@ def test_line_windows_elect_like_brute_force(spark):
     df = spark.createDataFrame([(1, "a\nb\n\nc\nd\na\nb\nc"), (2, "x\na\nb\nc\ny")], "doc_id long, text string")
     got = {r.doc_id: (r.text, r.n_removed) for r in linededup.clean(df).collect()}
     assert got == {1: ("a\nb\n\nc\nd", 3), 2: ("x\ny", 3)}
+
+
+def test_jaccard_marks_the_least_copy(spark):
+    """Copies with larger ids are read first; what two sets share is frequent."""
+    common = " ".join(f"c{i}" for i in range(60))
+    some = [(101, common + " a")]
+    some += [(i, common + " " + " ".join(f"u{i}x{j}" for j in range(200))) for i in range(90, 60, -1)]
+    some += [(2, common + " b"), (1, common + " a")]
+    docs = spark.createDataFrame(some, "doc_id long, text string").coalesce(1)
+    assert sorted(map(tuple, jaccard.classes(docs).collect())) == brute_classes(some[1:]) + [(101, 57, 1)]
