@@ -504,7 +504,8 @@ def links(docs: DataFrame, k: int = K, percent: int = PERCENT, limits: Limits =
     stars = lists.where("kind = 'star'").mapInArrow(_unpack_pairs, "a long, b long")
     if stars.head(1):
         found = found.unionByName(_hot_links(stars, parted, parts, k, percent, limits.block, scratch))
-    versions = known.where("node IS NOT NULL").groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("b")).where("a <> b").select("a", "b")
+    several = known.where("node IS NOT NULL").groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("most")).where("a <> most")
+    versions = known.join(several, "doc_id").where("node <> a").select("a", F.col("node").alias("b"))
     found = scratch.keep(found.unionByName(versions).distinct(), "links")
     scratch.drop_but(known, found)
     return known, found

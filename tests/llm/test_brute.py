@@ -266,3 +266,10 @@ def test_jaccard_marks_the_least_copy(spark):
     some += [(2, common + " b"), (1, common + " a")]
     docs = spark.createDataFrame(some, "doc_id long, text string").coalesce(1)
     assert sorted(map(tuple, jaccard.classes(docs).collect())) == brute_classes(some[1:]) + [(101, 57, 1)]
+
+
+def test_jaccard_links_all_versions_of_a_document(spark):
+    """Three texts of one id, each of them a copy of another document."""
+    text = {i: " ".join(f"w{i}x{j}" for j in range(30)) for i in range(1, 4)}
+    docs = spark.createDataFrame([*text.items(), *((9, t) for t in text.values())], "doc_id long, text string")
+    assert {r.component_id for r in jaccard.classes(docs).collect()} == {1}
