@@ -8,10 +8,12 @@ on every run with one seed and differently with another. Every segmentation deco
 the same text; with a rate of 0 the result is the library's own encoding.
 
 How it is fast: merges never cross a space mark that begins a word or a character without
-piece, so texts part into short segments. Equal segments (with one of ``VARIANTS`` hash
-keys each) of a batch are encoded once, many at a time, as rows of a matrix whose best
-candidate is taken in each round; segments over ``WIDE`` symbols use a heap. Results are
-then laid out for each occurrence, decoded again and compared with the text.
+piece, so texts part into short segments. Equal segments of a batch begin as one row of a
+matrix, whose best candidate is taken in each round. Every occurrence draws by its own key
+whether it skips that candidate; where occurrences of a row disagree, the row parts in
+two, so those that have skipped the same so far share their work and nothing else.
+Segments over ``WIDE`` symbols use a heap, each occurrence by itself. Results are then
+laid out for each occurrence, decoded again and compared with the text.
 
 A literal U+2581 in a text is written as its bytes, so that it is not read as a space.
 
@@ -37,7 +39,7 @@ from .common import table
 from .words import U64, mix
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-RATE, SEED, VARIANTS, WIDE = 0.1, 20240229, 8, 48
+RATE, SEED, WIDE = 0.1, 20240229, 48
 MARK, LITERAL = 0x2581, 0x110000
 _NONE = np.iinfo(np.int32).max
 _STEP, _STEP_INV = U64(0x9E3779B97F4A7C15), U64(pow(0x9E3779B97F4A7C15, -1, 2**64))
@@ -120,29 +122,53 @@ def _skipped(key: np.ndarray, place: np.ndarray, piece: np.ndarray, rate: float)
 
 
 def _rounds(p: Pieces, sym: np.ndarray, key: np.ndarray, rate: float) -> np.ndarray:
-    """Encode rows of symbols (-1 beyond their end), all at once."""
+    """Encode rows of symbols (-1 beyond their end), all at once, each with its own key."""
+    done, which = _outcomes(p, sym, np.arange(len(sym)), key, rate)
+    return done[which]
+
+
+def _outcomes(p: Pieces, sym: np.ndarray, own: np.ndarray, key: np.ndarray, rate: float) -> tuple[np.ndarray, np.ndarray]:
+    """Encode occurrences of rows of symbols: ``own`` their rows, ``key`` their keys. Different results as rows, and the one of each occurrence."""
     n, width = sym.shape
     sym = np.c_[sym, np.full(n, -1, np.int32)]
-    done = sym.copy()
+    done: list[np.ndarray] = []
+    known = 0
+    which = np.empty(len(own), np.int64)
+    who = np.arange(len(own))
     place = np.broadcast_to(np.arange(width + 1, dtype=np.int32), sym.shape).copy()
     made = np.c_[p.merged(sym[:, :-1], sym[:, 1:]), np.full(n, -1, np.int32)]
     cost = np.where(made >= 0, p.rank[made], _NONE)
-    row = np.arange(n)
     col = np.arange(width + 1)[None, :]
-    while len(row):
+    while len(sym):
         j = cost.argmin(1)
-        at = np.arange(len(row))
-        live = cost[at, j] < _NONE
+        live = cost[np.arange(len(sym)), j] < _NONE
         if not live.all():
-            done[row[~live]] = sym[~live]
-            row, sym, place, made, cost, j = row[live], sym[live], place[live], made[live], cost[live], j[live]
-            at = np.arange(len(row))
-            if not len(row):
+            done.append(sym[~live, :width])
+            ready = ~live[own]
+            which[who[ready]] = known + (np.cumsum(~live) - 1)[own[ready]]
+            known += len(done[-1])
+            own, who = (np.cumsum(live) - 1)[own[~ready]], who[~ready]
+            sym, place, made, cost, j = sym[live], place[live], made[live], cost[live], j[live]
+            if not len(sym):
                 break
+        at = np.arange(len(sym))
         if rate:
-            skip = _skipped(key[row], place[at, j], made[at, j], rate)
-            cost[at[skip], j[skip]] = _NONE
-            at, j = at[~skip], j[~skip]
+            skip = _skipped(key[who], place[at, j][own], made[at, j][own], rate)
+            some, others = np.zeros(len(sym), bool), np.zeros(len(sym), bool)
+            some[own[skip]] = True
+            others[own[~skip]] = True
+            both = np.flatnonzero(some & others)
+            if len(both):  # a row of their own for those that skip
+                to = np.empty(len(sym), np.int64)
+                to[both] = len(sym) + np.arange(len(both))
+                moved = skip & others[own]
+                own[moved] = to[own[moved]]
+                apart = cost[both]
+                apart[np.arange(len(both)), j[both]] = _NONE
+                sym, place, made, cost = np.r_[sym, sym[both]], np.r_[place, place[both]], np.r_[made, made[both]], np.r_[cost, apart]
+            only = some & ~others
+            cost[at[only], j[only]] = _NONE
+            at, j = at[~only], j[~only]
             if not len(at):
                 continue
         # the pair at j becomes one symbol, what follows moves left
@@ -160,7 +186,7 @@ def _rounds(p: Pieces, sym: np.ndarray, key: np.ndarray, rate: float) -> np.ndar
         a, k = at[has], j[has] - 1
         made[a, k] = m = p.merged(sym[a, k], sym[a, k + 1])
         cost[a, k] = np.where(m >= 0, p.rank[m], _NONE)
-    return done[:, :width]
+    return np.concatenate(done) if done else sym[:, :width], which
 
 
 def _agenda(p: Pieces, symbols: list[int], key: int, rate: float) -> list[int]:
@@ -197,7 +223,7 @@ def _utf8(cp: int) -> bytes:
     return chr(MARK if cp == LITERAL else cp).encode()
 
 
-def encode_texts(p: Pieces, texts: list[str], ids: np.ndarray, rate: float = 0.0, seed: int = SEED, variants: int = VARIANTS) -> tuple[np.ndarray, np.ndarray]:
+def encode_texts(p: Pieces, texts: list[str], ids: np.ndarray, rate: float = 0.0, seed: int = SEED) -> tuple[np.ndarray, np.ndarray]:
     """Piece ids of all texts one after another, and the number of pieces of each."""
     chars = np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32).astype(np.int64)
     size = np.array([len(t) for t in texts], np.int64)
@@ -222,15 +248,19 @@ def encode_texts(p: Pieces, texts: list[str], ids: np.ndarray, rate: float = 0.0
     total = np.r_[U64(0), np.cumsum(mix(chars.astype(U64) + U64(1)) * power[:-1], dtype=U64)]
     same = mix((total[s + n] - total[s]) * back[s] + n.astype(U64))
     text_of = np.searchsorted(first[full], s, "right") - 1
-    if rate:
+    key, one, which = np.unique(same, return_index=True, return_inverse=True)
+    if rate:  # every occurrence is encoded by a key of its own, else one stands for all
         doc = mix(ids[full].astype(np.int64).view(U64) + U64(seed))
         nth = (np.arange(len(s)) - np.searchsorted(text_of, text_of)).astype(U64)
-        variant = mix(doc[text_of] + nth * _STEP) % U64(variants)
-        same = mix(same + (variant + U64(1)) * U64(0xD6E8FEB86659FD93))
-    key, one, which = np.unique(same, return_index=True, return_inverse=True)
-    drop_key = mix(key ^ U64(seed))
+        drop_key, by = mix(mix(doc[text_of] + nth * _STEP) ^ U64(seed)), which
+    else:
+        drop_key, by = np.zeros(len(key), U64), np.arange(len(key))
+    member = np.argsort(by, kind="stable")  # occurrences by segment
+    begin = np.searchsorted(by[member], np.arange(len(key) + 1))
+    final = np.empty(len(by), np.int64)  # the result of each occurrence
+    known = 0
     us, un = s[one], n[one]
-    made: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # numbers of segments, their sizes, symbols row by row
+    made: list[tuple[np.ndarray, np.ndarray]] = []  # sizes of results, symbols row by row
     unknown = none[us]
     low = 0
     for high in (4, 6, 8, 10, 12, 16, 24, WIDE):
@@ -240,22 +270,29 @@ def encode_texts(p: Pieces, texts: list[str], ids: np.ndarray, rate: float = 0.0
             if len(part):
                 at = us[part][:, None] + np.arange(high)[None, :]
                 m = np.where(np.arange(high)[None, :] < un[part][:, None], sym[np.minimum(at, len(sym) - 1)], -1)
-                out = _rounds(p, m.astype(np.int32), drop_key[part], rate)
-                made.append((part, (out >= 0).sum(1), out[out >= 0]))
+                often = begin[part + 1] - begin[part]
+                who = _gather(member, begin[part], often)
+                out, got = _outcomes(p, m.astype(np.int32), np.repeat(np.arange(len(part)), often), drop_key[who], rate)
+                final[who] = known + got
+                known += len(out)
+                made.append(((out >= 0).sum(1), out[out >= 0]))
     for i in np.flatnonzero(~unknown & (un > WIDE)).tolist():
-        out = _agenda(p, sym[us[i] : us[i] + un[i]].tolist(), int(drop_key[i]), rate)
-        made.append((np.array([i]), np.array([len(out)]), np.array(out, np.int32)))
+        symbols = sym[us[i] : us[i] + un[i]].tolist()
+        for x in member[begin[i] : begin[i + 1]].tolist():
+            out = _agenda(p, symbols, int(drop_key[x]), rate)
+            final[x] = known
+            known += 1
+            made.append((np.array([len(out)]), np.array(out, np.int32)))
     rare = np.flatnonzero(unknown)
     if len(rare):
         spelt = [p.byte[list(_utf8(int(c)))] for c in chars[us[rare]]]
-        made.append((rare, np.array([len(x) for x in spelt]), np.concatenate(spelt)))
-    order = np.concatenate([m[0] for m in made])
-    flat = np.concatenate([m[2] for m in made]).astype(np.int32)
-    lens = np.empty(len(key), np.int64)
-    at = np.empty(len(key), np.int64)
-    got = np.concatenate([m[1] for m in made])
-    lens[order] = got
-    at[order] = np.r_[0, np.cumsum(got)[:-1]]
+        often = begin[rare + 1] - begin[rare]
+        final[_gather(member, begin[rare], often)] = known + np.repeat(np.arange(len(rare)), often)
+        made.append((np.array([len(x) for x in spelt]), np.concatenate(spelt)))
+    flat = np.concatenate([m[1] for m in made]).astype(np.int32)
+    lens = np.concatenate([m[0] for m in made])
+    at = np.r_[0, np.cumsum(lens)[:-1]]
+    which = final if rate else final[which]
     out = _gather(flat, at[which], lens[which])
     count = np.zeros(len(texts), np.int64)
     count[full] = np.add.reduceat(lens[which], np.searchsorted(text_of, np.arange(len(full))))

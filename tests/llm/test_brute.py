@@ -273,3 +273,23 @@ def test_jaccard_links_all_versions_of_a_document(spark):
     text = {i: " ".join(f"w{i}x{j}" for j in range(30)) for i in range(1, 4)}
     docs = spark.createDataFrame([*text.items(), *((9, t) for t in text.values())], "doc_id long, text string")
     assert {r.component_id for r in jaccard.classes(docs).collect()} == {1}
+
+
+def test_pieces_drop_by_occurrence():
+    """One word many times: shared rows equal each occurrence by itself, and every merge is dropped at about the rate."""
+    p = pieces.pieces()
+    n = 4000
+    out, count = pieces.encode_texts(p, [" ".join(["segmentation"] * n)] * 2, np.arange(2), 0.1)
+    at = np.r_[0, np.cumsum(np.isin(out, [i for i in range(p.size) if bytes(p.text[p.text_at[i] : p.text_at[i] + p.text_len[i]])[:1] == b" "]))]
+    words = collections.Counter(tuple(out[np.searchsorted(at, k, "right") - 1 : np.searchsorted(at, k + 1, "right") - 1].tolist()) for k in range(2 * n))
+    assert len(words) > 8
+    assert sum(words.values()) == 2 * n
+    word = np.array([p.of_char[pieces.MARK], *(p.of_char[ord(c)] for c in "segmentation")], np.int32)
+    key = W.mix(np.arange(3000, dtype=W.U64))
+    done, which = pieces._outcomes(p, word[None, :], np.zeros(len(key), int), key, 0.1)
+    for x in range(0, len(key), 50):
+        a = done[which[x]]
+        assert a[a >= 0].tolist() == pieces._agenda(p, word.tolist(), int(key[x]), 0.1)
+    whole = pieces._agenda(p, word.tolist(), 0, 0.0)
+    share = np.mean([done[w][done[w] >= 0].tolist() == whole for w in which])
+    assert 0.1 < share < 1 - 0.1 + 0.03
