@@ -13,6 +13,8 @@ from .kernel import DenseOp, FeatureMapOp, Op, SparseOp
 from .release import free_steps, labels_for, release_then_iterate
 from .step import run
 
+#: Rows of the largest product that is timed.
+LARGEST = 1_000_000
 SETS = ("emb_planted", "doc_lang", "page_lang")
 
 
@@ -70,7 +72,7 @@ def grid(spark: SparkSession, sf_dir: str, ms=(2, 4, 8, 16, 32), alphas=(0.0, 0.
     return _table(spark, out)
 
 
-def privacy_utility(spark: SparkSession, sf_dir: str, epsilons=(0.1, 1.0, 10.0, 100.0, 1000.0), sets=SETS, seeds=(1, 2, 3, 4, 5), m: int = 16, sigma: float = 4.0, alpha: float = 0.1, delta: float = 1e-5, steps: int = 5, rows: int | None = None, sne: bool = True) -> DataFrame:
+def privacy_utility(spark: SparkSession, sf_dir: str, epsilons=(0.1, 0.5, 1.0, 5.0, 10.0, 100.0, 1000.0), sets=SETS, seeds=(1, 2, 3, 4, 5), m: int = 16, sigma: float = 4.0, alpha: float = 0.1, delta: float = 1e-5, steps: int = 5, rows: int | None = None, sne: bool = True) -> DataFrame:
     """Recall and precision at 8 by epsilon, method, set and seed, with the controls beside them (W4, W9)."""
     out = []
     for name in sets:
@@ -118,10 +120,17 @@ def end_to_end(spark: SparkSession, sf_dir: str, name: str = "emb_planted", cfg:
     return _exchange(p, cfg or retrieval.Config(), k).answers.select("query_id", "match_id", "rank")
 
 
-def cost(spark: SparkSession, sf_dir: str, copies=(1, 4, 16), ops: dict[str, Op] | None = None, m: int = 16, sigma: float = 4.0) -> DataFrame:
-    """Seconds of one product by operator and rows; ids are multiplied, so features stay real (W7)."""
+def growing(n: int) -> tuple[int, ...]:
+    """Copies of n rows: 1, 4, 16 and so on, and what makes ``LARGEST`` rows."""
+    most = max(1, LARGEST // max(n, 1))
+    return (*(4**i for i in range(most.bit_length()) if 4**i < most), most)
+
+
+def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None, ops: dict[str, Op] | None = None, m: int = 16, sigma: float = 4.0) -> DataFrame:
+    """Seconds of one product by operator and rows; ids are multiplied, so features stay real (W7). Without ``copies`` rows grow fourfold up to ``LARGEST``."""
     base = points_of(spark, sf_dir, "emb_planted")
     n = base.count()
+    copies = copies or growing(n)
     ops = ops or {"dense": DenseOp(sigma), "feature_map": FeatureMapOp(sigma, 256), "sparse_knn": SparseOp(sigma, knn=8)}
     out = []
     for c in copies:

@@ -698,17 +698,22 @@ def w1_class_picture(spark, sf_dir):
 
 @query()
 def w2_convergence(spark, sf_dir):
-    return experiments.convergence(spark, sf_dir, steps=7, sets=("emb_planted",))
+    return experiments.convergence(spark, sf_dir)
 
 
 @query()
 def w3_parameters(spark, sf_dir):
-    return experiments.grid(spark, sf_dir, ms=(4, 16), alphas=(0.0, 0.5), sigmas=(0.1, 1.0), steps=4)
+    return experiments.grid(spark, sf_dir)
+
+
+@query()
+def w3_private_parameters(spark, sf_dir):
+    return experiments.grid(spark, sf_dir, private=True)
 
 
 @query()
 def w4_privacy_utility(spark, sf_dir):
-    return experiments.privacy_utility(spark, sf_dir, epsilons=(1.0, 1000.0), sets=("emb_planted",), seeds=(1,), steps=3)
+    return experiments.privacy_utility(spark, sf_dir)
 
 
 @query()
@@ -723,7 +728,7 @@ def w6_end_to_end(spark, sf_dir):
 
 @query()
 def w7_cost(spark, sf_dir):
-    return experiments.cost(spark, sf_dir, copies=(1, 4))
+    return experiments.cost(spark, sf_dir)
 
 
 @query()

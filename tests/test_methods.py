@@ -320,3 +320,31 @@ def test_experiments_take_every_row(spark, sf):
     n = features.feature_set(spark, sf, "doc_lang").count()
     assert n > 500
     assert {r.queries for r in methods.QUERIES["baseline_raw"](spark, sf).collect()} == {n}
+
+
+def test_workloads_are_registered_whole(monkeypatch):
+    """Every set, seed and value of SURVEY 2.8, with the private grid beside the other."""
+    import inspect
+
+    from manifold_dp.operators import experiments
+    from manifold_dp.plans import methods
+
+    def asked(query, function):
+        real, got = inspect.signature(getattr(experiments, function)), []
+        monkeypatch.setattr(experiments, function, lambda *a, **kw: got.append(real.bind(*a, **kw)))
+        methods.QUERIES[query](None, "")
+        got[0].apply_defaults()
+        return got[0].arguments
+
+    three = {"emb_planted", "doc_lang", "page_lang"}
+    w2, w4, w7 = asked("w2_convergence", "convergence"), asked("w4_privacy_utility", "privacy_utility"), asked("w7_cost", "cost")
+    assert set(w2["sets"]) == set(w4["sets"]) == three
+    assert w2["steps"] == 10 and len(w4["seeds"]) >= 5
+    assert w4["epsilons"] == (0.1, 0.5, 1.0, 5.0, 10.0, 100.0, 1000.0)
+    assert w4["rows"] is None and w7["copies"] is None
+    assert experiments.growing(2000) == (1, 4, 16, 64, 256, 500)
+    for query, private in (("w3_parameters", False), ("w3_private_parameters", True)):
+        monkeypatch.undo()
+        w3 = asked(query, "grid")
+        assert w3["private"] is private and w3["rows"] is None
+        assert [len(w3[k]) for k in ("ms", "alphas", "sigmas")] == [5, 5, 5]
