@@ -7,6 +7,7 @@ import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
+from contextvars import ContextVar
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -48,10 +49,12 @@ WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "s
 
 
 @contextmanager
-def writing(spark: SparkSession) -> Iterator[None]:
-    """``WRITING`` holds within; then all is put back as it was."""
-    old = {k: spark.conf.get(k) for k in WRITING}
-    for k, v in WRITING.items():
+def writing(spark: SparkSession, partitions: int | None = None) -> Iterator[None]:
+    """``WRITING`` holds within, and shuffles have ``partitions`` at least; then all is put back as it was."""
+    name = "spark.sql.shuffle.partitions"
+    new = WRITING | ({name: str(max(partitions, int(spark.conf.get(name))))} if partitions else {})
+    old = {k: spark.conf.get(k) for k in new}
+    for k, v in new.items():
         spark.conf.set(k, v)
     try:
         yield
@@ -60,26 +63,59 @@ def writing(spark: SparkSession) -> Iterator[None]:
             spark.conf.set(k, v)
 
 
+def partitions_for(size: int) -> int:
+    """Shuffle partitions for ``size`` bytes of text: about 8 MB each, beyond 80 GB fewer and larger ones."""
+    return max(1, min(size >> 23, 10_000), size >> 28)
+
+
+_owner: ContextVar[list | None] = ContextVar("owner", default=None)
+
+
 class Scratch:
-    """Tables written to the shared folder, to cut lineage and survive lost executors."""
+    """Tables written to the shared folder, to cut lineage and survive lost executors.
 
-    live: list[Scratch] = []
+    Its maker drops what nothing reads any more. What a lazy result still reads stays until
+    the block of ``owned`` ends in which the scratch was made, or else until the session's
+    JVM ends, which deletes the folder.
+    """
 
     def __init__(self, spark: SparkSession):
         self.spark = spark
         self.base = f"{shared_dir(spark)}/scratch-{uuid.uuid4().hex}"
         self.count = 0
         self.written: list[str] = []
-        Scratch.live.append(self)
+        at, fs = self._there(self.base)
+        fs.mkdirs(at)
+        fs.deleteOnExit(at)
+        if (mine := _owner.get()) is not None:
+            mine.append(self)
+
+    @staticmethod
+    @contextmanager
+    def owned() -> Iterator[None]:
+        """What is made within is deleted at the end: for work whose results are written by then."""
+        mine: list[Scratch] = []
+        token = _owner.set(mine)
+        try:
+            yield
+        finally:
+            _owner.reset(token)
+            for s in mine:
+                s.drop(s.base)
+
+    def _there(self, at: str):
+        jvm = self.spark.sparkContext._jvm
+        path = jvm.org.apache.hadoop.fs.Path(at)
+        return path, path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
 
     def path(self, name: str) -> str:
         self.count += 1
         return f"{self.base}/{self.count:03d}-{name}"
 
-    def keep(self, df: DataFrame, name: str = "t") -> DataFrame:
+    def keep(self, df: DataFrame, name: str = "t", partitions: int | None = None) -> DataFrame:
         """Write ``df`` once and return a DataFrame that reads what was written."""
         at = self.path(name)
-        with writing(self.spark):
+        with writing(self.spark, partitions):
             df.write.option("compression", "zstd").parquet(at)
         out = self.spark.read.schema(df.schema).parquet(at)
         out.scratch_path = at
@@ -88,11 +124,10 @@ class Scratch:
 
     def drop(self, *tables: DataFrame | str) -> None:
         """Delete written tables that nothing reads any more, and free shuffle files."""
-        jvm = self.spark.sparkContext._jvm
         for t in tables:
-            at = jvm.org.apache.hadoop.fs.Path(t if isinstance(t, str) else t.scratch_path)
-            at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-        self.free()
+            at, fs = self._there(t if isinstance(t, str) else t.scratch_path)
+            fs.delete(at, True)
+        free(self.spark)
 
     def drop_but(self, *kept: DataFrame) -> None:
         """Delete all tables of this scratch but those."""
@@ -100,19 +135,21 @@ class Scratch:
         self.drop(*(t for t in self.written if t not in stay))
         self.written = [t for t in self.written if t in stay]
 
-    @classmethod
-    def drop_all(cls) -> None:
-        """Delete every scratch table of this process, once the results that read them are written."""
-        for s in cls.live:
-            s.drop(s.base)
-        cls.live.clear()
-
     def free(self) -> None:
-        """Let Spark's cleaner delete shuffle files of finished plans."""
-        import gc
+        free(self.spark)
+
 
-        gc.collect()
-        self.spark.sparkContext._jvm.System.gc()
+def free(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete shuffle files of finished plans."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def others(names: list[str], *results: str) -> list[str]:
+    """Column names that no result column replaces; names that differ by case only are one to Spark."""
+    return [n for n in names if n.lower() not in {r.lower() for r in results}]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -131,3 +168,18 @@ def odd_at_least(n: float) -> int:
     while any(n % d == 0 for d in range(3, int(n**0.5) + 1, 2)):
         n += 2
     return n
+
+
+#: Keys at most that ``join_hot`` sends to all tasks.
+HOT_KEYS = 2000
+
+
+def join_hot(left: DataFrame, right: DataFrame, on: list[str], rows: str, total: int) -> DataFrame:
+    """Inner join with ``right``, which has one row a key and in ``rows`` how many rows of ``left`` have it, of ``total``.
+
+    Keys of more than one in ``HOT_KEYS`` rows, of which there are fewer than that, are sent to
+    all tasks, so that no task gets all rows of a frequent key; the others meet by shuffle.
+    """
+    hot = F.broadcast(right.where(F.col(rows) > total // HOT_KEYS).drop(rows))
+    rest = right.where(F.col(rows) <= total // HOT_KEYS).drop(rows)
+    return left.join(hot, on).unionByName(left.join(hot, on, "left_anti").join(rest, on))

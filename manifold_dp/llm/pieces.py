@@ -35,7 +35,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from .common import table
+from .common import others, table
 from .words import U64, mix
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -352,14 +352,14 @@ def _coder(names: list[str], text: str, key: str, rate: float, seed: int, model:
 
 def encode(docs: DataFrame, rate: float = RATE, seed: int = SEED, model: str = MODEL) -> DataFrame:
     """``docs`` with ``n_pieces`` and ``pieces``; columns of these names are replaced."""
-    names = [c for c in docs.columns if c not in ("n_pieces", "pieces")]
+    names = others(docs.columns, "n_pieces", "pieces")
     schema = T.StructType([*(docs.schema[c] for c in names), T.StructField("n_pieces", T.LongType()), T.StructField("pieces", T.ArrayType(T.IntegerType()))])
     return docs.select(*names).mapInArrow(_coder(names, "text", "doc_id", rate, seed, model, False), schema)
 
 
 def decode(encoded: DataFrame, model: str = MODEL) -> DataFrame:
     """``encoded`` with ``decoded``, the text of its ``pieces``."""
-    names = [c for c in encoded.columns if c != "decoded"]
+    names = others(encoded.columns, "decoded")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         p = pieces(model)
