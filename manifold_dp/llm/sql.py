@@ -43,16 +43,20 @@ FROM documents d LEFT JOIN size USING (doc_id) LEFT JOIN least ON a = d.doc_id
 _NORMAL = "list_filter(string_split_regex(lower(coalesce(text, '')), '[^a-z0-9\\x{80}-\\x{10FFFF}]+'), lambda z: z <> '')"
 
 #: Windows of a document and of an item (13 words, or all of a shorter item) meet on one of
-#: three stretches that at least one must be free of the two substitutions.
+#: three stretches that at least one must be free of the two substitutions; items under 5
+#: words meet whole lines (``st``, ``en``: a line of words begins, ends here).
 CONTAMINATION = f"""
-WITH dt AS (SELECT doc_id, generate_subscripts(ws, 1) - 1 AS p, unnest(ws) AS x FROM (SELECT doc_id, {_NORMAL} AS ws FROM documents)),
-it AS (SELECT item_id, len(ws) AS n, generate_subscripts(ws, 1) - 1 AS a, unnest(ws) AS y FROM (SELECT item_id, {_NORMAL} AS ws FROM benchmark) WHERE len(ws) >= 5),
+WITH dl AS (SELECT doc_id, generate_subscripts(ls, 1) AS ln, unnest(ls) AS text FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents)),
+dn AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY ln, k) - 1 AS p, x, ln FROM (SELECT doc_id, ln, generate_subscripts(ws, 1) AS k, unnest(ws) AS x FROM (SELECT doc_id, ln, {_NORMAL} AS ws FROM dl))),
+dt AS (SELECT doc_id, p, x, coalesce(lag(ln) OVER o <> ln, true) AS st, coalesce(lead(ln) OVER o <> ln, true) AS en FROM dn WINDOW o AS (PARTITION BY doc_id ORDER BY p)),
+it AS (SELECT item_id, len(ws) AS n, generate_subscripts(ws, 1) - 1 AS a, unnest(ws) AS y FROM (SELECT item_id, {_NORMAL} AS ws FROM benchmark)),
 dp AS (SELECT doc_id, p, string_agg(x, ' ') OVER f4 AS k4, count(*) OVER f4 AS c4, string_agg(x, ' ') OVER f2 AS k2, count(*) OVER f2 AS c2 FROM dt
   WINDOW f4 AS (PARTITION BY doc_id ORDER BY p ROWS BETWEEN CURRENT ROW AND 3 FOLLOWING), f2 AS (PARTITION BY doc_id ORDER BY p ROWS BETWEEN CURRENT ROW AND 1 FOLLOWING)),
 ip AS (SELECT item_id, n, a, string_agg(y, ' ') OVER f4 AS k4, count(*) OVER f4 AS c4, string_agg(y, ' ') OVER f2 AS k2, count(*) OVER f2 AS c2 FROM it
   WINDOW f4 AS (PARTITION BY item_id ORDER BY a ROWS BETWEEN CURRENT ROW AND 3 FOLLOWING), f2 AS (PARTITION BY item_id ORDER BY a ROWS BETWEEN CURRENT ROW AND 1 FOLLOWING)),
 diag AS (SELECT DISTINCT doc_id, item_id, n, p - a AS shift FROM dp JOIN ip ON dp.k4 = ip.k4 AND dp.c4 = 4 AND ip.c4 = 4 AND n >= 13
-  UNION SELECT DISTINCT doc_id, item_id, n, p - a FROM dp JOIN ip ON dp.k2 = ip.k2 AND dp.c2 = 2 AND ip.c2 = 2 AND n < 13),
+  UNION SELECT DISTINCT doc_id, item_id, n, p - a FROM dp JOIN ip ON dp.k2 = ip.k2 AND dp.c2 = 2 AND ip.c2 = 2 AND n < 13 AND n >= 5
+  UNION SELECT d.doc_id, item_id, n, d.p FROM dt d JOIN it ON a = 0 AND n < 5 AND x = y AND st JOIN dt e ON e.doc_id = d.doc_id AND e.p = d.p + n - 1 AND e.en),
 cell AS (SELECT g.doc_id, g.item_id, g.n, shift, a, CASE WHEN x = y THEN 1 ELSE 0 END AS same FROM diag g JOIN it USING (item_id) JOIN dt ON dt.doc_id = g.doc_id AND dt.p = it.a + shift),
 win AS (SELECT *, least(13, n) AS span, sum(same) OVER f AS hits, count(*) OVER f AS c FROM cell
   WINDOW f AS (PARTITION BY doc_id, item_id, n, shift ORDER BY a ROWS BETWEEN CURRENT ROW AND 12 FOLLOWING)),
