@@ -29,7 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import others, table
 
 MIN_LINES = 3
 
@@ -83,14 +83,16 @@ def repeated_lines(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
 
 def clean(docs: DataFrame, min_lines: int = MIN_LINES) -> DataFrame:
     """``docs`` with repeated runs deleted from ``text``, and ``n_lines``, ``n_removed`` (replaced if there)."""
-    names = [c for c in docs.columns if c.lower() not in ("n_lines", "n_removed")]
+    names = others(docs.columns, "n_lines", "n_removed")
     hits = repeated_lines(docs, min_lines).select(F.col("doc_id").alias("_line_dedup_id"), F.col("key").alias("_line_dedup_key"), F.col("gone").alias("_line_dedup_gone"))
     j = docs.select(*names).join(hits, (F.col("doc_id") == F.col("_line_dedup_id")) & (_key() == F.col("_line_dedup_key")), "left")
-    gone = F.coalesce("_line_dedup_gone", F.array().cast("array<int>"))
-    rows = F.split("text", "\n")
-    kept = F.array_join(F.filter(rows, lambda x, i: ~F.array_contains(gone, i)), "\n")
+    gone = F.array_sort(F.coalesce("_line_dedup_gone", F.array().cast("array<int>")))
+    j = j.withColumn("_line_dedup_gone", gone).withColumn("_line_dedup_rows", F.split("text", "\n"))
+    gone, rows = F.col("_line_dedup_gone"), F.col("_line_dedup_rows")
+    # the stretches between deleted lines, each cut out once
+    kept = F.flatten(F.zip_with(F.concat(F.array(F.lit(-1)), gone), F.concat(gone, F.array(F.size(rows))), lambda a, b: F.slice(rows, a + 2, b - a - 1)))
     return j.select(
-        *[F.when(F.size(gone) > 0, kept).otherwise(F.col("text")).alias("text") if c == "text" else F.col(f"`{c}`") for c in names],
+        *[F.when(F.size(gone) > 0, F.array_join(kept, "\n")).otherwise(F.col("text")).alias("text") if c == "text" else F.col(f"`{c}`") for c in names],
         F.coalesce(F.when(F.length("text") > 0, F.size(rows)), F.lit(0)).cast("long").alias("n_lines"),
         F.size(gone).cast("long").alias("n_removed"),
     )
