@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import others, table
 
 LEAF = 256
 #: Fixed value: the pre-token pattern of the vocabulary.
@@ -54,82 +54,119 @@ def cut(text: str, leaf: int = LEAF) -> list[str]:
     return [*out, text[at:]]
 
 
+#: Leaves that one slot of a tree may hold before the tree is laid out anew.
+CROWD = 32
+
+
 class Tree:
-    """Sums of characters and tokens over leaves, as a heap-ordered binary tree."""
+    """Sums of characters and tokens over slots of leaves, as a heap-ordered binary tree.
+
+    A slot begins with one leaf. An edit that makes more or fewer leaves deals them over the
+    slots it touches, so only the sums above those change; a crowded slot has the tree laid
+    out anew, which its leaves have paid for.
+    """
 
     def __init__(self, chars: list[int], tokens: list[int]):
-        self.chars, self.tokens = chars, tokens
-        self._build()
+        self._lay([[x] for x in zip(chars, tokens, strict=True)])
 
     @classmethod
     def of(cls, text: str, count: Callable[[str], int], leaf: int = LEAF) -> Tree:
         parts = cut(text, leaf)
         return cls([len(p) for p in parts], [count(p) for p in parts])
 
-    def _build(self) -> None:
-        self.width = 1 << max(0, len(self.chars) - 1).bit_length()
-        pad = [0] * (self.width - len(self.chars))
-        self.sum_chars = [0] * self.width + self.chars + pad
-        self.sum_tokens = [0] * self.width + self.tokens + pad
+    def _lay(self, slots: list[list[tuple[int, int]]]) -> None:
+        self.slots = slots
+        self.width = 1 << max(0, len(slots) - 1).bit_length()
+        self.sums = [(0, 0)] * (2 * self.width)
+        self.sums[self.width : self.width + len(slots)] = [self._sum(x) for x in slots]
         for i in range(self.width - 1, 0, -1):
             self._add_up(i)
 
+    @staticmethod
+    def _sum(leaves: list[tuple[int, int]]) -> tuple[int, int]:
+        return sum(x[0] for x in leaves), sum(x[1] for x in leaves)
+
     def _add_up(self, i: int) -> None:
-        self.sum_chars[i] = self.sum_chars[2 * i] + self.sum_chars[2 * i + 1]
-        self.sum_tokens[i] = self.sum_tokens[2 * i] + self.sum_tokens[2 * i + 1]
+        a, b = self.sums[2 * i], self.sums[2 * i + 1]
+        self.sums[i] = a[0] + b[0], a[1] + b[1]
+
+    @property
+    def chars(self) -> list[int]:
+        return [x[0] for s in self.slots for x in s]
+
+    @property
+    def tokens(self) -> list[int]:
+        return [x[1] for s in self.slots for x in s]
 
     @property
     def total(self) -> int:
-        return self.sum_tokens[1] if self.width > 1 else self.tokens[0]
+        return self.sums[1][1]
 
     @property
     def length(self) -> int:
-        return self.sum_chars[1] if self.width > 1 else self.chars[0]
-
-    def find(self, pos: int) -> tuple[int, int]:
+        return self.sums[1][0]
+
+    def _beside(self, slot: int, leaf: int, step: int) -> tuple[int, int] | None:
+        """The leaf before or after one."""
+        leaf += step
+        while not 0 <= leaf < len(self.slots[slot]):
+            slot += step
+            if not 0 <= slot < len(self.slots):
+                return None
+            leaf = 0 if step > 0 else len(self.slots[slot]) - 1
+        return slot, leaf
+
+    def find(self, pos: int) -> tuple[tuple[int, int], int]:
         """The leaf that holds character ``pos`` (the last one for the end), and where it starts."""
         if pos >= self.length:
-            return len(self.chars) - 1, self.length - self.chars[-1]
+            slot = len(self.slots) - 1
+            while not self.slots[slot]:
+                slot -= 1
+            return (slot, len(self.slots[slot]) - 1), self.length - self.slots[slot][-1][0]
         i, start = 1, 0
         while i < self.width:
             i *= 2
-            if pos - start >= self.sum_chars[i]:
-                start += self.sum_chars[i]
+            if pos - start >= self.sums[i][0]:
+                start += self.sums[i][0]
                 i += 1
-        return i - self.width, start
+        leaf = 0
+        while pos - start >= self.slots[i - self.width][leaf][0]:
+            start += self.slots[i - self.width][leaf][0]
+            leaf += 1
+        return (i - self.width, leaf), start
 
     def edit(self, text: str, pos: int, deleted: int, inserted: str, count: Callable[[str], int], leaf: int = LEAF) -> tuple[str, int]:
         """The new text, and how many characters were encoded again."""
         pos = min(max(pos, 0), len(text))
         end = min(pos + max(deleted, 0), len(text))
         a, start = self.find(pos)
-        if a and pos <= start + 1:
-            a -= 1
-            start -= self.chars[a]
+        while pos <= start + 1 and (up := self._beside(*a, -1)):
+            a = up
+            start -= self.slots[a[0]][a[1]][0]
         b, b_start = self.find(end)
-        stop = b_start + self.chars[b]
-        while b + 1 < len(self.chars) and end >= stop - 1:
-            b += 1
-            stop += self.chars[b]
+        stop = b_start + self.slots[b[0]][b[1]][0]
+        while end >= stop - 1 and (up := self._beside(*b, 1)):
+            b = up
+            stop += self.slots[b[0]][b[1]][0]
         piece = text[start:pos] + inserted + text[end:stop]
-        parts = cut(piece, leaf)
-        self._replace(a, b, [len(p) for p in parts], [count(p) for p in parts])
+        self._replace(a, b, [(len(p), count(p)) for p in cut(piece, leaf)])
         return text[:start] + piece + text[stop:], len(piece)
 
-    def _replace(self, a: int, b: int, chars: list[int], tokens: list[int]) -> None:
-        same = len(chars) == b - a + 1
-        self.chars[a : b + 1], self.tokens[a : b + 1] = chars, tokens
-        if not same or self.width == 1:  # the leaves moved: sums anew, from the counts that are there
-            self._build()
-            return
+    def _replace(self, a: tuple[int, int], b: tuple[int, int], new: list[tuple[int, int]]) -> None:
+        leaves = self.slots[a[0]][: a[1]] + new + self.slots[b[0]][b[1] + 1 :]
+        n = b[0] - a[0] + 1
         dirty = set()
-        for i in range(a, b + 1):
-            self.sum_chars[self.width + i], self.sum_tokens[self.width + i] = self.chars[i], self.tokens[i]
-            dirty.add((self.width + i) // 2)
-        while dirty and max(dirty):
+        for k in range(n):
+            own = leaves[len(leaves) * k // n : len(leaves) * (k + 1) // n]
+            self.slots[a[0] + k], self.sums[self.width + a[0] + k] = own, self._sum(own)
+            dirty.add((self.width + a[0] + k) // 2)
+        if len(leaves) > CROWD * n:
+            self._lay([[x] for s in self.slots for x in s])
+            return
+        while dirty := dirty - {0}:
             for i in dirty:
                 self._add_up(i)
-            dirty = {i // 2 for i in dirty if i > 1}
+            dirty = {i // 2 for i in dirty}
 
 
 _TREE = "doc_id long, n_chars long, n_tokens long, leaf_chars array<int>, leaf_tokens array<int>"
@@ -195,7 +232,8 @@ def edit_rows(rows: DataFrame, vocabulary: str = VOCABULARY, leaf: int = LEAF, k
 
 
 def with_trees(docs: DataFrame, vocabulary: str = VOCABULARY, leaf: int = LEAF) -> DataFrame:
-    """``docs (doc_id, text, ...)`` with its tree beside it, without a join."""
+    """``docs (doc_id, text, ...)`` with its tree beside it, without a join; columns named like the tree's are replaced."""
+    docs = docs.select(*others(docs.columns, "n_tokens", "leaf_chars", "leaf_tokens"))
     names = docs.columns
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
