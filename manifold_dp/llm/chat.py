@@ -40,55 +40,67 @@ def unescape(c: Column) -> Column:
     return F.regexp_replace(c, r"(?s)\\(.)", "$1")
 
 
-def events_of_turns(turns: DataFrame) -> DataFrame:
-    """A table with one row per turn as an event log of ``message`` events."""
+def _numbered(turns: DataFrame) -> DataFrame:
     w = Window.partitionBy("conv_id").orderBy("turn", "role", "text")
     rows = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    return rows.select("conv_id", F.row_number().over(w).cast("long").alias("turn"), F.lit(0).cast("long").alias("seq"), F.lit("message").alias("kind"), "role", "text")
+    return rows.select("conv_id", F.row_number().over(w).cast("long").alias("turn"), "role", "text")
 
 
-def fold(events: DataFrame) -> DataFrame:
-    """Final messages ``(conv_id, turn, role, text)`` of an event log."""
-    e = F.struct("seq", "kind", "role", F.coalesce("text", F.lit("")).alias("text"))
-    log = events.groupBy("conv_id", "turn").agg(F.sort_array(F.collect_list(e)).alias("log"))
-    start = F.struct(F.lit(False).alias("live"), F.lit("").alias("role"), F.lit("").alias("text"))
+def _event(seq: int, kind: str, role: Column | None, text: Column | None) -> Column:
+    none = F.lit(None).cast("string")
+    return F.struct(F.lit(seq).cast("long").alias("seq"), F.lit(kind).alias("kind"), (none if role is None else role).alias("role"), (none if text is None else text).alias("text"))
 
-    def step(acc, x):
-        text = (
-            F.when(x["kind"].isin("message", "edit"), x["text"])
-            .when(x["kind"] == "delta", F.concat(acc["text"], x["text"]))
-            .when(x["kind"].isin("regenerate", "remove"), F.lit(""))
-            .otherwise(acc["text"])
-        )
-        live = F.when(x["kind"] == "remove", F.lit(False)).otherwise(F.lit(True))
-        return F.struct(live.alias("live"), F.coalesce(x["role"], acc["role"]).alias("role"), text.alias("text"))
 
-    done = log.withColumn("m", F.aggregate("log", start, step))
-    return done.where("m.live").select("conv_id", "turn", "m.role", "m.text")
+def events_of_turns(turns: DataFrame) -> DataFrame:
+    """A table with one row per turn as an event log of ``message`` events."""
+    return _numbered(turns).select("conv_id", "turn", F.inline(F.array(_event(0, "message", F.col("role"), F.col("text")))))
+
+
+def streamed_events(turns: DataFrame) -> DataFrame:
+    """The same turns as a server would have logged them, events out of order: turns streamed in
+    three deltas, drafts that were regenerated or edited, and turns removed and sent again."""
+    role, text = F.col("role"), F.col("text")
+    n = F.char_length(text)
+    third, rest = F.floor(n / 3).cast("int"), F.floor(2 * n / 3).cast("int")
+    deltas = [_event(9, "delta", None, F.substr(text, rest + 1)), _event(7, "delta", None, F.substr(text, F.lit(1), third)), _event(8, "delta", None, F.substr(text, third + 1, rest - third))]
+    draft = F.concat(F.lit("draft of "), F.left(text, F.lit(12)))
+    logs = [
+        F.array(*deltas, _event(0, "message", role, F.lit(""))),
+        F.array(*deltas, _event(6, "regenerate", None, None), _event(0, "message", role, draft)),
+        F.array(_event(5, "edit", None, text), _event(0, "message", role, draft), _event(1, "delta", None, draft)),
+        F.array(_event(4, "message", role, text), _event(3, "remove", None, None), _event(0, "message", role, draft)),
+    ]
+    kind = F.pmod(F.col("turn"), F.lit(len(logs)))
+    log = F.when(kind == 0, logs[0]).when(kind == 1, logs[1]).when(kind == 2, logs[2]).otherwise(logs[3])
+    return _numbered(turns).select("conv_id", "turn", F.inline(log))
+
+
+def fold(events: DataFrame) -> DataFrame:
+    """Final messages ``(conv_id, turn, role, text)`` of an event log.
+
+    What counts is the last event that sets or empties the text and the deltas after it,
+    so a turn of many deltas is joined once, not appended to again and again.
+    """
+    e = F.struct("seq", F.coalesce("kind", F.lit("")).alias("kind"), "role", F.coalesce("text", F.lit("")).alias("text"))
+    log = events.groupBy("conv_id", "turn").agg(F.sort_array(F.collect_list(e)).alias("log"))
+    last = F.array_max(F.transform("log", lambda x, i: F.when(x["kind"].isin("message", "edit", "regenerate", "remove"), i + 1).otherwise(F.lit(0))))
+    log = log.select("conv_id", "turn", "log", last.alias("last"))
+    base = F.when(F.try_element_at("log", F.nullif("last", F.lit(0)))["kind"].isin("message", "edit"), F.try_element_at("log", F.nullif("last", F.lit(0)))["text"]).otherwise(F.lit(""))
+    deltas = F.filter(F.slice("log", F.col("last") + 1, F.size("log")), lambda x: x["kind"] == "delta")
+    roles = F.filter(F.transform("log", lambda x: x["role"]), lambda r: r.isNotNull())
+    done = log.where(F.element_at("log", -1)["kind"] != "remove")
+    return done.select("conv_id", "turn", F.coalesce(F.try_element_at(roles, F.lit(-1)), F.lit("")).alias("role"), F.concat(base, F.array_join(F.transform(deltas, lambda x: x["text"]), "")).alias("text"))
 
 
 def render(messages: DataFrame, trained_role: str = "assistant") -> DataFrame:
     """``(conv_id, formatted, mask)``; mask: [start, length) of each trained text, in code points of ``formatted``."""
     name = F.regexp_replace(escape(F.col("role")), "\n", "\\\\\n")
-    part = messages.select(
-        "conv_id",
-        F.struct(
-            "turn",
-            F.concat(F.lit(HEAD), name, F.lit(":\n")).alias("head"),
-            escape(F.col("text")).alias("body"),
-            (F.col("role") == trained_role).alias("trained"),
-        ).alias("p"),
-    )
-    parts = part.groupBy("conv_id").agg(F.array_sort(F.collect_list("p")).alias("p"))
-    sizes = F.transform("p", lambda x: F.struct(F.char_length(x["head"]).alias("h"), F.char_length(x["body"]).alias("b"), x["trained"].alias("t")))
-    spans = F.aggregate(
-        sizes,
-        F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,length:int>>").alias("mask")),
-        lambda a, s: F.struct(
-            (a["at"] + s["h"] + s["b"] + len(TAIL)).alias("at"),
-            F.when(s["t"], F.array_append(a["mask"], F.struct((a["at"] + s["h"]).alias("start"), s["b"].alias("length")))).otherwise(a["mask"]).alias("mask"),
-        ),
-    )["mask"]
+    part = messages.select("conv_id", "turn", F.concat(F.lit(HEAD), name, F.lit(":\n")).alias("head"), escape(F.col("text")).alias("body"), (F.col("role") == trained_role).alias("trained"))
+    part = part.withColumn("h", F.char_length("head")).withColumn("b", F.char_length("body"))
+    before = Window.partitionBy("conv_id").orderBy("turn", "head", "body").rowsBetween(Window.unboundedPreceding, -1)
+    part = part.withColumn("at", F.coalesce(F.sum(F.col("h") + F.col("b") + len(TAIL)).over(before), F.lit(0)).cast("int"))
+    parts = part.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", "head", "body", "trained", "at", "h", "b"))).alias("p"))
+    spans = F.transform(F.filter("p", lambda x: x["trained"]), lambda x: F.struct((x["at"] + x["h"]).alias("start"), x["b"].alias("length")))
     text = F.array_join(F.transform("p", lambda x: F.concat(x["head"], x["body"], F.lit(TAIL))), "")
     return parts.select("conv_id", text.alias("formatted"), spans.alias("mask"))
 
@@ -130,7 +142,8 @@ def with_odd_conversation(spark: SparkSession, turns: DataFrame) -> DataFrame:
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = with_odd_conversation(spark, spark.read.parquet(f"{sf_dir}/conversations.parquet"))
-    return digest(parse(render(fold(events_of_turns(turns)))))
+    """Every conversation, reconstructed from a log of deltas, edits, regenerations and removals of its turns."""
+    return digest(parse(render(fold(streamed_events(turns)))))
 
 
 ORACLE = r"""
