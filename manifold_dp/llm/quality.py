@@ -3,19 +3,24 @@
 Two zstandard dictionaries are built, one from good and one from bad labelled texts. A
 text is cut into blocks of ``BLOCK`` bytes, each compressed on its own with either
 dictionary (on a long text a single frame would soon learn the text itself, and both
-sizes would meet). Measures of a whole text: the normalised difference of the two total
-sizes, the same of its worst block, and the good dictionary's compression ratio, since
-a text of one repeated word packs well with any dictionary. A logistic curve fitted on
+sizes would meet). Two measures of a whole text: the difference of the two total sizes,
+normalised by the text's own size, and the good dictionary's compression ratio, since a
+text of one repeated word packs well with any dictionary. A logistic curve fitted on
 other labelled texts calibrates them into a score from 0 to 1.
 
-Fitting reads a bounded sample (``DICT`` texts a class for dictionaries, up to
-``SAMPLE_BYTES`` of each, and ``CALIBRATE`` whole texts a class for the curve), least
-hashes of the id first; scoring reads every whole text. Only text is an input.
+The difference alone ranks held-out texts; the ratio moves the threshold. Held out at sf0.1
+(825 texts; recall and false positives at the threshold): difference alone AUC 0.991, 0.994,
+0.22; with the ratio 0.985, 0.996, 0.06.
+
+Fitting reads a bounded sample, least hashes of the id first: ``DICT`` whole texts a class
+for dictionaries, of whose blocks the ``BLOCKS`` of least hash are used, wherever in a text
+they stand, and ``CALIBRATE`` whole texts a class for the curve. Scoring reads every whole
+text. Only text is an input.
 
 Defined results: null text scores as the empty text; a document with several labels has
 the greatest; labels that are null or without document do not count; if a class has no
 labelled text the score is the share of good labels (0.5 without any); other columns pass
-through, and a column named like a result is replaced.
+through, and a column named like a result (in any case) is replaced.
 """
 
 from __future__ import annotations
@@ -29,10 +34,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import table
+from .common import others, table
 
 BLOCK, LEVEL, DICT_BYTES = 2048, 3, 112_640
-DICT, CALIBRATE, SAMPLE_BYTES = 1500, 1500, 8192
+DICT, CALIBRATE, BLOCKS = 1500, 1500, 4000
 THRESHOLD = 0.3
 
 
@@ -46,14 +51,27 @@ class Model:
     prior: float
 
 
-def _dictionary(texts: list[bytes]) -> bytes:
+def _dictionary(blocks: list[bytes]) -> bytes:
     import zstandard
 
-    parts = [t[i : i + BLOCK] for t in texts for i in range(0, len(t), BLOCK)]
     try:
-        return zstandard.train_dictionary(DICT_BYTES, [p for p in parts if len(p) > 16], level=LEVEL).as_bytes()
+        return zstandard.train_dictionary(DICT_BYTES, [p for p in blocks if len(p) > 16], level=LEVEL).as_bytes()
     except (zstandard.ZstdError, ValueError):  # too few texts: their own bytes serve as the dictionary
-        return b"\n".join(texts)[-DICT_BYTES:]
+        return b"\n".join(blocks)[-DICT_BYTES:]
+
+
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Every block of every text, with a hash of its place."""
+    import hashlib
+
+    for b in batches:
+        rows = []
+        for i, y, t in zip(*(b.column(c).to_pylist() for c in range(3)), strict=True):
+            data = t.encode()
+            for at in range(0, len(data), BLOCK):
+                h = hashlib.blake2b(f"{i}:{at}".encode(), digest_size=8).digest()
+                rows.append({"y": y, "h": int.from_bytes(h, "big", signed=True), "block": data[at : at + BLOCK]})
+        yield pa.RecordBatch.from_pylist(rows, pa.schema([("y", pa.int32()), ("h", pa.int64()), ("block", pa.binary())]))
 
 
 def _packers(model: Model):
@@ -69,12 +87,11 @@ def _packers(model: Model):
 
 def _measures(data: bytes, good, bad) -> list[float]:
     g = b = 0
-    worst = 1.0
     for i in range(0, max(1, len(data)), BLOCK):
         x = data[i : i + BLOCK]
-        p, q = len(good.compress(x)), len(bad.compress(x))
-        g, b, worst = g + p, b + q, min(worst, (q - p) / (q + p))
-    return [(b - g) / (b + g), worst, min(2.0, g / max(1, len(data)))]
+        g, b = g + len(good.compress(x)), b + len(bad.compress(x))
+    n = max(1, len(data))
+    return [(b - g) / n, min(2.0, g / n)]
 
 
 def _measurer(model: Model, names: list[str], text: str, measures: bool):
@@ -84,11 +101,11 @@ def _measurer(model: Model, names: list[str], text: str, measures: bool):
             found = []
             for x in batch.column(batch.schema.get_field_index(text)):
                 data = x.as_py() or ""
-                found.append(_measures(data.encode(), *packers) if packers else [0.0, 0.0, 0.0])
-            m = np.array(found, np.float64).reshape(-1, 3)
+                found.append(_measures(data.encode(), *packers) if packers else [0.0, 0.0])
+            m = np.array(found, np.float64).reshape(-1, 2)
             own = [batch.column(batch.schema.get_field_index(n)) for n in names]
             if measures:
-                yield pa.RecordBatch.from_arrays([*own, *(pa.array(m[:, i]) for i in range(3))], [*names, "diff", "worst", "ratio"])
+                yield pa.RecordBatch.from_arrays([*own, *(pa.array(m[:, i]) for i in range(2))], [*names, "diff", "ratio"])
                 continue
             z = np.c_[np.ones(len(m)), (m - model.mean) / model.scale] @ model.weight if packers else np.full(len(m), np.log(model.prior / (1 - model.prior)))
             s = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
@@ -115,7 +132,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label: str = "qualit
     picked = [r for y in (0, 1) for r in known.where(F.col("y") == y).orderBy(order, "doc_id").limit(DICT + CALIBRATE).collect()]
     n = {y: sum(r.y == y for r in picked) for y in (0, 1)}
     prior = min(0.999, max(0.001, n[1] / (n[0] + n[1]))) if n[0] + n[1] else 0.5
-    none = Model(None, None, np.zeros(3), np.ones(3), np.zeros(4), prior)
+    none = Model(None, None, np.zeros(2), np.ones(2), np.zeros(3), prior)
     if not n[0] or not n[1]:
         return none
     seen = {0: 0, 1: 0}
@@ -125,16 +142,16 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label: str = "qualit
         use.append((r.doc_id, r.y, seen[r.y] <= min(DICT, max(1, n[r.y] // 2))))
     sample = F.broadcast(docs.sparkSession.createDataFrame(use, "doc_id long, y int, dict boolean"))
     chosen = docs.where(F.col("text").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(sample, "doc_id")
-    got = chosen.where("dict").select("doc_id", "y", F.substring("text", 1, SAMPLE_BYTES).alias("t")).orderBy("doc_id").collect()
-    texts = {y: [r.t.encode()[:SAMPLE_BYTES] for r in got if r.y == y] for y in (0, 1)}
+    cut = chosen.where("dict").select("doc_id", "y", "text").mapInArrow(_blocks, "y int, h long, block binary")
+    texts = {y: [r.block for r in cut.where(F.col("y") == y).orderBy("h", "block").limit(BLOCKS).collect()] for y in (0, 1)}
     if not texts[0] or not texts[1]:
         return none
-    model = Model(_dictionary(texts[1]), _dictionary(texts[0]), np.zeros(3), np.ones(3), np.zeros(4), prior)
-    spots = chosen.where(~F.col("dict")).select("doc_id", "y", "text").mapInArrow(_measurer(model, ["doc_id", "y"], "text", True), "doc_id long, y int, diff double, worst double, ratio double")
+    model = Model(_dictionary([bytes(x) for x in texts[1]]), _dictionary([bytes(x) for x in texts[0]]), np.zeros(2), np.ones(2), np.zeros(3), prior)
+    spots = chosen.where(~F.col("dict")).select("doc_id", "y", "text").mapInArrow(_measurer(model, ["doc_id", "y"], "text", True), "doc_id long, y int, diff double, ratio double")
     rows = sorted(tuple(r) for r in spots.collect())
     y = np.array([r[1] for r in rows], np.float64)
     if len(set(y.tolist())) < 2:
-        model.weight = np.array([0.0, 4.0, 0.0, 0.0])
+        model.weight = np.array([0.0, 4.0, 0.0])
         return model
     model.mean, model.scale, model.weight = _curve(np.array([r[2:] for r in rows], np.float64), y)
     return model
@@ -142,7 +159,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label: str = "qualit
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """``docs`` with ``score`` and ``predicted``."""
-    names = [c for c in docs.columns if c not in ("score", "predicted")]
+    names = others(docs.columns, "score", "predicted")
     schema = T.StructType([*(docs.schema[c] for c in names), T.StructField("score", T.DoubleType())])
     out = docs.select(*names).mapInArrow(_measurer(model, names, "text", False), schema)
     return out.withColumn("predicted", (F.col("score") >= THRESHOLD).cast("int"))
