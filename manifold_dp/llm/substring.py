@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import words as W
-from .common import Scratch, odd_at_least, table, writing
+from .common import Scratch, odd_at_least, partitions_for, table, writing
 
 K = 13
 #: Windows that a task settles among themselves before it sends them.
@@ -321,9 +321,9 @@ def _scattered(k: int):
     return check
 
 
-def _unverified(docs: DataFrame, asked: DataFrame, parts: int, k: int, bits: int, scratch: Scratch) -> int:
+def _unverified(docs: DataFrame, asked: DataFrame, parts: int, k: int, bits: int, scratch: Scratch, partitions: int) -> int:
     parted = _with_part(docs, parts)
-    bad = scratch.keep(parted.groupBy("part").cogroup(asked.groupBy("part")).applyInArrow(_checker(k, bits), BAD), "open")
+    bad = scratch.keep(parted.groupBy("part").cogroup(asked.groupBy("part")).applyInArrow(_checker(k, bits), BAD), "open", partitions)
     if not bad.head(1):
         return 0
     owner = docs.withColumnRenamed("doc_id", "d").select("d", "text")
@@ -339,6 +339,7 @@ class FingerprintIndex:
         self.spark, self.k, self.max_runs, self.bits, self.lanes = spark, k, max_runs, bits, lanes
         self.buckets = max(8, round(expected_bytes / 6.5 / BUCKET))
         self.parts = odd_at_least(expected_bytes / PART + 7)
+        self.partitions = min(partitions_for(expected_bytes), self.buckets)
         self.scratch = Scratch(spark)
         self.name, self.at = f"runs_{uuid.uuid4().hex}", self.scratch.path("runs")
         self.runs: list[int] = []
@@ -363,7 +364,7 @@ class FingerprintIndex:
             return both.where("kind = 'hit'").select("part", "h", "h2", "d", "f")
         self.made += 1
         out = both.withColumn("run", F.lit(self.made)).write.option("compression", "zstd").bucketBy(min(self.buckets, 4096), "bucket").partitionBy("run", "kind")
-        with writing(self.spark):
+        with writing(self.spark, self.partitions):
             out.mode("append").option("path", self.at).saveAsTable(self.name)
         self.spark.catalog.refreshTable(self.name)
         if compact:
@@ -390,14 +391,14 @@ def _once(docs: DataFrame, batches: list[DataFrame], index: FingerprintIndex, wa
     for i, b in enumerate(batches):
         hits = index.hits(b, keep=i + 1 < len(batches))
         found = hits if found is None else found.unionByName(hits)
-    found = scratch.keep(found, "hits")
+    found = scratch.keep(found, "hits", index.partitions)
     index.drop()
     parted = _with_part(docs, index.parts)
     marked = parted.groupBy("part").cogroup(found.groupBy("part")).applyInArrow(_marker(index.k, index.lanes, index.bits, want_text), OUT)
-    marked = scratch.keep(marked, "marked")
+    marked = scratch.keep(marked, "marked", index.partitions)
     scratch.drop(found)
     asked = marked.where("kind = 'ask'").groupBy("f", "h", "n", "digest").agg(F.min("doc_id").alias("d")).withColumn("part", F.pmod("f", F.lit(index.parts)).cast("long"))
-    bad = _unverified(docs, asked, index.parts, index.k, index.bits, scratch)
+    bad = _unverified(docs, asked, index.parts, index.k, index.bits, scratch, index.partitions)
     scratch.free()
     return marked.where("kind = 'doc'").select("doc_id", "n_words", "n_removed", "text", "kept_sha256"), bad
 
