@@ -44,7 +44,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import words as W
-from .common import Scratch, odd_at_least, table, total_chars
+from .common import Scratch, join_hot, odd_at_least, partitions_for, table, total_chars
 from .components import components
 
 K, PERCENT = 5, 80
@@ -56,13 +56,15 @@ class Limits:
 
     ``frequent``: a shingle of more sets is frequent; ``list``: nodes of a list whose pairs
     are made; ``combine``: frequent shingles of a prefix that are combined; ``block``: sets
-    of a hot group that are compared with each other at once.
+    of a hot group that are compared with each other at once, of ``cell`` bytes at most on
+    average.
     """
 
     frequent: int = 16
     list: int = 32
     combine: int = 48
-    block: int = 1024
+    block: int = 256
+    cell: int = 16 << 20
 
 
 #: Shingles that a task sorts together; expected ones of a bucket; bytes of text of a part.
@@ -430,13 +432,15 @@ def _links_of(cells: DataFrame, percent: int, block: int) -> DataFrame:
     return cells.groupBy("cell").applyInArrow(_block_links(percent, block), "a long, b long")
 
 
-def _hot_links(stars: DataFrame, parted: DataFrame, parts: int, k: int, percent: int, block: int, scratch: Scratch) -> DataFrame:
+def _hot_links(stars: DataFrame, parted: DataFrame, parts: int, k: int, percent: int, limits: Limits, scratch: Scratch, partitions: int) -> DataFrame:
     """Links among the nodes of hot groups, enough to connect all that are connected."""
+    block = limits.block
+    blocks_of = F.greatest(F.ceil(F.count(F.lit(1)) / block), F.ceil(F.sum(F.octet_length("whole")) / limits.cell))
     groups = scratch.keep(components(stars, scratch), "groups")
     asked = groups.select("node", F.pmod("node", F.lit(parts)).cast("long").alias("part"))
     found = parted.groupBy("part").cogroup(asked.groupBy("part")).applyInArrow(_fetch(k), "node long, whole binary")
-    members = scratch.keep(found.join(groups, "node"), "members")
-    size = members.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / block).alias("blocks"))
+    members = scratch.keep(found.join(groups, "node"), "members", partitions)
+    size = members.groupBy("component").agg(blocks_of.alias("blocks"))
     cut = members.join(size, "component").withColumn("block", F.pmod(F.xxhash64("node"), "blocks"))
     cell = F.concat_ws(":", "component", "block")
     links = scratch.keep(_links_of(cut.select(cell.alias("cell"), F.lit(0).alias("side"), "node", "whole"), percent, block), "links")
@@ -445,8 +449,8 @@ def _hot_links(stars: DataFrame, parted: DataFrame, parts: int, k: int, percent:
         label = components(links, scratch).withColumnRenamed("component", "label")
         state = scratch.keep(cut.join(label, "node", "left").withColumn("label", F.coalesce("label", "node")), "state")
         reps = state.where(F.col("blocks") > 1).where(F.col("node") == F.col("label"))
-        n = reps.groupBy("component").agg(F.count(F.lit(1)).alias("reps"))
-        again = reps.join(n.where("reps > 1"), "component").withColumn("block", F.pmod(F.xxhash64("node", F.lit(7)), F.ceil(F.col("reps") / block)))
+        n = reps.groupBy("component").agg(F.count(F.lit(1)).alias("reps"), blocks_of.alias("cells"))
+        again = reps.join(n.where("reps > 1"), "component").withColumn("block", F.pmod(F.xxhash64("node", F.lit(7)), "cells"))
         more = scratch.keep(_links_of(again.select(cell.alias("cell"), F.lit(0).alias("side"), "node", "whole"), percent, block), "links")
         if not more.head(1):
             break
@@ -455,7 +459,7 @@ def _hot_links(stars: DataFrame, parted: DataFrame, parts: int, k: int, percent:
     label_size = state.where(F.col("blocks") > 1).groupBy("component", "label").agg(F.count(F.lit(1)).alias("n"))
     main = label_size.groupBy("component").agg(F.max(F.struct("n", "label")).alias("main")).select("component", F.col("main.label").alias("main"))
     apart = state.join(main, "component").where(F.col("label") != F.col("main"))
-    strays = apart.groupBy("component").agg((F.ceil(F.count(F.lit(1)) / block) - 1).alias("last"))
+    strays = apart.groupBy("component").agg((blocks_of - 1).alias("last"))
     apart = apart.join(strays, "component").select("component", F.pmod(F.xxhash64("node", F.lit(9)), F.col("last") + 1).alias("stray"), "node", "whole")
     others = state.join(strays, "component").select("component", "block", "node", "whole", F.explode(F.sequence(F.lit(0).cast("long"), F.col("last"))).alias("stray"))
     blocks = size.join(strays, "component").select("component", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"))
@@ -475,35 +479,37 @@ def links(docs: DataFrame, k: int = K, percent: int = PERCENT, limits: Limits =
     spark = docs.sparkSession
     scratch = Scratch(spark)
     size = total_chars(docs)
-    buckets, parts = max(8, round(size / 6.5 / BUCKET)), odd_at_least(size / PART + 7)
+    buckets, parts, partitions = max(8, round(size / 6.5 / BUCKET)), odd_at_least(size / PART + 7), partitions_for(size)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     real = docs.where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
     members = scratch.keep(docs.mapInArrow(_members(k), "doc_id long, n_shingles long, k1 long, k2 long"), "members")
-    full = members.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    node = full.groupBy("k1", "k2", "n_shingles").agg(F.min("doc_id").alias("node"))
-    known = members.join(node, ["k1", "k2", "n_shingles"], "left").select("doc_id", "n_shingles", "node")
-    known = scratch.keep(known, "nodes")
+    with_set = "n_shingles > 0 AND doc_id IS NOT NULL"
+    full, key = members.where(with_set), ["k1", "k2", "n_shingles"]
+    node = scratch.keep(full.groupBy(*key).agg(F.min("doc_id").alias("node"), F.count(F.lit(1)).alias("rows")), "equal", partitions)
+    known = join_hot(full, node, key, "rows", members.count())  # no task gets all copies of one set
+    known = known.select("doc_id", "n_shingles", "node").unionByName(members.where(f"NOT ({with_set})").select("doc_id", "n_shingles", F.lit(None).cast("long").alias("node")))
+    known = scratch.keep(known, "nodes", partitions)
     parted = real.select(F.pmod("doc_id", F.lit(parts)).cast("long").alias("part"), "doc_id", "text")
 
     own = known.where("node = doc_id").select("node").distinct()
     to_node = own.select(F.lit(None).cast("long").alias("bucket"), F.lit("node").alias("kind"), F.pmod("node", F.lit(parts)).cast("long").alias("part"), F.lit(None).cast("binary").alias("h"), F.to_binary(F.lpad(F.hex("node"), 16, "0"), F.lit("hex")).alias("d"), F.lit(None).cast("binary").alias("n"))
     shingles = parted.groupBy("part").cogroup(to_node.groupBy("part")).applyInArrow(_shingles(k, buckets), PACKED)
-    frequent = scratch.keep(shingles.groupBy("bucket").applyInArrow(_frequent(parts, limits.frequent), PACKED), "frequent")
+    frequent = scratch.keep(shingles.groupBy("bucket").applyInArrow(_frequent(parts, limits.frequent), PACKED), "frequent", partitions)
     scratch.free()
     right = frequent.unionByName(to_node)
     keys = parted.groupBy("part").cogroup(right.groupBy("part")).applyInArrow(_indexer(k, percent, buckets, limits.combine), PACKED)
-    lists = scratch.keep(keys.groupBy("bucket").applyInArrow(_lister(percent, parts, limits.list), PACKED), "lists")
+    lists = scratch.keep(keys.groupBy("bucket").applyInArrow(_lister(percent, parts, limits.list), PACKED), "lists", partitions)
     scratch.drop(frequent)
 
     pairs = lists.where("kind = 'pair'")
     for whole in (False, True):
         sent = parted.groupBy("part").cogroup(pairs.groupBy("part")).applyInArrow(_sender(k, parts, whole), SENT)
-        pairs = scratch.keep(parted.groupBy("part").cogroup(sent.groupBy("part")).applyInArrow(_judge(k, percent, parts, whole), PACKED), "pairs")
+        pairs = scratch.keep(parted.groupBy("part").cogroup(sent.groupBy("part")).applyInArrow(_judge(k, percent, parts, whole), PACKED), "pairs", partitions)
         scratch.free()
     found = pairs.mapInArrow(_unpack_pairs, "a long, b long")
     stars = lists.where("kind = 'star'").mapInArrow(_unpack_pairs, "a long, b long")
     if stars.head(1):
-        found = found.unionByName(_hot_links(stars, parted, parts, k, percent, limits.block, scratch))
+        found = found.unionByName(_hot_links(stars, parted, parts, k, percent, limits, scratch, partitions))
     several = known.where("node IS NOT NULL").groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("most")).where("a <> most")
     versions = known.join(several, "doc_id").where("node <> a").select("a", F.col("node").alias("b"))
     found = scratch.keep(found.unionByName(versions).distinct(), "links")
