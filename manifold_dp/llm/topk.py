@@ -7,9 +7,12 @@ with a query sum to a bound no row of the block exceeds. Per query the blocks ar
 falling bound and scored through the block's matrix ("forward index"), until the bound
 falls below the query's kth score so far; bounds equal to it still count, for ties.
 
-Queries are stated rows. They are dealt into blocks of about ``QUERIES`` by hash, and one
-block at a time is sent to all rows, so that what is broadcast never grows with the data.
-Each task returns at most k rows a query; ranks come from those.
+Queries are stated rows. Up to ``QUERIES`` of them (and ``SENT`` bytes) are sent to all
+tasks, and rows stay where they are. More are dealt into blocks by hash, rows into parts of
+about ``HELD``, and each block meets each part in a task of its own by shuffle, so neither
+the driver nor a task holds more than one block of queries and one part of rows at any
+size. Each task returns at most k rows a query; ranks come from those. Equal query rows are
+searched for once.
 
 Defined results: vectors that are null or hold null or non-finite components take no
 part; only vectors of one length are compared; ties go to the smaller ``vec_id`` (null
@@ -33,7 +36,10 @@ from .common import table
 SCALE, K = 256.0, 5
 #: Queries sent at once, rows of a block, rows held at once.
 QUERIES, BLOCK, HELD = 4096, 512, 65536
-FOUND = "slot long, query_id long, vec_id long, score long"
+SENT = 64 << 20
+FOUND = "slot long, query_id long, copies long, vec_id long, score long"
+NAMES = ["slot", "query_id", "copies", "vec_id", "score"]
+_SCHEMA = pa.schema([(c, pa.int64()) for c in NAMES])
 LAST = np.iinfo(np.int64).max
 
 
@@ -72,8 +78,21 @@ class _Best:
         self.ids[q[who[top]], place[top]] = row[top]
 
 
-def _search(queries: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]], k: int, scale: float):
-    """``queries``: by length, slots, ids and integer vectors (as float64, or as objects if large)."""
+def _packed(queries: pa.Table, scale: float) -> dict[int, tuple[np.ndarray, ...]]:
+    """``(slot, query_id, copies, v)`` as arrays, by length of the vector: slots, ids, copies and integer vectors."""
+    out = {}
+    v = queries["v"].combine_chunks() if queries.num_rows else pa.array([], pa.list_(pa.float64()))
+    size = pa.compute.list_value_length(v).to_numpy(zero_copy_only=False)
+    for d in np.unique(size).tolist():
+        at = pa.array(np.flatnonzero(size == d))
+        some = queries.take(at)
+        flat = v.take(at).flatten().to_numpy(zero_copy_only=False)
+        out[d] = (*(some[c].to_numpy() for c in NAMES[:3]), np.floor(scale * flat).reshape(len(at), d))
+    return out
+
+
+def _search(queries: dict[int, tuple[np.ndarray, ...]], k: int, scale: float):
+    """``queries`` as ``_packed`` gives them."""
 
     def scan(best: _Best, qid: np.ndarray, q: np.ndarray, ids: np.ndarray, rows: np.ndarray) -> None:
         cuts = range(0, len(ids), BLOCK)
@@ -100,7 +119,7 @@ def _search(queries: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]], k: in
         def flush(d: int) -> None:
             if held[d]:
                 ids, rows = (np.concatenate(x) for x in zip(*held[d], strict=True))
-                scan(best[d], queries[d][1], queries[d][2], ids, rows)
+                scan(best[d], queries[d][1], queries[d][3], ids, rows)
                 held[d] = []
 
         for b in batches:
@@ -114,60 +133,68 @@ def _search(queries: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]], k: in
                 held[d].append((ids[at], np.floor(scale * flat).reshape(len(at), d)))
                 if sum(len(x[0]) for x in held[d]) >= HELD:
                     flush(d)
-        for d, (slots, qid, _) in queries.items():
+        for d, (slots, qid, copies, _) in queries.items():
             flush(d)
             at, place = np.nonzero(best[d].score > -np.inf)
             ids = best[d].ids[at, place]
-            yield pa.RecordBatch.from_arrays([pa.array(slots[at]), pa.array(qid[at]), pa.array(ids, mask=ids == LAST), pa.array(best[d].score[at, place].astype(np.int64))], ["slot", "query_id", "vec_id", "score"])
+            yield pa.RecordBatch.from_arrays([*(pa.array(c[at], pa.int64()) for c in (slots, qid, copies)), pa.array(ids, mask=ids == LAST), pa.array(best[d].score[at, place].astype(np.int64))], NAMES)
 
     return search
 
 
-def _exact(queries: dict[int, list], k: int, scale: float):
+def _exact(queries: list[tuple], k: int, scale: float):
     """The same for vectors so large that float64 sums may round: Python integers, row by row."""
 
     def whole(v) -> list[int]:
         return [int(x) for x in np.floor(scale * np.asarray(v, np.float64)).tolist()]
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        qs = [(slot, qid, whole(v)) for slot, qid, v in queries]
-        best: dict[int, list] = {slot: [] for slot, _, _ in qs}
+        qs = [(i, qid, whole(v)) for i, (_, qid, _, v) in enumerate(queries)]
+        best: dict[int, list] = {i: [] for i, *_ in qs}
         for b in batches:
-            for i, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            for r, v in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 x = whole(v)
-                for slot, qid, q in qs:
-                    if len(q) == len(x) and i != qid:
-                        best[slot] = sorted([*best[slot], (-sum(a * c for a, c in zip(q, x, strict=True)), LAST if i is None else i)])[:k]
-        rows = [(slot, qid, None if i == LAST else i, min(max(-s, -LAST - 1), LAST)) for slot, qid, _ in qs for s, i in best[slot]]
-        yield pa.RecordBatch.from_pylist([dict(zip(("slot", "query_id", "vec_id", "score"), r, strict=True)) for r in rows], pa.schema([(c, pa.int64()) for c in ("slot", "query_id", "vec_id", "score")]))
+                for i, qid, q in qs:
+                    if len(q) == len(x) and r != qid:
+                        best[i] = sorted([*best[i], (-sum(a * c for a, c in zip(q, x, strict=True)), LAST if r is None else r)])[:k]
+        rows = [(*queries[i][:3], None if r == LAST else r, min(max(-s, -LAST - 1), LAST)) for i, *_ in qs for s, r in best[i]]
+        yield pa.RecordBatch.from_pylist([dict(zip(NAMES, r, strict=True)) for r in rows], _SCHEMA)
 
     return search
 
 
-def topk(rows: DataFrame, is_query: Column, k: int = K, scale: float = SCALE, vector: str = "embedding") -> DataFrame:
+def _scanner(queries: pa.Table, k: int, scale: float, fits: bool):
+    if fits:
+        return _search(_packed(queries, scale), k, scale)
+    return _exact(list(zip(*(queries[c].to_pylist() for c in (*NAMES[:3], "v")), strict=True)), k, scale)
+
+
+def topk(rows: DataFrame, is_query: Column, k: int = K, scale: float = SCALE, vector: str = "embedding", at_once: int = QUERIES, held: int = HELD) -> DataFrame:
     """``(query_id, rank, vec_id, score)`` of the k best rows of each query row."""
-    spark = rows.sparkSession
     rows = usable(rows, vector).select(F.col("vec_id").cast("long").alias("vec_id"), F.col(vector).cast("array<double>").alias("v"))
-    stated = rows.where(is_query)
-    n, largest, longest = stated.agg(F.count(F.lit(1)), F.max(F.array_max(F.transform("v", F.abs))), F.max(F.size("v"))).first()
-    most = rows.agg(F.max(F.array_max(F.transform("v", F.abs)))).first()[0] or 0.0
-    exact = (scale * (largest or 0.0) + 1) * (scale * most + 1) * max(1, longest or 1) < 2.0**53
-    blocks = max(1, -(-n // QUERIES))
-    found = None
-    for b in range(blocks):
-        some = stated.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).orderBy("vec_id").collect()  # about QUERIES rows
-        if exact:
-            by: dict[int, list] = {}
-            for i, r in enumerate(some):
-                by.setdefault(len(r.v), []).append((b * 2**32 + i, r.vec_id, r.v))
-            packed = {d: (np.array([x[0] for x in q]), np.array([x[1] for x in q]), np.floor(scale * np.array([x[2] for x in q], np.float64)).reshape(len(q), d)) for d, q in by.items()}
-            scan = _search(packed, k, scale)
-        else:
-            scan = _exact([(b * 2**32 + i, r.vec_id, r.v) for i, r in enumerate(some)], k, scale)
-        part = rows.mapInArrow(scan, FOUND)
-        found = part if found is None else found.unionByName(part)
-    w = Window.partitionBy("slot").orderBy(F.desc("score"), F.asc_nulls_last("vec_id"))
-    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    most = F.array_max(F.transform("v", F.abs))
+    total, n, largest_query, largest, longest = rows.agg(F.count(F.lit(1)), F.count(F.when(is_query, 1)), F.max(F.when(is_query, most)), F.max(most), F.max(F.size("v"))).first()
+    longest = max(1, longest or 1)
+    fits = (scale * (largest_query or 0.0) + 1) * (scale * (largest or 0.0) + 1) * longest < 2.0**53  # all sums are exact in float64
+    slot = F.xxhash64("vec_id", "v")
+    stated = rows.where(is_query).groupBy("vec_id", "v").agg(F.count(F.lit(1)).alias("copies")).select(slot.alias("slot"), F.col("vec_id").alias("query_id"), "copies", "v")
+    blocks = max(1, -(-n // at_once), -(-n * longest * 8 // SENT))
+    if blocks == 1:
+        found = rows.mapInArrow(_scanner(stated.toArrow(), k, scale, fits), FOUND)
+    else:
+        parts = max(1, -(-total // held))
+        every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+        q = stated.withColumn("block", F.pmod("slot", F.lit(blocks))).withColumn("part", every(parts))
+        r = rows.withColumn("part", F.pmod(slot, F.lit(parts)).cast("int")).withColumn("block", every(blocks).cast("long"))
+
+        def meet(queries: pa.Table, some: pa.Table) -> pa.Table:
+            scan = _scanner(queries, k, scale, fits)
+            return pa.Table.from_batches(list(scan(iter(some.select(["vec_id", "v"]).to_batches()))), _SCHEMA)
+
+        found = q.groupBy("block", "part").cogroup(r.groupBy("block", "part")).applyInArrow(meet, FOUND)
+    w = Window.partitionBy("query_id", "slot").orderBy(F.desc("score"), F.asc_nulls_last("vec_id"))
+    top = found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+    return top.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), "copies"))).select("query_id", "rank", "vec_id", "score")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
