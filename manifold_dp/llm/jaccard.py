@@ -67,8 +67,8 @@ class Limits:
     cell: int = 16 << 20
 
 
-#: Shingles that a task sorts together; expected ones of a bucket; bytes of text of a part.
-EMIT, BUCKET, PART = 1_000_000, 1_000_000, 8 << 20
+#: Shingles that a task sorts together; expected ones of a bucket; bytes of text of a part; pairs laid out at once.
+EMIT, BUCKET, PART, PAIRS = 1_000_000, 1_000_000, 8 << 20, 1 << 19
 
 PACKED = "bucket long, kind string, part long, h binary, d binary, n binary"
 _PACKED = pa.schema([("bucket", pa.int64()), ("kind", pa.string()), ("part", pa.int64()), *((c, pa.binary()) for c in "hdn")])
@@ -255,6 +255,23 @@ def _indexer(k: int, percent: int, buckets: int, combine: int):
     return index
 
 
+class _Pairs:
+    """Distinct numbers of many arrays, of which few are held beside them."""
+
+    def __init__(self):
+        self.known, self.new, self.size = np.empty(0, np.int64), [], 0
+
+    def add(self, numbers: np.ndarray) -> None:
+        self.new.append(np.unique(numbers))
+        self.size += len(self.new[-1])
+        if self.size > PAIRS + len(self.known):
+            self.all()
+
+    def all(self) -> np.ndarray:
+        self.known, self.new, self.size = np.unique(np.concatenate([self.known, *self.new])), [], 0
+        return self.known
+
+
 def _lister(percent: int, parts: int, short: int):
     """Per bucket: pairs of short lists, stars of long ones."""
 
@@ -267,19 +284,17 @@ def _lister(percent: int, parts: int, short: int):
         h, d, n = h[new], d[new], n[new]
         start = np.flatnonzero(np.r_[True, h[1:] != h[:-1]]) if len(h) else np.empty(0, np.int64)
         size = np.diff(np.r_[start, len(h)])
-        pairs = []
+        nodes, code = np.unique(d, return_inverse=True)
+        found = _Pairs()
         for length in range(2, short + 1):
             at = start[size == length]
-            if not len(at):
-                continue
             i, j = np.triu_indices(length, 1)
-            a, b = (at[:, None] + i[None, :]).ravel(), (at[:, None] + j[None, :]).ravel()
-            ok = np.minimum(n[a], n[b]) * 100 >= np.maximum(n[a], n[b]) * percent
-            pairs.append(np.unique(np.stack([d[a[ok]], d[b[ok]]], 1), axis=0))
-        rows = []
-        if pairs:
-            p = np.unique(np.concatenate(pairs), axis=0)
-            rows = [{**r, "kind": "pair"} for r in _pair_rows(p, parts)]
+            for some in np.array_split(at, -(-len(at) * len(i) // PAIRS)) if len(at) else []:
+                a, b = (some[:, None] + i[None, :]).ravel(), (some[:, None] + j[None, :]).ravel()
+                ok = np.minimum(n[a], n[b]) * 100 >= np.maximum(n[a], n[b]) * percent
+                found.add((code[a[ok]].astype(np.int64) << 32) | code[b[ok]])
+        p = found.all()
+        rows = [{**r, "kind": "pair"} for r in _pair_rows(np.stack([nodes[p >> 32], nodes[p & 0xFFFFFFFF]], 1), parts)] if len(p) else []
         long = np.repeat(size > short, size)
         if long.any():
             first = np.repeat(d[start], size)
