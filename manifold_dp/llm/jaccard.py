@@ -68,7 +68,7 @@ class Limits:
 
 
 #: Shingles that a task sorts together; expected ones of a bucket; bytes of text of a part; pairs laid out at once.
-EMIT, BUCKET, PART, PAIRS = 1_000_000, 1_000_000, 8 << 20, 1 << 19
+EMIT, BUCKET, PART, PAIRS = 500_000, 1_000_000, 4 << 20, 1 << 19
 
 PACKED = "bucket long, kind string, part long, h binary, d binary, n binary"
 _PACKED = pa.schema([("bucket", pa.int64()), ("kind", pa.string()), ("part", pa.int64()), *((c, pa.binary()) for c in "hdn")])
@@ -200,7 +200,10 @@ def _frequent(parts: int, most: int):
         start = np.flatnonzero(np.r_[True, h[1:] != h[:-1]]) if len(h) else np.empty(0, np.int64)
         size = np.diff(np.r_[start, len(h)])
         use = np.repeat(size > most, size)
-        return pa.Table.from_pylist(_by_part("frequent", d[use], h[use], parts), _PACKED)
+        out = pa.Table.from_pylist(_by_part("frequent", d[use], h[use], parts), _PACKED)
+        del h, d, order, use
+        W.trim()
+        return out
 
     return count
 
@@ -300,7 +303,10 @@ def _lister(percent: int, parts: int, short: int):
             first = np.repeat(d[start], size)
             star = np.unique(np.stack([first[long], d[long]], 1), axis=0)
             rows += [{**r, "kind": "star"} for r in _pair_rows(star, parts)]
-        return pa.Table.from_pylist(rows, _PACKED)
+        out = pa.Table.from_pylist(rows, _PACKED)
+        del h, d, n, code, rows
+        W.trim()
+        return out
 
     return lists
 

@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
 from .common import others, table
-from .words import U64, mix
+from .words import U64, mix, trim
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 RATE, SEED, WIDE = 0.1, 20240229, 48
@@ -346,6 +346,7 @@ def _coder(names: list[str], text: str, key: str, rate: float, seed: int, model:
                     raise ValueError("a text was not decoded to itself")
                 else:
                     yield pa.RecordBatch.from_arrays([*own, pa.array(count), pa.ListArray.from_arrays(pa.array(bound, pa.int32()), pa.array(ids, pa.int32()))], [*names, "n_pieces", "pieces"])
+            trim()
 
     return run
 

@@ -35,6 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import others, table
+from .words import trim
 
 BLOCK, LEVEL, DICT_BYTES = 2048, 3, 112_640
 DICT, CALIBRATE, BLOCKS = 1500, 1500, 4000
@@ -110,6 +111,7 @@ def _measurer(model: Model, names: list[str], text: str, measures: bool):
             z = np.c_[np.ones(len(m)), (m - model.mean) / model.scale] @ model.weight if packers else np.full(len(m), np.log(model.prior / (1 - model.prior)))
             s = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
             yield pa.RecordBatch.from_arrays([*own, pa.array(s)], [*names, "score"])
+            trim()
 
     return run
 
