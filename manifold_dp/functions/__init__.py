@@ -32,7 +32,8 @@ def norm(a: Column) -> Column:
 def unit(a: Column) -> Column:
     """The vector at length 1; null for the zero vector."""
     n = F.nullif(norm(a), F.lit(0.0))
-    return F.when(n.isNotNull(), F.transform(a, lambda x: x / n))
+    # the norm stands beside each entry: inside the lambda it would be computed for each
+    return F.when(n.isNotNull(), F.zip_with(a, F.array_repeat(n, F.size(a)), lambda x, y: x / y))
 
 
 def gauss_weight(a: Column, b: Column, sigma: float) -> Column:

@@ -8,6 +8,12 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import dist2
+from ..sources import width
+from . import arrays
+from .maps import times
+from .neighbours import matrix, summed
+
 
 @dataclass
 class Motion:
@@ -18,40 +24,39 @@ class Motion:
     scale: float = 1.0
 
 
+def _common(src: DataFrame, dst: DataFrame) -> DataFrame:
+    return src.select("id", F.col("v").alias("a")).join(dst.select("id", F.col("v").alias("b")), "id")
+
+
 def moments(src: DataFrame, dst: DataFrame) -> dict:
-    """Count, means, cross-covariance and spread over common ids: one aggregate of m x m sums."""
-    j = src.select("id", F.col("v").alias("a")).join(dst.select("id", F.col("v").alias("b")), "id")
-    m = (j.select(F.size("a")).first() or [0])[0]
-    if not m:
+    """Count, means, cross-covariance and spread over common ids: one partial matrix a task, added up."""
+    m = width(src)
+
+    def sums(b) -> np.ndarray:
+        x, y = (np.c_[matrix(b.column(i), b.num_rows), np.ones(b.num_rows)] for i in (0, 1))
+        out = np.zeros((m + 2, m + 1))
+        out[: m + 1], out[m + 1, 0] = x.T @ y, (x[:, :m] ** 2).sum()
+        return out
+
+    s = summed(_common(src, dst).select("a", "b"), sums, m + 2, m + 1)
+    n = s[m, m]
+    if not n:
         raise ValueError("no common anchors")
-    a, b = [F.element_at("a", i + 1) for i in range(m)], [F.element_at("b", i + 1) for i in range(m)]
-    row = j.agg(F.count(F.lit(1)).alias("n"), *(F.sum(x).alias(f"a{i}") for i, x in enumerate(a)), *(F.sum(x).alias(f"b{i}") for i, x in enumerate(b)), *(F.sum(x * y).alias(f"c{i}_{k}") for i, x in enumerate(a) for k, y in enumerate(b)), F.sum(sum((x * x for x in a), F.lit(0.0))).alias("aa")).first()
-    n = row["n"]
-    ma, mb = np.array([row[f"a{i}"] for i in range(m)]) / n, np.array([row[f"b{i}"] for i in range(m)]) / n
-    cross = np.array([[row[f"c{i}_{k}"] for k in range(m)] for i in range(m)]) / n - np.outer(ma, mb)
-    return {"n": n, "mean_src": ma, "mean_dst": mb, "cross": cross, "spread": row["aa"] / n - float(ma @ ma)}
+    ma, mb = s[:m, m] / n, s[m, :m] / n
+    return {"n": int(n), "mean_src": ma, "mean_dst": mb, "cross": s[:m, :m] / n - np.outer(ma, mb), "spread": s[m + 1, 0] / n - float(ma @ ma)}
 
 
 def fit(src: DataFrame, dst: DataFrame, scale: bool = False, reflect: bool = False) -> Motion:
     """The motion of ``src`` onto ``dst`` of least squared error; a reflection only if asked for."""
     s = moments(src, dst)
-    u, d, vt = np.linalg.svd(s["cross"])
-    sign = np.ones(len(d))
-    if not reflect and np.linalg.det(u @ vt) < 0:
-        sign[-1] = -1
-    r = u @ np.diag(sign) @ vt
-    k = float((d * sign).sum() / s["spread"]) if scale and s["spread"] > 0 else 1.0
+    r, k = arrays.motion(s["cross"], s["spread"], scale, reflect)
     return Motion(r, s["mean_dst"] - k * s["mean_src"] @ r, k)
 
 
 def apply(v: DataFrame, motion: Motion) -> DataFrame:
-    m = len(motion.shift)
-    col = [sum((F.element_at("v", i + 1) * float(motion.scale * motion.rotation[i, k]) for i in range(m)), F.lit(float(motion.shift[k]))) for k in range(m)]
-    return v.withColumn("v", F.array(*col))
+    return times(v, motion.scale * motion.rotation, shift=motion.shift)
 
 
 def rmsd(src: DataFrame, dst: DataFrame) -> float:
     """Root mean squared distance of common ids."""
-    j = src.select("id", F.col("v").alias("a")).join(dst.select("id", F.col("v").alias("b")), "id")
-    gap = F.aggregate(F.zip_with("a", "b", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, z: s + z)
-    return float(j.agg(F.sqrt(F.avg(gap))).first()[0] or 0.0)
+    return float(_common(src, dst).agg(F.sqrt(F.avg(dist2(F.col("a"), F.col("b"))))).first()[0] or 0.0)

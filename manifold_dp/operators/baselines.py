@@ -8,21 +8,21 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import md5_normal
-from ..sources import cut
-from . import noise
-from .kernel import Op, _lists, _matrix, as_vector, square_gaps, vector_sum
-from .maps import gram, times
+from ..sources import cut, drop, known_width, width
+from . import arrays, noise
+from .kernel import Op
+from .maps import times
+from .neighbours import knn, lists, matrix, summed
 from .noise import start_matrix
 from .step import run
 
 
 def raw(points: DataFrame) -> DataFrame:
     """The features themselves as an embedding."""
-    return points.select("id", F.col("x").alias("v"))
+    return known_width(points.select("id", F.col("x").alias("v")), width(points, "x"))
 
 
 def contrast(points: DataFrame, m: int, sigma: float, alpha: float, steps: int = 7, seed: int | str = 1, op: Op | None = None) -> DataFrame:
@@ -31,225 +31,209 @@ def contrast(points: DataFrame, m: int, sigma: float, alpha: float, steps: int =
 
 
 def second_moment(points: DataFrame, centred: bool = False) -> np.ndarray:
-    """X'X, or the covariance times n: one aggregate by blocks of the triangle."""
+    """X'X, or the covariance times n: one partial matrix a task, added up."""
+    d = width(points, "x")
 
-    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = None
-        for b in batches:
-            if b.num_rows:
-                x = np.c_[_matrix(b.column(0), b.num_rows), np.ones(b.num_rows)]
-                total = x.T @ x if total is None else total + x.T @ x
-        if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total), dtype=np.int32)), _lists(total)], ["r", "s"])
+    def sums(b: pa.RecordBatch) -> np.ndarray:
+        x = np.c_[matrix(b.column(0), b.num_rows), np.ones(b.num_rows)]
+        return x.T @ x
 
-    d = (points.select(F.size("x")).first() or [0])[0]
     if not d:
         return np.zeros((0, 0))
-    parts = points.select("x").mapInArrow(sums, "r int, s array<double>")
-    rows = parts.groupBy("r").agg(*vector_sum("s", d + 1)).orderBy("r").collect()  # d + 1 rows
-    g = np.array([[row[f"_s{k}"] for k in range(d + 1)] for row in rows])
+    g = summed(points.select("x"), sums, d + 1, d + 1)
     return g[:d, :d] - np.outer(g[d, :d], g[d, :d]) / g[d, d] if centred else g[:d, :d]
 
 
-def _top(g: np.ndarray, m: int) -> np.ndarray:
-    values, vectors = np.linalg.eigh((g + g.T) / 2)
-    v = vectors[:, np.argsort(-values)[:m]]
-    return v * np.where(v[np.abs(v).argmax(0), np.arange(v.shape[1])] < 0, -1.0, 1.0)
-
-
 def pca(points: DataFrame, m: int, centred: bool = False) -> DataFrame:
     """The m leading directions of X'X (or of the covariance)."""
-    return times(raw(points), _top(second_moment(points, centred), m))
-
+    return times(raw(points), arrays.top_directions(second_moment(points, centred), m))
 
-def dp_pca(points: DataFrame, m: int, epsilon: float, delta: float, split: float = 0.5, target: str = "both", calibration: str = "analytic", seed: int | None = None) -> DataFrame:
-    """Directions from X'X with symmetric Gaussian noise (one unit row moves it by 1), and projected rows with noise of their own (a row is moved by 2 at most).
 
-    ``target='directions'`` leaves the rows without noise: that publishes them.
-    """
-    g = second_moment(points)
-    rng = np.random.default_rng(seed)
+def dp_pca_scales(epsilon: float, delta: float, split: float, target: str, calibration: str) -> tuple[float, float]:
+    """Noise of the matrix (one unit row moves it by 1) and of the rows (one is moved by 2 at most)."""
     share = split if target == "both" else 1.0
-    tau = noise.calibrate(epsilon * share, delta * share, 1.0, calibration)
+    rows = noise.calibrate(epsilon * (1 - split), delta * (1 - split), 2.0, calibration) if target == "both" else 0.0
+    return noise.calibrate(epsilon * share, delta * share, 1.0, calibration), rows
+
+
+def noisy_directions(g: np.ndarray, m: int, tau: float, rng: np.random.Generator) -> np.ndarray:
     e = np.triu(rng.normal(0, tau, g.shape))
-    v = times(raw(points), _top(g + e + np.triu(e, 1).T, m))
-    if target != "both":
-        return v
-    return cut(noise.add(v, noise.calibrate(epsilon * (1 - split), delta * (1 - split), 2.0, calibration)), "dp_pca")
+    return arrays.top_directions(g + e + np.triu(e, 1).T, m)
 
 
-def projection_matrix(d: int, m: int, seed: int | str) -> np.ndarray:
-    """R with entries N(0, 1 / m) from the portable source."""
-    import hashlib
+def dp_pca(points: DataFrame, m: int, epsilon: float, delta: float, split: float = 0.5, target: str = "both", calibration: str = "analytic", test_seed: int | None = None, allow_test_noise: bool = False) -> DataFrame:
+    """Directions from X'X with symmetric Gaussian noise, and projected rows with noise of their own.
+
+    ``target='directions'`` leaves the rows without noise: that publishes them. ``test_seed``
+    repeats the noise of the matrix, which then hides nothing; it needs ``allow_test_noise``.
+    """
+    if test_seed is not None and not allow_test_noise:
+        raise ValueError("test noise hides nothing; pass allow_test_noise=True in tests")
+    of_matrix, of_rows = dp_pca_scales(epsilon, delta, split, target, calibration)
+    v = times(raw(points), noisy_directions(second_moment(points), m, of_matrix, np.random.default_rng(test_seed)))
+    return known_width(cut(noise.add(v, of_rows), "dp_pca"), m) if target == "both" else v
 
-    def normal(i: int, j: int) -> float:
-        h = hashlib.md5(f"{seed}:{i}:{j}".encode()).hexdigest()
-        u, w = ((int(h[a : a + 8], 16) + 0.5) / 2**32 for a in (0, 8))
-        return math.sqrt(-2 * math.log(u)) * math.cos(2 * math.pi * w)
 
-    return np.array([[normal(i, j) for j in range(m)] for i in range(d)]) / math.sqrt(m)
+def projection_matrix(d: int, m: int, seed: int | str) -> np.ndarray:
+    """R with entries N(0, 1 / m) from the portable source."""
+    return arrays.normals(seed, np.arange(d), m) / math.sqrt(m)
 
 
 def random_projection(points: DataFrame, m: int, seed: int | str = 7) -> DataFrame:
-    d = (points.select(F.size("x")).first() or [1])[0]
-    return times(raw(points), projection_matrix(d, m, seed))
+    return times(raw(points), projection_matrix(width(points, "x"), m, seed))
 
 
 def dp_rp(points: DataFrame, m: int, epsilon: float, delta: float, seed: int | str = 7, calibration: str = "analytic", test_noise: int | str | None = None) -> DataFrame:
     """Random projection with noise; a row moves by 2 at most, its image by 2 times R's top singular value."""
-    d = (points.select(F.size("x")).first() or [1])[0]
-    tau = noise.calibrate(epsilon, delta, 2 * float(np.linalg.norm(projection_matrix(d, m, seed), 2)), calibration)
+    tau = noise.calibrate(epsilon, delta, 2 * float(np.linalg.norm(projection_matrix(width(points, "x"), m, seed), 2)), calibration)
     v = random_projection(points, m, seed)
-    return noise.add_test_noise(v, tau, test_noise, True) if test_noise is not None else cut(noise.add(v, tau), "dp_rp")
-
-
-def _few(df: DataFrame, rows: int) -> None:
-    """These baselines hold a matrix of all pairs of rows on the driver, so their size is checked."""
-    if df.limit(rows + 1).count() > rows:
-        raise ValueError(f"more than {rows} rows")
-
-
-def row_bandwidths(gaps: np.ndarray, perplexity: float) -> np.ndarray:
-    """Conditional affinities of each row (own column masked as inf) at the given perplexity, by bisection of all rows at once."""
-    n, k = gaps.shape
-    goal = math.log(max(1.001, min(perplexity, k - 1)))
-    low, high, beta = np.zeros(n), np.full(n, np.inf), np.ones(n)
-    shifted = gaps - gaps.min(1, keepdims=True)
-    for _ in range(60):
-        p = np.exp(-shifted * beta[:, None])
-        p[~np.isfinite(gaps)] = 0
-        total = p.sum(1)
-        entropy = np.log(total) + beta * (p * np.where(np.isfinite(shifted), shifted, 0)).sum(1) / total
-        wide = entropy > goal
-        low, high = np.where(wide, beta, low), np.where(wide, high, beta)
-        beta = np.where(np.isinf(high), beta * 2, (low + high) / 2)
-    return p / p.sum(1, keepdims=True)
-
-
-def tsne(points: DataFrame, m: int = 2, perplexity: float = 30.0, iterations: int = 250, rate: float = 200.0, seed: int | str = 1, exaggerate: float = 12.0, log: list | None = None, max_rows: int = 20_000) -> DataFrame:
-    """t-SNE with exact affinities: rows are dealt over tasks, each computes its rows' affinities once and their forces in each round; positions (n x m) go out to all."""
+    return noise.add_test_noise(v, tau, test_noise, True) if test_noise is not None else known_width(cut(noise.add(v, tau), "dp_rp"), m)
+
+
+def _embedding(spark: SparkSession, ids: np.ndarray, y: np.ndarray) -> DataFrame:
+    return known_width(spark.createDataFrame(pa.table([pa.array(ids), lists(y)], names=["id", "v"]).cast(pa.schema([("id", pa.int64()), ("v", pa.list_(pa.float64()))]))), y.shape[1])
+
+
+def tsne(points: DataFrame, m: int = 2, perplexity: float = 30.0, iterations: int = 250, rate: float = 200.0, seed: int | str = 1, exaggerate: float = 12.0, log: list | None = None, exact_rows: int = 4000, max_rows: int = 1_000_000) -> DataFrame:
+    """t-SNE. Up to ``exact_rows`` with the affinities of all pairs, in one place.
+
+    Beyond, affinities are those of the 3 x ``perplexity`` nearest rows, kept as a table of
+    one row a point; in each round every task adds up its points' attraction to their
+    neighbours and their repulsion from all places, which (n x m numbers) go out to all and
+    are moved on the driver, up to ``max_rows`` of them.
+    """
     spark = points.sparkSession
-    _few(points, max_rows)
-    all_ = points.orderBy("id").toArrow()
-    ids, x = all_["id"].to_numpy(), _matrix(all_["x"], len(all_))
-    n = len(ids)
+    n = points.count()
+    if n > max_rows:
+        raise ValueError(f"more than {max_rows} rows")
     if n < 3:
         return raw(points).select("id", F.slice("v", 1, m).alias("v"))
-    sent = spark.sparkContext.broadcast((ids, x))
-    place = {int(i): r for r, i in enumerate(ids)}
+    if n <= exact_rows:
+        t = points.select("id", "x").orderBy("id").toArrow()
+        ids = t["id"].to_numpy()
+        return _embedding(spark, ids, arrays.tsne(matrix(t["x"], n), 1e-4 * arrays.normals(seed, ids, m), perplexity, iterations, rate, exaggerate, log))
+    ids = points.select("id").orderBy("id").toArrow()["id"].to_numpy()
+    joint = cut(_joint_affinities(points, perplexity, n), "joint")
+    d = arrays.Descent(1e-4 * arrays.normals(seed, ids, m), rate, exaggerate)
+    for _ in range(iterations):
+        sent = spark.sparkContext.broadcast((ids, d.y, d.exaggerate))
 
-    def affinities(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, x = sent.value
+        def forces(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            ids, y, factor = sent.value
+            for b in batches:
+                size = max(1, arrays.ENTRIES // len(ids))
+                for s in range(0, b.num_rows, size):
+                    part = b.slice(s, size)
+                    own = np.searchsorted(ids, part.column(0).to_numpy())
+                    q = 1 / (1 + arrays.square_gaps(y[own], y))
+                    q[np.arange(len(own)), own] = 0
+                    apart = (q * q).sum(1)[:, None] * y[own] - (q * q) @ y
+                    count = pa.compute.list_value_length(part.column(1)).to_numpy()
+                    i, j = np.repeat(np.arange(len(own)), count), np.searchsorted(ids, part.column(1).flatten().to_numpy())
+                    pull = factor * part.column(2).flatten().to_numpy() * q[i, j]
+                    near = np.zeros((len(own), y.shape[1]))
+                    np.add.at(near, i, pull[:, None] * (y[own][i] - y[j]))
+                    yield pa.RecordBatch.from_arrays([part.column(0), lists(np.c_[near, apart, q.sum(1)])], ["id", "f"])
+
+        got = joint.mapInArrow(forces, "id long, f array<double>").toArrow()
+        sent.unpersist()
+        f = matrix(got["f"], len(got))[np.argsort(got["id"].to_numpy())]
+        d.move(4 * (f[:, :m] - f[:, m : 2 * m] / f[:, -1].sum()))
+    drop(spark, joint)
+    return _embedding(spark, ids, d.y)
+
+
+def _joint_affinities(points: DataFrame, perplexity: float, n: int) -> DataFrame:
+    """``(id, near, p)``: affinities of each point to its neighbours, both ways, which sum to 1."""
+    v = raw(points)
+    near = knn(v, v, int(3 * perplexity)).groupBy("query_id").agg(F.sort_array(F.collect_list(F.struct("dist", "match_id"))).alias("s")).select("query_id", "s.match_id", "s.dist")
+
+    def conditional(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            own = b.column(0).to_numpy()
-            if len(own):
-                g = square_gaps(_matrix(b.column(1), len(own)), x)
-                g[own[:, None] == ids[None, :]] = np.inf
-                yield pa.RecordBatch.from_arrays([b.column(0), _lists(row_bandwidths(g, perplexity))], ["id", "p"])
-
-    p = cut(points.select("id", "x").mapInArrow(affinities, "id long, p array<double>"), "p")
-    parts = max(1, min(spark.sparkContext.defaultParallelism, n // 64))
-    p = cut(p.repartition(parts), "p") if p.rdd.getNumPartitions() != parts else p
-    y = np.array([r.v for r in start_matrix(spark.createDataFrame([(int(i),) for i in ids], "id long"), m, 1e-4, seed).orderBy("id").collect()])
-    cond = np.zeros((n, n))
-    for r in p.toArrow().to_pylist():
-        cond[place[r["id"]]] = r["p"]
-    joint = np.maximum((cond + cond.T) / (2 * n), 1e-12)
-    speed, gain = np.zeros_like(y), np.ones_like(y)
-    for t in range(iterations):
-        q = 1 / (1 + square_gaps(y, y))
-        np.fill_diagonal(q, 0)
-        share = np.maximum(q / q.sum(), 1e-12)
-        pull = (joint * (exaggerate if t < 100 else 1.0) - share) * q
-        force = 4 * (pull.sum(1)[:, None] * y - pull @ y)
-        gain = np.maximum(np.where(np.sign(force) != np.sign(speed), gain + 0.2, gain * 0.8), 0.01)
-        speed = (0.5 if t < 100 else 0.8) * speed - rate * gain * force
-        y = y + speed
-        y -= y.mean(0)
-        if log is not None:
-            log.append(float((joint * np.log(joint / share)).sum()))
-    return spark.createDataFrame([(int(i), [float(z) for z in row]) for i, row in zip(ids, y, strict=True)], "id long, v array<double>")
-
-
-def dp_sne(points: DataFrame, m: int, epsilon: float, delta: float, sites: int = 4, clip: float = 0.1, iterations: int = 30, rate: float = 5.0, perplexity: float = 20.0, seed: int = 1, anchors: str = "role = 'public'", ledger: list | None = None, noisy: bool = True, max_anchors: int = 20_000) -> DataFrame:
-    """Several sites embed shared anchors together: each round every site averages the clipped forces its rows put on the anchors, with Gaussian noise; rounds are accounted as zero-concentrated privacy.
-
-    Rows without anchor role are placed by their site as the mean of their nearest anchors' places, with noise for the rest of the budget.
+            count = pa.compute.list_value_length(b.column(1)).to_numpy()
+            for k in np.unique(count).tolist():  # one, unless there are few points
+                some = b.filter(pa.array(count == k))
+                p = arrays.row_bandwidths(matrix(some.column(2), some.num_rows), perplexity)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(some.column(0).to_numpy(), k)), some.column(1).flatten(), pa.array(p.ravel() / (2 * n))], ["i", "j", "p"])
+
+    one = near.mapInArrow(conditional, "i long, j long, p double")
+    both = one.unionByName(one.select(F.col("j").alias("i"), F.col("i").alias("j"), "p")).groupBy("i", "j").agg(F.sum("p").alias("p"))
+    return both.groupBy(F.col("i").alias("id")).agg(F.collect_list(F.struct("j", "p")).alias("s")).select("id", F.col("s.j").alias("near"), F.col("s.p").alias("p"))
+
+
+def dp_sne(
+    points: DataFrame,
+    m: int,
+    epsilon: float,
+    delta: float,
+    sites: int = 4,
+    clip: float = 0.1,
+    iterations: int = 30,
+    rate: float = 5.0,
+    perplexity: float = 20.0,
+    seed: int = 1,
+    anchors: str = "role = 'public'",
+    ledger: list | None = None,
+    noisy: bool = True,
+    max_anchors: int = 2000,
+) -> DataFrame:
+    """Several sites embed shared anchors together: each round every site sums the clipped forces its rows put on the anchors, with Gaussian noise; rounds are accounted as zero-concentrated privacy.
+
+    Anchors are ``max_anchors`` public rows of least hash, a setting of the method: their
+    places and affinities are held on the driver. All other rows are placed as the mean of
+    their nearest anchors' places, the private ones with noise for the rest of the budget.
     """
     spark = points.sparkSession
-    _few(points.where(anchors), max_anchors)
-    shared = points.where(anchors).orderBy("id").toArrow()
-    ids, ax = shared["id"].to_numpy(), _matrix(shared["x"], len(shared))
+    public = points.where(anchors).select("id", "x")
+    shared = public.orderBy(F.md5(F.concat_ws(":", F.lit("anchor"), F.col("id").cast("string"))), "id").limit(max_anchors).toArrow().sort_by("id")
+    ids, ax = shared["id"].to_numpy(), matrix(shared["x"], len(shared))
     if not len(ids):
         return spark.createDataFrame([], "id long, v array<double>")
-    rng = np.random.default_rng(None if noisy else seed)
-    y = np.random.default_rng(seed).normal(0, 1e-2, (len(ids), m))
-    g = square_gaps(ax, ax)
-    np.fill_diagonal(g, np.inf)
-    cond = row_bandwidths(g, perplexity)
-    joint = (cond + cond.T) / (2 * len(ids))
-    # rho for rounds: epsilon / 2 of the budget, from eps = rho + 2 sqrt(rho ln(1/delta))
-    part, log_d = epsilon / 2, math.log(2 / delta)
-    rho = (math.sqrt(log_d + part) - math.sqrt(log_d)) ** 2
-    each = rho / iterations
-    private = points.where(f"NOT ({anchors}) OR ({anchors}) IS NULL").select("id", "x", F.pmod(F.xxhash64("id"), F.lit(sites)).cast("int").alias("site"))
-    sizes = {r.site: r.n for r in private.groupBy("site").agg(F.count(F.lit(1)).alias("n")).collect()}
+    rho, each = arrays.sne_round_cost(epsilon, delta, iterations)
     data = spark.sparkContext.broadcast((ids, ax))
-    for _ in range(iterations):
-        now = y
+    own = points.where(f"NOT ({anchors}) OR ({anchors}) IS NULL").select("id", F.pmod(F.xxhash64("id"), F.lit(sites)).cast("int").alias("site"), "x")
+    rest = public.select("id", F.lit(-1).alias("site"), "x")
 
-        def forces(batches: Iterator[pa.RecordBatch], now=now) -> Iterator[pa.RecordBatch]:
-            ids, ax = data.value
-            total: dict[int, np.ndarray] = {}
-            for b in batches:
-                if not b.num_rows:
-                    continue
-                site = b.column(1).to_numpy()
-                w = row_bandwidths(square_gaps(_matrix(b.column(0), b.num_rows), ax), perplexity)
-                spot = w @ now  # a row's place among the anchors
-                q = 1 / (1 + square_gaps(spot, now))
-                q /= q.sum(1, keepdims=True)
-                for r in range(b.num_rows):
-                    f = ((w[r] - q[r])[:, None] * (now - spot[r])).ravel()
-                    f *= min(1.0, clip / max(np.linalg.norm(f), 1e-300))
-                    total[int(site[r])] = total.get(int(site[r]), 0) + f
-            keys = list(total)
-            if keys:
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int32()), _lists(np.array([total[k] for k in keys]))], ["site", "f"])
-
-        parts = private.select("x", "site").mapInArrow(forces, "site int, f array<double>").collect()  # one row a task and site
-        push = np.zeros_like(y)
-        for s, n in sorted(sizes.items()):
-            f = sum((np.array(r.f) for r in parts if r.site == s), np.zeros(y.size))
-            if noisy:
-                f = f + rng.normal(0, clip / math.sqrt(2 * each), y.size)
-            push += f.reshape(y.shape) / n / len(sizes)
-        q = 1 / (1 + square_gaps(y, y))
-        np.fill_diagonal(q, 0)
-        pull = (joint - q / q.sum()) * q
-        y = y - rate * (4 * (pull.sum(1)[:, None] * y - pull @ y) + push)
-    if ledger is not None:
-        ledger.append({"rho": rho, "rounds": iterations, "epsilon_rounds": rho + 2 * math.sqrt(rho * log_d), "epsilon_rows": epsilon / 2})
-    last = y
-
-    def spots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def affinities(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, ax = data.value
         for b in batches:
+            b = b.filter(pa.array(~np.isin(b.column(0).to_numpy(), ids)))
             if b.num_rows:
-                yield pa.RecordBatch.from_arrays([b.column(0), _lists(row_bandwidths(square_gaps(_matrix(b.column(1), b.num_rows), ax), perplexity) @ last)], ["id", "v"])
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), lists(arrays.row_bandwidths(arrays.square_gaps(matrix(b.column(2), b.num_rows), ax), perplexity))], ["id", "site", "w"])
+
+    known = cut(own.unionByName(rest).mapInArrow(affinities, "id long, site int, w array<double>"), "affinities")
+    private = known.where("site >= 0")
+    sizes = {r.site: r.n for r in private.groupBy("site").agg(F.count(F.lit(1)).alias("n")).collect()}
 
-    placed = private.select("id", "x").mapInArrow(spots, "id long, v array<double>")
-    spread = float(np.linalg.norm(last[:, None, :] - last[None, :, :], axis=2).max()) if len(last) < 3000 else 2 * float(np.linalg.norm(last, axis=1).max())
+    def forces(now: np.ndarray) -> dict[int, np.ndarray]:
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total: dict[int, np.ndarray] = {}
+            for b in batches:
+                site = b.column(0).to_numpy()
+                w = matrix(b.column(1), b.num_rows)
+                for s in np.unique(site).tolist():
+                    total[s] = total.get(s, 0) + arrays.site_forces(w[site == s], now, clip)
+            if total:
+                yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), lists(np.array([f.ravel() for f in total.values()]))], ["site", "f"])
+
+        out: dict[int, np.ndarray] = {}
+        for r in private.select("site", "w").mapInArrow(add, "site int, f array<double>").collect():  # one row a task and site
+            out[r.site] = out.get(r.site, 0) + np.array(r.f).reshape(now.shape)
+        return out
+
+    y = arrays.sne_rounds(ax, forces, sizes, m, each, clip, iterations, rate, perplexity, seed, np.random.default_rng() if noisy else None)
+    if ledger is not None:
+        ledger.append({"rho": rho, "rounds": iterations, "epsilon_rounds": rho + 2 * math.sqrt(rho * math.log(2 / delta)), "epsilon_rows": epsilon / 2})
+    spot = times(known.select("id", "site", F.col("w").alias("v")), y)
+    placed = spot.where("site >= 0").select("id", "v")
     if noisy:
-        placed = cut(noise.add(placed, noise.calibrate(epsilon / 2, delta / 2, max(spread, 1e-12), "analytic")), "dp_sne")
-    public = spark.createDataFrame([(int(i), [float(z) for z in row]) for i, row in zip(ids, last, strict=True)], "id long, v array<double>")
-    return placed.unionByName(public)
+        placed = cut(noise.add(placed, noise.calibrate(epsilon / 2, delta / 2, arrays.diameter(y), "analytic")), "dp_sne")
+    return known_width(placed.unionByName(spot.where("site < 0").select("id", "v")).unionByName(_embedding(spark, ids, y)), m)
 
 
 def pure_noise(points: DataFrame, m: int, seed: int | str = "noise") -> DataFrame:
     """A release that holds nothing of the data: the control that shows what labels alone can do."""
-    dims = F.sequence(F.lit(0), F.lit(m - 1))
-    return points.select("id", F.transform(dims, lambda j: md5_normal(seed, F.col("id"), j)).alias("v"))
+    return start_matrix(points, m, 1.0, seed)
 
 
-__all__ = ["as_vector", "contrast", "dp_pca", "dp_rp", "dp_sne", "gram", "pca", "pure_noise", "random_projection", "raw", "second_moment", "tsne"]
+__all__ = ["contrast", "dp_pca", "dp_rp", "dp_sne", "pca", "pure_noise", "random_projection", "raw", "second_moment", "tsne"]

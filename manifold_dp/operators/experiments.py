@@ -1,26 +1,32 @@
-"""The experiment workloads on stand-in feature sets. Each returns a table of measures."""
+"""The experiment workloads on stand-in feature sets. Each returns a table of measures.
+
+Sweeps of many settings and seeds run as ``sweep``: each run in one task, on whole sets.
+"""
 
 from __future__ import annotations
 
+import math
 import time
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources import cut
-from . import baselines, features, metrics, retrieval
-from .kernel import DenseOp, FeatureMapOp, Op, SparseOp
+from ..sources import cut, drop, known_width
+from . import arrays, baselines, features, metrics, noise, retrieval, sensitivity
+from .kernel import DenseOp, FeatureMapOp, SparseOp
 from .release import free_steps, labels_for, release_then_iterate
 from .step import run
+from .sweep import Held, fits, sweep
 
-#: Rows of the largest product that is timed.
-LARGEST = 1_000_000
+#: Rows of the largest product that is timed, and of the largest that compares all pairs.
+LARGEST, LARGEST_DENSE = 1_000_000, 32_000
 SETS = ("emb_planted", "doc_lang", "page_lang")
 
 
 def points_of(spark: SparkSession, sf_dir: str, name: str, rows: int | None = None) -> DataFrame:
     """A set, written once: all of it, or for trials the ``rows`` of least hash of the id. Registered queries take all."""
-    p = features.feature_set(spark, sf_dir, name).select("id", "x", "label", "role")
+    p = features.feature_set(spark, sf_dir, name)
     if rows is not None:
         p = p.orderBy(F.md5(F.concat_ws(":", F.lit("rows"), F.col("id").cast("string"))), "id").limit(rows)
     return cut(p, name)
@@ -31,13 +37,64 @@ def _recalls(v: DataFrame, points: DataFrame, ks=(1, 8)) -> dict:
     return {f"recall_at_{r.k}": r.recall for r in got} | {f"precision_at_{r.k}": r.precision for r in got}
 
 
-def _table(spark: SparkSession, rows: list[dict]) -> DataFrame:
-    names = list(dict.fromkeys(k for r in rows for k in r))
+def _table(spark: SparkSession, rows: list[dict], names: list[str] | None = None) -> DataFrame:
+    names = names or list(dict.fromkeys(k for r in rows for k in r))
     kinds = {n: "string" if any(isinstance(r.get(n), str) for r in rows) else "long" if all(isinstance(r.get(n), int) for r in rows) else "double" for n in names}
     cast = {"string": lambda x: None if x is None else str(x), "long": int, "double": lambda x: None if x is None else float(x)}
     return spark.createDataFrame([tuple(cast[kinds[n]](r.get(n)) for n in names) for r in rows], ", ".join(f"`{n}` {kinds[n]}" for n in names))
 
 
+def _distributed(p: DataFrame, a: dict) -> list[dict]:
+    """What ``sweep.measures`` gives, by the distributed operators."""
+    m, seed, method = a.get("m", 16), a.get("seed", 1), a["method"]
+    if method == "exchange":
+        cfg = retrieval.Config(m=m, sigma=a["sigma"], alpha=a["alpha"], epsilon=a["epsilon"] or 1.0, private=a["epsilon"] is not None, steps=a["steps"], seed=seed)
+        x = _exchange(p, cfg)
+        return [{"rmsd_before": x.rmsd_before, "rmsd_after": x.rmsd_after, "precision_at_8": metrics.precision_at(x.answers, p, 8), "recall_at_8": metrics.recall_at(x.answers, p, 8)}]
+    if method == "trace":
+        r = run(p, m, a["sigma"], a["alpha"], a["steps"], seed, rescale=True, keep=True, monitor=True)
+        return [{**r.log[t], "objective": r.log[t]["objective"] * math.exp(2 * r.log[t]["log_scale"]), **_recalls(v, p)} for t, v in enumerate(r.steps)]
+    true = p
+    if (fold := a.get("fold")) is not None:
+        of = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit("fold"), F.col("id").cast("string"))), 1, 8), 16, 10).cast("long") % a["folds"]
+        p = p.withColumn("label", F.when(of != fold, F.col("label")))
+    if method == "raw":
+        v = baselines.raw(p)
+    elif method == "pca":
+        v = baselines.pca(p, m)
+    elif method == "tsne":
+        v = baselines.tsne(p, 2, 30, a["iterations"], seed=seed)
+    elif method == "contrast":
+        v = run(p, m, a["sigma"], a["alpha"], a["steps"], seed, rescale=True).v
+    elif method == "release":
+        v = release_then_iterate(p, m, a["sigma"], a["alpha"], a["epsilon"], a["delta"], a["steps"], label_policy=a["policy"], form=a.get("form", "row_split"), calibration="analytic", seed=seed)[0]
+    elif method == "pure_noise":
+        labels = cut(labels_for(p, a["policy"])[0], "labels")
+        v = free_steps(baselines.pure_noise(p, m, seed), labels, m, a["sigma"], 0.0 if a["policy"] == "off" else a["alpha"], a["steps"])
+    elif method == "dp_pca":
+        v = baselines.dp_pca(p, m, a["epsilon"], a["delta"])
+    elif method == "dp_rp":
+        v = baselines.dp_rp(p, m, a["epsilon"], a["delta"], seed)
+    else:
+        v = baselines.dp_sne(p, 2, a["epsilon"], a["delta"], iterations=a["iterations"], seed=seed)
+    if fold is not None:
+        asked = v.join(true.where(of == fold).select("id"), "id", "left_semi")
+        got = metrics.recall_table(retrieval.knn(asked, v, 8), true, (1, 8)).collect()
+        return [{f"recall_at_{r.k}": r.recall for r in got} | {f"precision_at_{r.k}": r.precision for r in got}]
+    out = _recalls(v, p)
+    if a.get("targets"):
+        got = metrics.recall_table(retrieval.knn(v.join(p.where("role = 'target'").select("id"), "id", "left_semi"), v, 8), p, (1, 8)).collect()
+        out |= {f"target_recall_at_{r.k}": r.recall for r in got} | {f"target_precision_at_{r.k}": r.precision for r in got}
+    return [out]
+
+
+def measured(spark: SparkSession, sets: dict[str, DataFrame], arms: list[dict]) -> list[dict]:
+    """Each arm with its measures: as a sweep where one task can hold the sets, else run by run."""
+    if fits(sets):
+        return sweep(spark, sets, arms)
+    return [a | row for a in arms for row in _distributed(sets[a["set"]], a)]
+
+
 def class_picture(spark: SparkSession, sf_dir: str, steps: int = 3, m: int = 2, sigma: float = 0.1, alpha: float = 0.1) -> DataFrame:
     """Coordinates after three steps, and how far classes part before and after (W1)."""
     p = points_of(spark, sf_dir, "emb_planted")
@@ -48,66 +105,86 @@ def class_picture(spark: SparkSession, sf_dir: str, steps: int = 3, m: int = 2,
 
 def convergence(spark: SparkSession, sf_dir: str, steps: int = 10, sigma: float = 0.1, alpha: float = 0.0, sets: tuple[str, ...] = SETS, m: int = 16) -> DataFrame:
     """Recall and objective by iteration (W2)."""
-    rows = []
-    for name in sets:
-        p = points_of(spark, sf_dir, name)
-        r = run(p, m, sigma, alpha, steps, rescale=True, keep=True, monitor=True)
-        for t, v in enumerate(r.steps):
-            rows.append({"set": name, "t": t, "objective": r.log[t]["objective"], "log_scale": r.log[t]["log_scale"], **_recalls(v, p)})
-    return _table(spark, rows)
-
-
-def grid(spark: SparkSession, sf_dir: str, ms=(2, 4, 8, 16, 32), alphas=(0.0, 0.05, 0.1, 0.5, 1.0), sigmas=(0.05, 0.1, 0.25, 1.0, 4.0), private: bool = False, name: str = "emb_planted", base=(16, 0.1, 0.1), epsilon: float = 10.0, steps: int = 5, rows: int | None = None) -> DataFrame:
-    """One parameter moved at a time around ``base`` (m, alpha, sigma) (W3). Private runs use public rows only, since a search on secret rows would spend budget."""
+    arms = [{"set": name, "method": "trace", "m": m, "sigma": sigma, "alpha": alpha, "steps": steps, "seed": 1} for name in sets]
+    rows = measured(spark, {n: points_of(spark, sf_dir, n) for n in sets}, arms)
+    return _table(spark, rows, ["set", "t", "objective", "log_scale", "recall_at_1", "precision_at_1", "recall_at_8", "precision_at_8"]).withColumn("t", F.col("t").cast("long"))
+
+
+def grid(
+    spark: SparkSession,
+    sf_dir: str,
+    ms=(2, 4, 8, 16, 32),
+    alphas=(0.0, 0.05, 0.1, 0.5, 1.0),
+    sigmas=(0.05, 0.1, 0.25, 1.0, 4.0),
+    private: bool = False,
+    name: str = "emb_planted",
+    base=(16, 0.1, 0.1),
+    epsilon: float = 10.0,
+    steps: int = 5,
+    rows: int | None = None,
+    folds: int = 5,
+) -> DataFrame:
+    """One parameter moved at a time around ``base`` (m, alpha, sigma): recall of held-out folds, whose labels are hidden (W3).
+
+    A search on secret rows would spend budget, so it is one over rows whose labels are public.
+    """
     p = points_of(spark, sf_dir, name, rows)
     m0, a0, s0 = base
     todo = [("m", m, a0, s0) for m in ms] + [("alpha", m0, a, s0) for a in alphas] + [("sigma", m0, a0, s) for s in sigmas]
-    out = []
-    for what, m, a, s in todo:
-        if private:
-            v = release_then_iterate(p, m, s, a, epsilon, 1e-5, steps, form="row_split", calibration="analytic", label_policy="masked")[0]
-        else:
-            v = run(p, m, s, a, steps, rescale=True).v
-        out.append({"moved": what, "m": m, "alpha": a, "sigma": s, "private": int(private), **_recalls(v, p)})
-    return _table(spark, out)
+    how = {"method": "release", "policy": "public", "epsilon": epsilon, "delta": 1e-5} if private else {"method": "contrast"}
+    arms = [{"set": name, "moved": what, "m": m, "alpha": a, "sigma": s, "steps": steps, "fold": f, "folds": folds, "seed": 1, "private": int(private)} | how for what, m, a, s in todo for f in range(folds)]
+    by = ["moved", "m", "alpha", "sigma", "private"]
+    return metrics.curve(_table(spark, measured(spark, {name: p}, arms), [*by, "recall_at_8", "precision_at_8"]), by, ("recall_at_8", "precision_at_8")).withColumnRenamed("seeds", "folds")
+
+
+def choice(spark: SparkSession, sf_dir: str, **grid_args) -> DataFrame:
+    """The value of each parameter with the best held-out precision; of equal ones the first by value."""
+    g = grid(spark, sf_dir, **grid_args)
+    value = F.when(F.col("moved") == "m", F.col("m").cast("double")).when(F.col("moved") == "alpha", F.col("alpha")).otherwise(F.col("sigma"))
+    best = g.groupBy("moved").agg(F.max(F.struct(F.round("precision_at_8_mean", 9).alias("p"), (-value).alias("v"))).alias("b"))
+    return best.select("moved", (-F.col("b.v")).alias("value"), F.col("b.p").alias("precision_at_8"))
 
 
 def privacy_utility(spark: SparkSession, sf_dir: str, epsilons=(0.1, 0.5, 1.0, 5.0, 10.0, 100.0, 1000.0), sets=SETS, seeds=(1, 2, 3, 4, 5), m: int = 16, sigma: float = 4.0, alpha: float = 0.1, delta: float = 1e-5, steps: int = 5, rows: int | None = None, sne: bool = True) -> DataFrame:
-    """Recall and precision at 8 by epsilon, method, set and seed, with the controls beside them (W4, W9)."""
-    out = []
+    """Recall and precision at 8 by epsilon, method and set, mean and spread over seeds, with the controls beside them (W4, W9).
+
+    Releases run at ``sigma``, where the noise is least, and at a narrow kernel with more weight on
+    labels (``_narrow``), where the map serves retrieval and public labels carry it.
+    """
+    points = {n: points_of(spark, sf_dir, n, rows) for n in sets}
+    narrow = {"sigma": 0.1, "alpha": 0.5, "setting": "narrow"}
+    same = {"m": m, "sigma": sigma, "alpha": alpha, "delta": delta, "steps": steps, "epsilon": None, "targets": True}
+    arms = []
     for name in sets:
-        p = points_of(spark, sf_dir, name, rows)
-        add = lambda method, eps, seed, v, p=p, name=name: out.append({"set": name, "method": method, "epsilon": eps, "seed": seed, **_recalls(v, p, (8,))})
-        add("raw", None, 0, baselines.raw(p))
-        add("pca", None, 0, baselines.pca(p, m))
-        add("tsne", None, 1, baselines.tsne(p, 2, 30, 150))
+        add = lambda method, seed=1, name=name, **kw: arms.append({"set": name, "method": method, "seed": seed, **same, **kw})
+        add("tsne", iterations=150)
+        add("raw")
+        add("pca")
         for seed in seeds:
-            add("contrast", None, seed, baselines.contrast(p, m, 0.1, 0.0, 7, seed))
-            noise_only = baselines.pure_noise(p, m, f"n{seed}")
-            for policy, a in (("public", alpha), ("off", 0.0), ("masked", alpha)):
-                labels = cut(labels_for(p, policy, secret="role = 'target'")[0], "l")
-                add(f"pure_noise_{policy}", None, seed, free_steps(noise_only, labels, m, sigma, a, steps))
+            add("contrast", seed, sigma=0.1, alpha=0.0, steps=7)
+            for policy in ("public", "off", "masked"):
+                add("pure_noise", seed, policy=policy)
+                add("pure_noise", seed, policy=policy, **narrow)
         for eps in epsilons:
             for seed in seeds:
                 for policy in ("public", "masked"):
-                    add(f"release_{policy}", eps, seed, release_then_iterate(p, m, sigma, alpha, eps, delta, steps, label_policy=policy, form="row_split", calibration="analytic", seed=seed)[0])
-                add("dp_pca", eps, seed, baselines.dp_pca(p, m, eps, delta))
-                add("dp_rp", eps, seed, baselines.dp_rp(p, m, eps, delta, seed))
+                    add("release", seed, epsilon=eps, policy=policy)
+                    add("release", seed, epsilon=eps, policy=policy, **narrow)
+                add("dp_pca", seed, epsilon=eps)
+                add("dp_rp", seed, epsilon=eps)
                 if sne:
-                    add("dp_sne", eps, seed, baselines.dp_sne(p, 2, eps, delta, iterations=10, seed=seed))
-    return _table(spark, out)
+                    add("dp_sne", seed, epsilon=eps, iterations=10)
+    got = [r | {"method": "_".join([r["method"], *(r[k] for k in ("policy", "setting") if k in r)])} for r in measured(spark, points, arms)]
+    by, values = ["set", "method", "epsilon"], ("recall_at_8", "precision_at_8", "target_precision_at_8")
+    return metrics.curve(_table(spark, got, [*by, *values]), by, values)
 
 
-def alignment(spark: SparkSession, sf_dir: str, epsilons=(1.0, 100.0, 1e4, 1e6), alpha: float = 0.5, rows: int | None = None, **cfg) -> DataFrame:
-    """Anchor distance before and after alignment, and target precision, by epsilon (W5)."""
-    p = points_of(spark, sf_dir, "emb_planted", rows)
-    out = []
-    for eps in (*epsilons, None):
-        for a in sorted({0.0, alpha}):
-            c = retrieval.Config(alpha=a, epsilon=eps or 1.0, private=eps is not None, sigma=cfg.get("sigma", 4.0), steps=5)
-            x = _exchange(p, c)
-            out.append({"epsilon": eps, "alpha": a, "rmsd_before": x.rmsd_before, "rmsd_after": x.rmsd_after, "precision_at_8": metrics.precision_at(x.answers, p, 8)})
-    return _table(spark, out)
+def alignment(spark: SparkSession, sf_dir: str, epsilons=(1.0, 100.0, 1e4, 1e6), alpha: float = 0.5, rows: int | None = None, seeds=(1, 2, 3, 4, 5), sigma: float = 4.0, m: int = 16, steps: int = 5, name: str = "emb_planted") -> DataFrame:
+    """Anchor distance before and after alignment, and target precision, by epsilon (none: without noise), mean and spread over seeds (W5)."""
+    p = points_of(spark, sf_dir, name, rows)
+    arms = [{"set": name, "method": "exchange", "m": m, "sigma": sigma, "alpha": a, "steps": steps, "delta": 1e-5, "epsilon": e, "seed": s} for e in (*epsilons, None) for a in sorted({0.0, alpha}) for s in seeds]
+    by, values = ["epsilon", "alpha"], ("rmsd_before", "rmsd_after", "relative_after", "precision_at_8")
+    return metrics.curve(_table(spark, measured(spark, {name: p}, arms), [*by, *values]), by, values)
 
 
 def _exchange(p: DataFrame, cfg: retrieval.Config, k: int = 8) -> retrieval.Exchange:
@@ -115,9 +192,11 @@ def _exchange(p: DataFrame, cfg: retrieval.Config, k: int = 8) -> retrieval.Exch
 
 
 def end_to_end(spark: SparkSession, sf_dir: str, name: str = "emb_planted", cfg: retrieval.Config | None = None, k: int = 8, rows: int | None = None) -> DataFrame:
-    """The whole exchange: the answers each target's client keeps (W6)."""
+    """The whole exchange: the answers each target's client keeps, and whether they have the target's label (W6)."""
     p = points_of(spark, sf_dir, name, rows)
-    return _exchange(p, cfg or retrieval.Config(), k).answers.select("query_id", "match_id", "rank")
+    answers = _exchange(p, cfg or retrieval.Config(), k).answers
+    own, match = p.select(F.col("id").alias("query_id"), F.col("label").alias("_q")), p.select(F.col("id").alias("match_id"), F.col("label").alias("_m"))
+    return answers.join(own, "query_id").join(match, "match_id").select("query_id", "match_id", "rank", F.col("_q").eqNullSafe(F.col("_m")).cast("int").alias("hit"))
 
 
 def growing(n: int) -> tuple[int, ...]:
@@ -126,47 +205,76 @@ def growing(n: int) -> tuple[int, ...]:
     return (*(4**i for i in range(most.bit_length()) if 4**i < most), most)
 
 
-def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None, ops: dict[str, Op] | None = None, m: int = 16, sigma: float = 4.0) -> DataFrame:
-    """Seconds of one product by operator and rows; ids are multiplied, so features stay real (W7). Without ``copies`` rows grow fourfold up to ``LARGEST``."""
+def _shuffled(spark: SparkSession) -> int:
+    """Bytes this session has written to shuffles so far."""
+    every = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(every.apply(i).totalShuffleWrite() for i in range(every.size()))
+
+
+def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None, m: int = 16, sigma: float = 4.0, neighbours: int = 8, features_: int = 256) -> DataFrame:
+    """Seconds and shuffled bytes of one product by operator and rows, the graph given (W7).
+
+    Ids are multiplied, so features stay real, and the sparse graph is that of one copy in
+    each. Without ``copies`` rows grow fourfold up to ``LARGEST``. The dense product, which
+    compares all pairs, stops at ``LARGEST_DENSE`` rows: its cost is what the others avoid.
+    ``terms``: pairs, edges, or rows times features that a product adds up.
+    """
     base = points_of(spark, sf_dir, "emb_planted")
     n = base.count()
-    copies = copies or growing(n)
-    ops = ops or {"dense": DenseOp(sigma), "feature_map": FeatureMapOp(sigma, 256), "sparse_knn": SparseOp(sigma, knn=8)}
+    graph = SparseOp(sigma, knn=neighbours).over(base).edges
+    edges = graph.count()
     out = []
-    for c in copies:
-        p = cut(base.withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(c - 1)))).select((F.col("id") * c + F.col("c")).alias("id"), "x", "label", "role"), "p")
-        v = cut(baselines.pure_noise(p, m), "v")
-        for name, op in ops.items():
-            began = time.time()
+    for c in copies or growing(n):
+        copy = F.explode(F.sequence(F.lit(0), F.lit(c - 1)))
+        p = cut(base.withColumn("c", copy).select((F.col("id") * c + F.col("c")).alias("id"), "x", "label", "role"), "p")
+        v = known_width(cut(p.select("id", F.array(*(F.randn(k) for k in range(m))).alias("v")), "v"), m)
+        e = cut(graph.withColumn("c", copy).select((F.col("i") * c + F.col("c")).alias("i"), (F.col("j") * c + F.col("c")).alias("j"), "w"), "edges")
+        ops = {"feature_map": (FeatureMapOp(sigma, features_), n * c * features_), "sparse_knn": (SparseOp(sigma, knn=neighbours, edges=e), edges * c)}
+        if n * c <= LARGEST_DENSE:
+            ops["dense"] = (DenseOp(sigma), (n * c) ** 2)
+        for name, (op, terms) in ops.items():
+            began, before = time.time(), _shuffled(spark)
             bound = op.over(p)
             built = time.time()
-            bound.apply(v).agg(F.sum("deg")).first()
-            out.append({"op": name, "rows": n * c, "build_s": built - began, "product_s": time.time() - built})
+            bound.apply(v).agg(F.sum("deg"), F.sum(F.element_at("wv", 1))).first()
+            out.append({"op": name, "rows": n * c, "terms": terms, "build_s": built - began, "product_s": time.time() - built, "shuffle_bytes": _shuffled(spark) - before})
+        drop(spark, p, v, e)
     return _table(spark, out)
 
 
 def null_controls(spark: SparkSession, sf_dir: str, m: int = 16, rows: int | None = None) -> DataFrame:
     """Sets whose labels carry no signal: every method must stay at chance (W8)."""
-    out = []
-    for name in ("emb_raw", "cust_profile"):
-        p = points_of(spark, sf_dir, name, rows)
-        n = p.count()
-        shares = [r.n / n for r in p.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()]
-        chance = sum(s * s for s in shares)
-        k = min(m, p.select(F.size("x")).first()[0])
-        for method, v in (("raw", baselines.raw(p)), ("contrast", baselines.contrast(p, k, 0.1, 0.0)), ("pca", baselines.pca(p, k))):
-            out.append({"set": name, "method": method, "chance": chance, **_recalls(v, p, (8,))})
+    points = {n: points_of(spark, sf_dir, n, rows) for n in ("emb_raw", "cust_profile")}
+    chance = {}
+    for name, p in points.items():
+        shares = [r.n for r in p.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()]
+        chance[name] = sum(s * s for s in shares) / sum(shares) ** 2
+    arms = [{"set": n, "chance": chance[n], "m": m, "sigma": 0.1, "alpha": 0.0, "steps": 7, "method": method} for n in points for method in ("raw", "contrast", "pca")]
+    return _table(spark, measured(spark, points, arms), ["set", "method", "chance", "recall_at_8", "precision_at_8"])
+
+
+def membership_attack(spark: SparkSession, sf_dir: str, epsilons=(0.5, 1.0, 5.0, 50.0), draws: int = 400, m: int = 4, sigma: float = 4.0, alpha: float = 0.1, delta: float = 1e-5) -> DataFrame:
+    """Releases of a set with and without one row, told apart by whoever knows all other rows and the start matrix.
+
+    The score is the release's part along the known difference. ``advantage`` is measured,
+    ``limit`` is the most that (epsilon, delta) allows.
+    """
+    held = Held.of(points_of(spark, sf_dir, "emb_planted"))
+    without = held.take(np.arange(len(held.ids) - 1))
+    q = arrays.normals(1, held.ids, m)
+    a, b = (np.r_[arrays.step(q[: len(h.ids)], arrays.Graph(h.x, sigma), h.label, alpha, sigma), q[len(h.ids) :]] for h in (held, without))
+    gap, rng, out = a - b, np.random.default_rng(), []
+    norms = sensitivity.StartNorms(float(np.linalg.norm(q[:-1])), float(np.linalg.norm(q)))
+    for eps in epsilons:
+        tau = noise.calibrate(eps, delta, sensitivity.bound(len(without.ids), alpha, sigma, norms, "row_split"), "analytic")
+        scores = [[float(((x + rng.normal(0, tau, x.shape) - b) * gap).sum()) for _ in range(draws)] for x in (a, b)]
+        out.append({"epsilon": eps, "advantage": metrics.membership(*scores), "limit": (math.exp(eps) - 1 + 2 * delta) / (math.exp(eps) + 1)})
     return _table(spark, out)
 
 
-def label_leak(spark: SparkSession, sf_dir: str, m: int = 16, sigma: float = 0.1, alpha: float = 0.5, steps: int = 5, name: str = "emb_planted") -> DataFrame:
+def label_leak(spark: SparkSession, sf_dir: str, m: int = 16, sigma: float = 0.1, alpha: float = 0.5, steps: int = 5, name: str = "emb_planted", seeds=(1, 2, 3, 4, 5)) -> DataFrame:
     """Steps from pure noise by label policy: what public labels alone bring, and that masked ones bring nothing (W9)."""
     p = points_of(spark, sf_dir, name)
-    out = []
-    for policy in ("public", "masked", "off"):
-        labels = cut(labels_for(p, policy, secret="role = 'target'")[0], "l")
-        v = free_steps(baselines.pure_noise(p, m), labels, m, sigma, 0.0 if policy == "off" else alpha, steps)
-        asked = v.join(p.where("role = 'target'").select("id"), "id", "left_semi")
-        matches = retrieval.knn(asked, v, 8)
-        out.append({"policy": policy, "all_precision_at_8": _recalls(v, p, (8,))["precision_at_8"], "target_precision_at_8": metrics.precision_at(matches, p, 8)})
-    return _table(spark, out)
+    arms = [{"set": name, "method": "pure_noise", "policy": policy, "m": m, "sigma": sigma, "alpha": alpha, "steps": steps, "seed": s, "targets": True} for policy in ("public", "masked", "off") for s in seeds]
+    values = ("precision_at_8", "target_precision_at_8")
+    return metrics.curve(_table(spark, measured(spark, {name: p}, arms), ["policy", *values]), ["policy"], values)

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import norm, unit
-from ..sources import read, sized
+from ..sources import POINTS, SMALL, cut, read, require, sized
 
 BINS = 64
 
@@ -18,13 +18,22 @@ def unit_rows(df: DataFrame, col: str = "x") -> tuple[DataFrame, DataFrame]:
     return df.where(good).withColumn(col, unit(F.col(col))), df.where(~good)
 
 
-def label_codes(df: DataFrame, col: str, out: str = "label") -> DataFrame:
+def label_codes(df: DataFrame, col: str, out: str = "label", small: int = SMALL) -> DataFrame:
     """``df`` with dense integer codes of ``col`` from 0 in its order; null stays null.
 
-    Codes come from the distinct values, which are few, and are joined back.
+    Codes come from the distinct values and are joined back. Up to ``SMALL`` values are
+    ranked in one task; more are cut into ranges, ranked within each, and moved up by the
+    sizes of the ranges before.
     """
     codes = df.where(F.col(col).isNotNull()).select(F.col(col).alias("_value")).distinct()
-    codes = codes.withColumn("_code", F.dense_rank().over(Window.orderBy("_value")) - 1)
+    if codes.limit(small + 1).count() <= small:
+        codes = codes.withColumn("_code", F.row_number().over(Window.orderBy("_value")) - 1)
+    else:
+        dealt = cut(codes.repartitionByRange("_value").withColumn("_range", F.spark_partition_id()), "codes")
+        sizes = dealt.groupBy("_range").agg(F.count(F.lit(1)).alias("_n"), F.min("_value").alias("_least"))
+        before = F.coalesce(F.sum("_n").over(Window.orderBy("_least").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # one row a range
+        place = F.row_number().over(Window.partitionBy("_range").orderBy("_value"))
+        codes = dealt.join(F.broadcast(sizes.select("_range", before.alias("_before"))), "_range").select("_value", (F.col("_before") + place - 1).alias("_code"))
     return df.join(sized(codes), F.col(col) == F.col("_value"), "left").withColumn(out, F.col("_code").cast("int")).drop("_value", "_code")
 
 
@@ -36,7 +45,7 @@ def role_of(id_: Column, seed: int = 42) -> Column:
 
 def raw(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = read(spark, sf_dir, "embeddings")
-    rows = e.select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("x"), "label")
+    rows = e.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("x"), F.col("label").cast("int").alias("label"))
     return unit_rows(rows)[0].withColumn("role", role_of(F.col("id")))
 
 
@@ -70,19 +79,19 @@ def _texts(rows: DataFrame, label: str) -> DataFrame:
 
 
 def doc_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _texts(read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text", "lang"), "lang")
+    return _texts(read(spark, sf_dir, "documents").select(F.col("doc_id").cast("long").alias("id"), "text", "lang"), "lang")
 
 
 def doc_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """As ``doc_lang`` with quality as label: null where a document has none."""
-    d = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")
-    q = read(spark, sf_dir, "labels").select(F.col("doc_id").alias("id"), F.col("quality").cast("int").alias("label"))
+    d = read(spark, sf_dir, "documents").select(F.col("doc_id").cast("long").alias("id"), "text")
+    q = read(spark, sf_dir, "labels").select(F.col("doc_id").cast("long").alias("id"), F.col("quality").cast("int").alias("label"))
     return trigrams(d, "text").join(q, "id", "left").withColumn("role", role_of(F.col("id"))).select("id", "x", "label", "role")
 
 
 def page_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = read(spark, sf_dir, "pages").select(
-        F.col("page_id").alias("id"),
+        F.col("page_id").cast("long").alias("id"),
         F.regexp_extract("html", r'<html[^>]*\slang="([a-z]+)"', 1).alias("lang"),
         F.trim(F.regexp_replace(F.regexp_replace("html", r"(?s)<(script|style|head)[^>]*>.*?</\1>", " "), r"<[^>]*>", " ")).alias("text"),
     )
@@ -117,7 +126,7 @@ def feature_set(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         "page_lang": lambda: page_lang(spark, sf_dir),
         "cust_profile": lambda: customer_profile(spark, sf_dir),
     }
-    return made[name]()
+    return require(made[name]().select("id", "x", "label", "role"), POINTS)
 
 
 def ml_text_features(spark: SparkSession, sf_dir: str, bins: int = BINS) -> DataFrame:
@@ -126,6 +135,6 @@ def ml_text_features(spark: SparkSession, sf_dir: str, bins: int = BINS) -> Data
     from pyspark.ml.feature import IDF, HashingTF, NGram, Normalizer, RegexTokenizer
     from pyspark.ml.functions import vector_to_array
 
-    d = read(spark, sf_dir, "documents").where(F.length("text") > 0).select(F.col("doc_id").alias("id"), "text")
+    d = read(spark, sf_dir, "documents").where(F.length("text") > 0).select(F.col("doc_id").cast("long").alias("id"), "text")
     p = Pipeline(stages=[RegexTokenizer(inputCol="text", outputCol="w"), NGram(n=2, inputCol="w", outputCol="g"), HashingTF(numFeatures=bins, inputCol="g", outputCol="t"), IDF(inputCol="t", outputCol="i"), Normalizer(inputCol="i", outputCol="u")])
     return p.fit(d).transform(d).select("id", vector_to_array("u").alias("x"))

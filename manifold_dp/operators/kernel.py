@@ -1,26 +1,28 @@
 """Gaussian kernel graphs: pair tables for small inputs, and products with a matrix that never store the graph.
 
-An operator is made for points ``(id, x)``; ``apply(V)`` returns ``(id, deg, wv)``: the
-degree of each row and its row of W V, for embeddings ``V (id, v)``.
+An operator is made for points ``(id, x)``; ``apply(V)`` returns ``(id, v, deg, wv)``: for each
+row of an embedding ``V (id, v)`` itself, its degree and its row of W V.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import dist2, gauss_weight
-from ..sources import cut, sized
+from ..functions import gauss_weight
+from ..sources import cut, known_width, sized, width
+from .arrays import normals, product, uniforms, weights
+from .neighbours import as_vector, knn, lists, matrix, summed, vector_sum
 
 #: Bytes that may be sent to every task; beyond it, the block form is used.
 BROADCAST = 64 << 20
-PRODUCT = "id long, deg double, wv array<double>"
+PRODUCT = "id long, v array<double>, deg double, wv array<double>"
+_NAMES = ["id", "v", "deg", "wv"]
 
 
 def weight(x: Column, y: Column, sigma: float) -> Column:
@@ -48,30 +50,6 @@ def laplacian(points: DataFrame, sigma: float) -> DataFrame:
     return both.select("i", "j", (-F.col("w")).alias("value")).unionByName(deg).unionByName(lone)
 
 
-def _matrix(lists: pa.Array | pa.ChunkedArray, rows: int) -> np.ndarray:
-    if isinstance(lists, pa.ChunkedArray):
-        lists = lists.combine_chunks()
-    flat = lists.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
-    return flat.reshape(rows, -1) if rows else np.empty((0, 0))
-
-
-def _lists(m: np.ndarray) -> pa.ListArray:
-    n, d = m.shape
-    return pa.ListArray.from_arrays(pa.array(np.arange(n + 1) * d, pa.int32()), pa.array(np.ascontiguousarray(m).ravel()))
-
-
-def square_gaps(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    return np.maximum((x * x).sum(1)[:, None] + (y * y).sum(1)[None, :] - 2 * x @ y.T, 0.0)
-
-
-def vector_sum(col: str, size: int) -> list[Column]:
-    return [F.sum(F.element_at(col, i + 1)).alias(f"_s{i}") for i in range(size)]
-
-
-def as_vector(size: int, name: str) -> Column:
-    return F.array(*(F.col(f"_s{i}") for i in range(size))).alias(name)
-
-
 class Op:
     """Base of the operators; ``over`` binds one to its points."""
 
@@ -91,13 +69,34 @@ class Op:
     def apply(self, v: DataFrame | None) -> DataFrame:
         raise NotImplementedError
 
+    def close(self) -> None:
+        """Delete what the operator wrote for itself."""
+
+    def _rows(self, v: DataFrame | None) -> DataFrame:
+        if v is None:
+            return known_width(self.points.withColumn("v", F.array(F.lit(0.0))), 1)
+        return known_width(self.points.join(v.select("id", "v"), "id"), width(v))
+
+
+def _check_pairs(n: int, most: float) -> None:
+    if float(n) ** 2 > most:
+        raise ValueError(f"{n} rows make more than {most:g} pairs; use FeatureMapOp, or a sparse graph found by projections")
+
+
+def _every(n: int) -> Column:
+    return F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+
+
+def _block(n: int) -> Column:
+    return F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
+
 
 class DenseOp(Op):
     """Exact: every pair, as blocks of rows against blocks of rows in matrix arithmetic.
 
-    If points and V fit in ``broadcast`` bytes they are sent to all tasks and nothing is
-    shuffled; else rows are dealt into blocks, each block meets each other one, and the
-    partial sums of a row are added by its id.
+    If points and V fit in ``broadcast`` bytes they are sent to all tasks (points once, V in
+    each product) and nothing is shuffled; else rows are dealt into blocks, each block meets
+    each other one, and the partial sums of a row are added by its id.
     """
 
     def __init__(self, sigma: float, block: int = 4096, broadcast: int = BROADCAST, max_pairs: float = 1e12):
@@ -105,68 +104,87 @@ class DenseOp(Op):
 
     def prepare(self) -> None:
         self.n, d = self.points.agg(F.count(F.lit(1)), F.max(F.size("x"))).first()
-        self.d = d or 0
-        if float(self.n) ** 2 > self.max_pairs:
-            raise ValueError(f"{self.n} rows make more than {self.max_pairs:g} pairs; use SparseOp or FeatureMapOp")
+        self.d, self.known = d or 0, None
+        _check_pairs(self.n, self.max_pairs)
 
     def apply(self, v: DataFrame | None) -> DataFrame:
-        both = self.points.withColumn("v", F.array(F.lit(0.0))) if v is None else self.points.join(v.select("id", "v"), "id")
-        m = (both.select(F.size("v")).first() or [1])[0]
+        m = 1 if v is None else width(v)
         if self.n * (self.d + m + 1) * 8 <= self.broadcast:
-            return self._sent(both)
-        return self._blocks(both, m)
-
-    def _sent(self, both: DataFrame) -> DataFrame:
-        all_ = both.orderBy("id").toArrow()
-        ids = all_["id"].to_numpy()
-        data = both.sparkSession.sparkContext.broadcast((ids, _matrix(all_["x"], len(ids)), _matrix(all_["v"], len(ids))))
-        sigma, block = self.sigma, self.block
-
-        def product(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            ids, x, v = data.value
+            return known_width(self._sent(v), m)
+        return known_width(self._blocks(v, m), m)
+
+    def _sent(self, v: DataFrame | None) -> DataFrame:
+        sc = self.points.sparkSession.sparkContext
+        if self.known is None:
+            t = self.points.orderBy("id").toArrow()
+            ids = t["id"].to_numpy()
+            self.known = ids, sc.broadcast((ids, matrix(t["x"], len(ids))))
+        ids, data = self.known
+        if v is None:
+            at, values = ids, np.zeros((len(ids), 1))
+        else:
+            t = v.select("id", "v").orderBy("id").toArrow()
+            at, values = t["id"].to_numpy(), matrix(t["v"], len(t))
+        sent, sigma = sc.broadcast((at, values)), self.sigma
+
+        def multiply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            (ids, x), (at, v) = data.value, sent.value
+            if len(ids) != len(at):  # rows without v take no part
+                both = np.isin(ids, at)
+                ids, x = ids[both], x[both]
             for b in batches:
                 own = b.column(0).to_numpy()
-                mine = _matrix(b.column(1), len(own))
-                for i in range(0, len(own), block):
-                    w = np.exp(-square_gaps(mine[i : i + block], x) / sigma)
-                    w[own[i : i + block, None] == ids[None, :]] = 0.0
-                    yield pa.RecordBatch.from_arrays([pa.array(own[i : i + block]), pa.array(w.sum(1)), _lists(w @ v)], ["id", "deg", "wv"])
-
-        return self.points.mapInArrow(product, PRODUCT)
-
-    def _blocks(self, both: DataFrame, m: int) -> DataFrame:
-        n = -(-self.n // self.block)
-        own = F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
-        every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-        left = self.points.select(F.col("id").alias("i"), F.col("x").alias("xi"), own.alias("bi"), every.alias("bj"))
-        right = both.select(F.col("id").alias("j"), F.col("x").alias("xj"), "v", own.alias("bj"), every.alias("bi"))
+                here = np.isin(own, ids)
+                if here.any():
+                    own = own[here]
+                    deg, wv = product(own, matrix(b.column(1), b.num_rows)[here], ids, x, v, sigma)
+                    yield pa.RecordBatch.from_arrays([pa.array(own), lists(v[np.searchsorted(at, own)]), pa.array(deg), lists(wv)], _NAMES)
+
+        return self.points.mapInArrow(multiply, PRODUCT)
+
+    def _blocks(self, v: DataFrame | None, m: int) -> DataFrame:
+        n = max(1, -(-self.n // self.block))
+        both = self._rows(v)
+        left = both.select(F.col("id").alias("i"), F.col("x").alias("xi"), _block(n).alias("bi"), _every(n).alias("bj"))
+        right = both.select(F.col("id").alias("j"), F.col("x").alias("xj"), "v", _block(n).alias("bj"), _every(n).alias("bi"))
         sigma = self.sigma
 
-        def part(key, a, b):
-            i, j = a["i"].to_numpy(), b["j"].to_numpy()
-            if not len(i) or not len(j):
-                return pa.table([pa.array([], pa.int64()), pa.array([], pa.float64()), pa.array([], pa.list_(pa.float64()))], names=["id", "deg", "wv"])
-            w = np.exp(-square_gaps(_matrix(a["xi"], len(i)), _matrix(b["xj"], len(j))) / sigma)
-            w[i[:, None] == j[None, :]] = 0.0
-            return pa.table([pa.array(i), pa.array(w.sum(1)), _lists(w @ _matrix(b["v"], len(j)))], names=["id", "deg", "wv"])
+        def part(a: pa.Table, b: pa.Table) -> pa.Table:
+            names = ["id", "deg", "wv"]
+            if not len(a) or not len(b):
+                return pa.table([pa.array([], pa.int64()), pa.array([], pa.float64()), pa.array([], pa.list_(pa.float64()))], names=names)
+            i = a["i"].to_numpy()
+            deg, wv = product(i, matrix(a["xi"], len(a)), b["j"].to_numpy(), matrix(b["xj"], len(b)), matrix(b["v"], len(b)), sigma)
+            return pa.table([pa.array(i), pa.array(deg), lists(wv)], names=names)
 
-        parts = left.groupBy("bi", "bj").cogroup(right.groupBy("bi", "bj")).applyInArrow(part, PRODUCT)
-        return parts.groupBy("id").agg(F.sum("deg").alias("deg"), *vector_sum("wv", m)).select("id", "deg", as_vector(m, "wv"))
+        parts = left.groupBy("bi", "bj").cogroup(right.groupBy("bi", "bj")).applyInArrow(part, "id long, deg double, wv array<double>")
+        added = parts.groupBy("id").agg(F.sum("deg").alias("deg"), *vector_sum("wv", m)).select("id", "deg", as_vector(m, "wv"))
+        return both.select("id", "v").join(added, "id").select(*_NAMES)
 
 
 class SparseOp(Op):
     """Truncated graph, stored as edges: weights of at least ``theta``, or the ``knn`` nearest made symmetric.
 
-    ``mode='exact'`` finds edges by block comparison; ``'lsh'`` by random projections,
-    which may miss some. Not for a released step.
+    ``mode='exact'`` finds edges by comparing all blocks, up to ``max_pairs`` pairs; ``'lsh'``
+    by random projections, at any size, which may miss some. ``edges`` takes a graph that is
+    there already. Not for a released step.
     """
 
-    def __init__(self, sigma: float, theta: float | None = 0.0, knn: int | None = None, mode: str = "exact", seed: int = 1, block: int = 4096):
-        self.sigma, self.theta, self.knn, self.mode, self.seed, self.block = sigma, theta, knn, mode, seed, block
+    def __init__(self, sigma: float, theta: float | None = 0.0, knn: int | None = None, mode: str = "exact", seed: int = 1, block: int = 4096, max_pairs: float = 1e12, edges: DataFrame | None = None):
+        self.sigma, self.theta, self.knn, self.mode, self.seed, self.block, self.max_pairs, self.edges = sigma, theta, knn, mode, seed, block, max_pairs, edges
 
     def prepare(self) -> None:
+        if self.edges is not None:
+            return
+        if self.mode != "lsh":
+            _check_pairs(self.points.count(), self.max_pairs)
         self.edges = cut(self._knn() if self.knn else self._threshold(), "edges")
 
+    def _knn(self) -> DataFrame:
+        v = self.points.select("id", F.col("x").alias("v"))
+        near = knn(v, v, self.knn).select(F.col("query_id").alias("i"), F.col("match_id").alias("j"), F.exp(-F.col("dist") / self.sigma).alias("w"))
+        return near.unionByName(near.select(F.col("j").alias("i"), F.col("i").alias("j"), "w")).groupBy("i", "j").agg(F.max("w").alias("w"))
+
     def _threshold(self) -> DataFrame:
         if self.mode == "lsh":
             from pyspark.ml.feature import BucketedRandomProjectionLSH
@@ -179,116 +197,76 @@ class SparseOp(Op):
             lsh = BucketedRandomProjectionLSH(inputCol="f", outputCol="h", bucketLength=2 * radius, numHashTables=8, seed=self.seed).fit(p)
             near = lsh.approxSimilarityJoin(p, p, radius + 1e-9, "dist").where("datasetA.id <> datasetB.id")
             return near.select(F.col("datasetA.id").alias("i"), F.col("datasetB.id").alias("j"), F.exp(-F.col("dist") * F.col("dist") / self.sigma).alias("w"))
-        least = self.theta or 0.0
-        return self._compared(lambda w, ids: [np.flatnonzero(row >= least) for row in w])
+        n, sigma, least = max(1, -(-self.points.count() // self.block)), self.sigma, self.theta or 0.0
+        left = self.points.select("id", "x", _block(n).alias("bi"), _every(n).alias("bj"))
+        right = self.points.select("id", "x", _block(n).alias("bj"), _every(n).alias("bi"))
 
-    def _knn(self) -> DataFrame:
-        k = self.knn
-        near = self._compared(lambda w, ids: [np.lexsort((ids, -row))[:k] if k < len(row) else np.arange(len(row)) for row in w])
-        return near.unionByName(near.select(F.col("j").alias("i"), F.col("i").alias("j"), "w")).groupBy("i", "j").agg(F.max("w").alias("w"))
+        def part(a: pa.Table, b: pa.Table) -> pa.Table:
+            i, j = a["id"].to_numpy(), b["id"].to_numpy()
+            if not len(i) or not len(j):
+                return pa.table([pa.array([], pa.int64()), pa.array([], pa.int64()), pa.array([], pa.float64())], names=["i", "j", "w"])
+            w = weights(i, matrix(a["x"], len(i)), j, matrix(b["x"], len(j)), sigma)
+            r, c = np.nonzero((w >= least) & (i[:, None] != j[None, :]))
+            return pa.table([pa.array(i[r]), pa.array(j[c]), pa.array(w[r, c])], names=["i", "j", "w"])
 
-    def _compared(self, choose) -> DataFrame:
-        """Rows against all points, in blocks; the points are sent if they fit, else a pair join is used."""
-        n, d = self.points.agg(F.count(F.lit(1)), F.max(F.size("x"))).first()
-        sigma, block = self.sigma, self.block
-        if n * ((d or 0) + 1) * 8 > BROADCAST:
-            a = self.points.select(F.col("id").alias("i"), F.col("x").alias("xi"))
-            b = self.points.select(F.col("id").alias("j"), F.col("x").alias("xj"))
-            w = a.join(b, F.col("i") != F.col("j")).select("i", "j", F.exp(-dist2(F.col("xi"), F.col("xj")) / sigma).alias("w"))
-            if self.knn:
-                from pyspark.sql import Window
-
-                r = F.row_number().over(Window.partitionBy("i").orderBy(F.desc("w"), "j"))
-                return w.withColumn("r", r).where(F.col("r") <= self.knn).drop("r")
-            return w.where(F.col("w") >= (self.theta or 0.0))
-        all_ = self.points.orderBy("id").toArrow()
-        data = self.points.sparkSession.sparkContext.broadcast((all_["id"].to_numpy(), _matrix(all_["x"], n)))
-
-        def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            ids, x = data.value
-            for b in batches:
-                own = b.column(0).to_numpy()
-                mine = _matrix(b.column(1), len(own))
-                for s in range(0, len(own), block):
-                    w = np.exp(-square_gaps(mine[s : s + block], x) / sigma)
-                    w[own[s : s + block, None] == ids[None, :]] = -1.0
-                    cols = [c[w[r][c] >= 0] for r, c in enumerate(choose(w, ids))]
-                    i = np.repeat(own[s : s + block], [len(c) for c in cols])
-                    j = np.concatenate([np.empty(0, np.int64), *cols]).astype(np.int64)
-                    r = np.repeat(np.arange(len(cols)), [len(c) for c in cols])
-                    yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(ids[j]), pa.array(w[r, j])], ["i", "j", "w"])
-
-        return self.points.mapInArrow(compare, "i long, j long, w double")
+        return left.groupBy("bi", "bj").cogroup(right.groupBy("bi", "bj")).applyInArrow(part, "i long, j long, w double")
 
     def apply(self, v: DataFrame | None) -> DataFrame:
-        deg = self.edges.groupBy(F.col("i").alias("id")).agg(F.sum("w").alias("deg"))
-        base = self.points.select("id").join(deg, "id", "left").select("id", F.coalesce("deg", F.lit(0.0)).alias("deg"))
-        if v is None:
-            return base.withColumn("wv", F.array(F.lit(0.0)))
-        m = (v.select(F.size("v")).first() or [1])[0]
-        e = self.edges.join(v.select(F.col("id").alias("j"), "v"), "j")
-        sums = e.groupBy(F.col("i").alias("id")).agg(*(F.sum(F.col("w") * F.element_at("v", k + 1)).alias(f"_s{k}") for k in range(m)))
-        return base.join(sums, "id", "left").select("id", "deg", F.array(*(F.coalesce(f"_s{k}", F.lit(0.0)) for k in range(m))).alias("wv"))
+        both = self._rows(v).select("id", "v")
+        m = 1 if v is None else width(v)
+        e = self.edges.join(both.select(F.col("id").alias("j"), "v"), "j")
+        sums = e.groupBy(F.col("i").alias("id")).agg(F.sum("w").alias("deg"), *(F.sum(F.col("w") * F.element_at("v", k + 1)).alias(f"_s{k}") for k in range(m)))
+        none = F.lit(0.0)
+        return known_width(both.join(sums, "id", "left").select("id", "v", F.coalesce("deg", none).alias("deg"), F.array(*(F.coalesce(f"_s{k}", none) for k in range(m))).alias("wv")), m)
 
 
 class FeatureMapOp(Op):
     """Random cosine features z with z(x).z(y) about the kernel: two passes, no pair of rows ever meets.
 
     Pass 1 sums z v' and z over all rows (R x (m + 1) numbers a task, added up by Spark);
-    pass 2 maps each row. The error falls as 1 / sqrt(R), fastest for wide kernels. Not
-    for a released step.
+    pass 2 maps each row. The error falls as 1 / sqrt(R), fastest for wide kernels. Directions
+    come from the portable source, so any engine can repeat them. Not for a released step.
     """
 
-    def __init__(self, sigma: float, features: int = 256, seed: int = 1):
+    def __init__(self, sigma: float, features: int = 256, seed: int | str = 1):
         self.sigma, self.features, self.seed = sigma, features, seed
 
     def prepare(self) -> None:
-        self.d = (self.points.select(F.size("x")).first() or [1])[0]
-        rng = np.random.default_rng(self.seed)
-        self.omega = rng.normal(0.0, math.sqrt(2.0 / self.sigma), (self.d, self.features))
-        self.phase = rng.uniform(0, 2 * math.pi, self.features)
+        d = width(self.points, "x")
+        self.omega = math.sqrt(2.0 / self.sigma) * normals(f"{self.seed}w", np.arange(d), self.features)
+        self.phase = 2 * math.pi * uniforms(f"{self.seed}p", self.features)
 
-    def _z(self):
+    def _z(self) -> Callable[[np.ndarray], np.ndarray]:
         omega, phase, scale = self.omega, self.phase, math.sqrt(2.0 / self.features)
         return lambda x: scale * np.cos(x @ omega + phase)
 
     def apply(self, v: DataFrame | None) -> DataFrame:
-        z, r = self._z(), self.features
-        rows = self.points.withColumn("v", F.array(F.lit(0.0))) if v is None else self.points.join(v.select("id", "v"), "id")
-        m = (rows.select(F.size("v")).first() or [1])[0]
+        z, rows = self._z(), self._rows(v)
+        m = width(rows)
 
-        def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            total = np.zeros((r, m + 1))
-            for b in batches:
-                n = b.num_rows
-                if n:
-                    f = z(_matrix(b.column(0), n))
-                    total += f.T @ np.c_[_matrix(b.column(1), n), np.ones(n)]
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(r, dtype=np.int32)), _lists(total)], ["r", "s"])
+        def sums(b: pa.RecordBatch) -> np.ndarray:
+            return z(matrix(b.column(0), b.num_rows)).T @ np.c_[matrix(b.column(1), b.num_rows), np.ones(b.num_rows)]
 
-        parts = rows.select("x", "v").mapInArrow(sums, "r int, s array<double>")
-        added = parts.groupBy("r").agg(*vector_sum("s", m + 1)).orderBy("r").collect()  # R rows
-        total = np.array([[row[f"_s{k}"] for k in range(m + 1)] for row in added])
-        sent = rows.sparkSession.sparkContext.broadcast(total)
+        sent = rows.sparkSession.sparkContext.broadcast(summed(rows.select("x", "v"), sums, self.features, m + 1))
 
-        def product(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def multiply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
                 n = b.num_rows
                 if n:
-                    f, vv = z(_matrix(b.column(1), n)), _matrix(b.column(2), n)
+                    f, vv = z(matrix(b.column(1), n)), matrix(b.column(2), n)
                     own = (f * f).sum(1)
                     both = f @ sent.value
-                    yield pa.RecordBatch.from_arrays([b.column(0), pa.array(both[:, -1] - own), _lists(both[:, :-1] - own[:, None] * vv)], ["id", "deg", "wv"])
+                    yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(both[:, -1] - own), lists(both[:, :-1] - own[:, None] * vv)], _NAMES)
 
-        return rows.select("id", "x", "v").mapInArrow(product, PRODUCT)
+        return known_width(rows.select("id", "x", "v").mapInArrow(multiply, PRODUCT), m)
 
 
 def laplacian_product(op: Op, v: DataFrame) -> DataFrame:
     """``(id, v, deg, lv)``: L V = D V - W V."""
-    return op.apply(v).join(v.select("id", "v"), "id").select("id", "v", "deg", F.zip_with("v", "wv", lambda a, b: a * F.col("deg") - b).alias("lv"))
+    return op.apply(v).select("id", "v", "deg", F.zip_with("v", "wv", lambda a, b: a * F.col("deg") - b).alias("lv"))
 
 
-def energy(v: DataFrame, op: Op) -> Column | float:
+def energy(v: DataFrame, op: Op) -> float:
     """tr(V' L V): the sum over unordered pairs of weight times squared gap."""
     p = laplacian_product(op, v)
     return p.agg(F.sum(F.aggregate(F.zip_with("v", "lv", lambda a, b: a * b), F.lit(0.0), lambda s, z: s + z))).first()[0] or 0.0

@@ -1,28 +1,40 @@
-"""The spectral map and its kin."""
+"""The spectral map and its kin, and small matrices applied to rows."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..sources import cut
-from .kernel import DenseOp, Op, as_vector, vector_sum
+from ..sources import cut, drop, known_width, width
+from .kernel import DenseOp, Op, laplacian_product
+from .neighbours import lists, matrix, summed
 from .noise import start_matrix
 
 
-def gram(v: DataFrame, left: str = "v", right: str = "v", weight=None) -> np.ndarray:
-    """left' diag(weight) right, by one aggregate of m x m sums."""
-    m, k = v.select(F.size(left), F.size(right)).first()
-    w = F.lit(1.0) if weight is None else weight
-    row = v.agg(*(F.sum(w * F.element_at(left, i + 1) * F.element_at(right, j + 1)).alias(f"g{i}_{j}") for i in range(m) for j in range(k))).first()
-    return np.array([[row[f"g{i}_{j}"] for j in range(k)] for i in range(m)])
+def gram(v: DataFrame, left: str = "v", right: str = "v", weight: Column | None = None) -> np.ndarray:
+    """left' diag(weight) right: one partial matrix a task, added up."""
+    m, k = width(v, left), width(v, right)
+    rows = v.select(F.col(left).alias("a"), F.col(right).alias("b"), (F.lit(1.0) if weight is None else weight).alias("w"))
+    return summed(rows, lambda b: (matrix(b.column(0), b.num_rows) * b.column(2).to_numpy()[:, None]).T @ matrix(b.column(1), b.num_rows), m, k)
+
+
+def times(v: DataFrame, by: np.ndarray, col: str = "v", shift: np.ndarray | None = None) -> DataFrame:
+    """Each row times a small matrix, plus ``shift``; other columns stay."""
+    at, names = v.columns.index(col), v.columns
 
+    def multiply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                new = matrix(b.column(at), b.num_rows) @ by
+                yield pa.RecordBatch.from_arrays([*b.columns[:at], lists(new if shift is None else new + shift), *b.columns[at + 1 :]], names)
 
-def times(v: DataFrame, matrix: np.ndarray, col: str = "v") -> DataFrame:
-    """Each row times a small matrix."""
-    rows, cols = matrix.shape
-    return v.withColumn(col, F.array(*(sum((F.element_at(col, i + 1) * float(matrix[i, j]) for i in range(rows)), F.lit(0.0)) for j in range(cols))))
+    schema = T.StructType([T.StructField(f.name, T.ArrayType(T.DoubleType())) if f.name == col else f for f in v.schema])
+    return known_width(v.mapInArrow(multiply, schema), by.shape[1], col)
 
 
 def spectral(points: DataFrame, sigma: float, m: int, op: Op | None = None, iterations: int = 30, seed: int = 1, power: float | None = None) -> tuple[DataFrame, list[float]]:
@@ -31,24 +43,21 @@ def spectral(points: DataFrame, sigma: float, m: int, op: Op | None = None, iter
     Subspace iteration on half (I + D^-1 W): each round is one product and one aggregate
     of m x m sums. ``power`` weighs each by (1 - lambda)^power: the diffusion map.
     """
+    spark = points.sparkSession
     op = (op or DenseOp(sigma)).over(points)
     k = m + 1
-    v = cut(start_matrix(points, k, 1.0, seed), "v")
-    deg = cut(op.apply(None).select("id", "deg"), "deg")
-    values = np.zeros(k)
+    v = known_width(cut(start_matrix(points, k, 1.0, seed), "v"), k)
     for _ in range(iterations):
-        both = op.apply(v).join(v, "id").withColumn("v", F.zip_with("v", "wv", lambda a, b: F.when(F.col("deg") > 0, (a + b / F.col("deg")) / 2).otherwise(a)))
-        v = cut(both.select("id", "deg", "v"), "v")
-        q = np.linalg.cholesky(gram(v, weight=F.col("deg")) + 1e-300 * np.eye(k))
-        v = cut(times(v, np.linalg.inv(q).T).select("id", "v"), "v")
-    moved = op.apply(v).join(v, "id")
-    a = gram(moved.withColumn("lv", F.zip_with("v", "wv", lambda x, w: x * F.col("deg") - w)), "v", "lv")
+        new = F.zip_with("v", "wv", lambda a, b: F.when(F.col("deg") > 0, (a + b / F.col("deg")) / 2).otherwise(a))
+        moved = known_width(cut(op.apply(v).select("id", "deg", new.alias("v")), "v"), k)
+        drop(spark, v)
+        q = np.linalg.cholesky(gram(moved, weight=F.col("deg")) + 1e-300 * np.eye(k))
+        v = known_width(cut(times(moved.select("id", "v"), np.linalg.inv(q).T), "v"), k)
+        drop(spark, moved)
+    a = gram(known_width(known_width(laplacian_product(op, v), k), k, "lv"), "v", "lv")
     values, rotate = np.linalg.eigh((a + a.T) / 2)
     rotate = rotate[:, 1:]
     values = values[1:]
     if power is not None:
         rotate = rotate * (1 - values) ** power
     return times(v, rotate).select("id", "v"), values.tolist()
-
-
-__all__ = ["as_vector", "gram", "spectral", "times", "vector_sum"]

@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..sources import width
+from .neighbours import as_vector, vector_sum
+
 
 def _judged(matches: DataFrame, labels: DataFrame) -> DataFrame:
     """Matches with whether they have the query's label; queries without label do not count."""
@@ -44,12 +47,12 @@ def set_recall(matches: DataFrame, truth: DataFrame, k: int) -> DataFrame:
 
 def separation(v: DataFrame, labels: DataFrame) -> float:
     """Scatter between class means over scatter within classes: what a picture of the classes would show."""
-    m = (v.select(F.size("v")).first() or [1])[0]
-    rows = v.join(labels.where("label IS NOT NULL").select("id", "label"), "id")
-    x = [F.element_at("v", i + 1) for i in range(m)]
-    c = rows.groupBy("label").agg(F.count(F.lit(1)).alias("n"), *(F.sum(z).alias(f"s{i}") for i, z in enumerate(x)), F.sum(sum((z * z for z in x), F.lit(0.0))).alias("q"))
-    own = sum((F.col(f"s{i}") * F.col(f"s{i}") for i in range(m)), F.lit(0.0))
-    row = c.agg(F.sum("n").alias("n"), F.sum("q").alias("q"), F.sum(own / F.col("n")).alias("c"), *(F.sum(f"s{i}").alias(f"t{i}") for i in range(m))).first()
+    m = width(v)
+    rows = v.select("id", "v").join(labels.where("label IS NOT NULL").select("id", "label"), "id")
+    square = F.aggregate("v", F.lit(0.0), lambda s, z: s + z * z)
+    c = rows.groupBy("label").agg(F.count(F.lit(1)).alias("n"), *vector_sum("v", m), F.sum(square).alias("q"))
+    own = F.aggregate(as_vector(m, "s"), F.lit(0.0), lambda s, z: s + z * z)
+    row = c.agg(F.sum("n").alias("n"), F.sum("q").alias("q"), F.sum(own / F.col("n")).alias("c"), *(F.sum(f"_s{i}").alias(f"t{i}") for i in range(m))).first()
     middle = sum(row[f"t{i}"] ** 2 for i in range(m)) / row["n"]
     within = row["q"] - row["c"]
     return float((row["c"] - middle) / within) if within > 0 else float("inf")
@@ -72,9 +75,9 @@ def distortion(v: DataFrame, points: DataFrame, op_sigma: float) -> DataFrame:
     return p.join(a, "i").join(b, "j").select("i", "j", "w", gap.alias("gap"), (gap / F.nullif(dist, F.lit(0.0))).alias("ratio"))
 
 
-def curve(rows: DataFrame, by: list[str], value: str = "recall") -> DataFrame:
-    """Mean and spread over seeds for each setting."""
-    return rows.groupBy(*by).agg(F.avg(value).alias("mean"), F.stddev_samp(value).alias("sd"), F.count(F.lit(1)).alias("seeds"))
+def curve(rows: DataFrame, by: list[str], values: tuple[str, ...] = ("recall",)) -> DataFrame:
+    """Mean and spread over seeds of each value, for each setting."""
+    return rows.groupBy(*by).agg(*(f(v).alias(f"{v}_{name}") for v in values for f, name in ((F.avg, "mean"), (F.stddev_samp, "sd"))), F.count(F.lit(1)).alias("seeds"))
 
 
 def membership(with_row: list[float], without: list[float]) -> float:

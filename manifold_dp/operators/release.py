@@ -8,10 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import unit
-from ..sources import EMBED, cut
+from ..sources import EMBED, cut, known_width
 from . import noise, sensitivity
 from .kernel import DenseOp, Op
 from .labels import LabelOp
+from .ledger import Book
 from .step import contrast_step, run
 
 LABEL_POLICIES = ("public", "masked", "randomized", "off")
@@ -66,6 +67,15 @@ def labels_for(points: DataFrame, policy: str, epsilon: float | None = None, sec
     raise ValueError(f"unknown label policy {policy}")
 
 
+def published_labels(points: DataFrame, policy: str, epsilon: float | None = None, book: Book | None = None, subject: str = "client") -> tuple[DataFrame, list[str], float]:
+    """``labels_for``, written; and the epsilon they cost, charged to ``book`` first."""
+    cost = (epsilon or 0.0) if policy == "randomized" else 0.0
+    if book is not None and cost:
+        book.charge(subject, "randomized labels", cost, 0.0, 1.0)
+    labels, said = labels_for(points, policy, epsilon)
+    return (labels if getattr(labels, "at", None) else cut(labels, "labels")), said, cost
+
+
 def noisy_first_step(
     points: DataFrame,
     m: int,
@@ -79,24 +89,39 @@ def noisy_first_step(
     calibration: str = "classic",
     domain: str = "sphere",
     t: int = 1,
+    padding: str = "reserve",
+    book: Book | None = None,
+    subject: str = "client",
     test_noise: int | str | None = None,
 ) -> tuple[DataFrame, ReleaseReport]:
     """One contrast step on the dense exact graph with Gaussian noise, written once and read back.
 
+    The sensitivity counts the start matrix of one row more (``padding``: see
+    ``StartNorms``). ``book`` is charged before anything is published, or refuses.
     ``test_noise``: a seed for reproducible noise in tests, which hides nothing.
     """
     if t != 1:
         raise ValueError("the bound covers the first iteration only")
     n = validate(points, sigma, alpha, epsilon, delta)
     q = noise.start_matrix(points, m, sigma_q, seed)
+    if padding == "reserve":
+        norms = sensitivity.start_norms(q, seed, sigma_q, form == "spectral")
+    elif padding == "tail" and form != "spectral":
+        norms = sensitivity.tail_norms(n, m, sigma_q, delta / 10)
+    else:
+        raise ValueError(f"padding {padding} does not go with form {form}")
+    gap = sensitivity.bound(n, alpha, sigma, norms, form, domain)
+    tau = noise.calibrate(epsilon, delta - norms.beta, gap, calibration)
     step = contrast_step(q, DenseOp(sigma).over(points), LabelOp(points, sigma) if alpha else None, alpha)
-    gap = sensitivity.bound(n, alpha, sigma, q, form, domain)
-    tau = noise.calibrate(epsilon, delta, gap, calibration)
     out = noise.add(step, tau) if test_noise is None else noise.add_test_noise(step, tau, test_noise, allow_test_noise=True)
-    report = ReleaseReport(epsilon, delta, gap, tau, n, form, calibration, assumptions=["unit rows", "the row count is public", "the start matrix is independent of the data", f"domain {domain}"])
+    newcomer = "the start matrix's row of a newcomer is that of the next free id" if padding == "reserve" else "the start matrix's norm is bounded but for a tenth of delta"
+    report = ReleaseReport(epsilon, delta, gap, tau, n, form, calibration, assumptions=["unit rows", "the row count is public", "the start matrix is independent of the data", newcomer, f"domain {domain}"])
     if test_noise is not None:
         report.assumptions.append("TEST NOISE: no privacy")
-    return cut(out.select("id", "v"), "release"), report
+    if book is not None:
+        book.charge(subject, "noisy first step", epsilon, delta, gap)
+    out = cut(out.select("id", "v"), "release")
+    return known_width(out, m), report
 
 
 def resume(spark: SparkSession, path: str) -> DataFrame:
@@ -104,6 +129,34 @@ def resume(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema(EMBED).parquet(path)
 
 
+def _plain(path: str) -> str:
+    return path.replace("file://", "").replace("file:", "").rstrip("/")
+
+
+def reads_only(df: DataFrame, *paths: str) -> bool:
+    """Whether every file that a plan scans is or lies in one of ``paths``."""
+    allowed = [_plain(p) for p in paths]
+    return all(any(_plain(f) == p or _plain(f).startswith(p + "/") for p in allowed) for f in df.inputFiles())
+
+
+class Barrier:
+    """The privacy barrier as a property of plans: only the release, what was declared with it, and what was made from those may be read."""
+
+    def __init__(self, *paths: str):
+        self.paths = list(paths)
+
+    def check(self, df: DataFrame) -> DataFrame:
+        if not reads_only(df, *self.paths):
+            raise PermissionError("a plan behind the privacy barrier reads other files than the release")
+        return df
+
+    def cut(self, df: DataFrame, name: str = "t") -> DataFrame:
+        """Write a checked plan; what is written may be read from then on."""
+        out = cut(self.check(df), name)
+        self.paths.append(out.at)
+        return out
+
+
 def renormed(v: DataFrame, how: str = "rows") -> DataFrame:
     """Points ``(id, x)`` for the graph of a release: unit rows, one common scale, or as they are."""
     if how == "rows":
@@ -116,32 +169,31 @@ def renormed(v: DataFrame, how: str = "rows") -> DataFrame:
     raise ValueError(f"unknown renorm {how}")
 
 
-def free_steps(released: DataFrame, labels: DataFrame, m: int, sigma: float, alpha: float, steps: int, rebuild: str = "once", renorm: str = "rows", op: Op | None = None, rescale: bool = True) -> DataFrame:
-    """Contrast steps on graphs built from the release alone. ``rebuild='each'`` builds a new graph before every step."""
-    v = released.select("id", "v")
+def free_steps(released: DataFrame, labels: DataFrame, m: int, sigma: float, alpha: float, steps: int, rebuild: str = "once", renorm: str = "rows", op: Op | None = None, rescale: bool = True, barrier: Barrier | None = None) -> DataFrame:
+    """Contrast steps on graphs built from the release alone. ``rebuild='each'`` builds a new graph before every step. With a ``barrier`` every plan is checked before it runs."""
+    write = barrier.cut if barrier else cut
+    v = known_width(released.select("id", "v"), m)
     rounds = [steps] if rebuild == "once" else [1] * steps
     if rebuild not in ("once", "each"):
         raise ValueError(f"unknown rebuild {rebuild}")
     for k in rounds:
         pts = renormed(v, renorm).join(labels, "id", "left").withColumn("role", F.lit(None).cast("string"))
-        v = run(pts, m, sigma, alpha, k, op=op, start=v, rescale=rescale).v
+        if barrier:
+            barrier.check(pts)
+        v = run(pts, m, sigma, alpha, k, op=op, start=v, rescale=rescale, write=write).v
     return v
 
 
 def release_then_iterate(points: DataFrame, m: int, sigma: float, alpha: float, epsilon: float, delta: float, steps: int = 5, rebuild: str = "once", renorm: str = "rows", label_policy: str = "public", label_epsilon: float | None = None, op: Op | None = None, **release) -> tuple[DataFrame, ReleaseReport]:
-    """Release once, rebuild the graph from the release, iterate without further cost."""
+    """Release once, rebuild the graph from the release, iterate without further cost.
+
+    Labels that later steps may read are written before the barrier; behind it nothing but
+    them and the release is read.
+    """
+    labels, said, cost = published_labels(points, label_policy, label_epsilon, release.get("book"), release.get("subject", "client"))
     out, report = noisy_first_step(points, m, sigma, alpha, epsilon, delta, **release)
-    labels, said = labels_for(points, label_policy, label_epsilon)
-    report.label_policy = label_policy
+    report.label_policy, report.epsilon = label_policy, report.epsilon + cost
     report.assumptions += said
-    if label_policy == "randomized":
-        report.epsilon += label_epsilon or 0.0
-    labels = cut(labels, "labels")
-    v = free_steps(resume(points.sparkSession, out.at), labels, m, sigma, 0.0 if label_policy == "off" else alpha, steps, rebuild, renorm, op)
+    barrier = Barrier(out.at, labels.at)
+    v = free_steps(resume(points.sparkSession, out.at), labels, m, sigma, 0.0 if label_policy == "off" else alpha, steps, rebuild, renorm, op, barrier=barrier)
     return v, report
-
-
-def reads_only(df: DataFrame, path: str) -> bool:
-    """Whether every file that a plan scans lies under the shared folder of ``path``: the privacy barrier as a plan property."""
-    base = path.rsplit("/", 1)[0].replace("file://", "").replace("file:", "")
-    return all(f.replace("file://", "").replace("file:", "").startswith(base) for f in df.inputFiles())

@@ -1,36 +1,55 @@
-"""Dummies, party sets, nearest neighbours and the whole client-server exchange."""
+"""Dummies, party sets, bucketed neighbours and the whole client-server exchange."""
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from dataclasses import dataclass
 
-import numpy as np
-import pyarrow as pa
-import pyarrow.compute
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..sources import sized
+from ..functions import dist2
+from ..sources import cut, drop, known_width, local
 from . import align
-from .kernel import Op, _matrix, square_gaps
-from .release import ReleaseReport, free_steps, labels_for, noisy_first_step, resume
+from .kernel import Op
+from .ledger import Book
+from .neighbours import knn
+from .release import Barrier, ReleaseReport, free_steps, noisy_first_step, published_labels, resume
 from .step import run
 
-#: Queries sent to all tasks at once.
-QUERIES = 4096
+#: Public rows of a class among which one target's dummy is chosen, about.
+CHOICE = 64
 
 
-def dummies(target: DataFrame, public: DataFrame, seed: int | str = 1) -> DataFrame:
+def _hashed(*parts: Column | str) -> Column:
+    return F.md5(F.concat_ws(":", *(F.lit(p) if isinstance(p, str) else p.cast("string") for p in parts)))
+
+
+def _drawn(parts: Column, of: Column) -> Column:
+    """The hash ``of`` as a number below ``parts``."""
+    return F.conv(F.substring(of, 1, 8), 16, 10).cast("long") % parts
+
+
+def dummies(target: DataFrame, public: DataFrame, seed: int | str = 1, choice: int = CHOICE) -> DataFrame:
     """For each target one public row of every class but its own, by least hash of (seed, target, row).
 
-    ``(target_id, id, x, label)``: with the target itself, every class is queried once.
+    ``(target_id, id, x, label)``: with the target itself, every class is queried once. Rows
+    of a class of 2 x ``choice`` and more are dealt into groups of about ``choice`` by hash; a target
+    draws one group and looks at its rows only, so targets never meet all public rows. If
+    a drawn group is empty, which is next to impossible, all rows of its class are looked at.
     """
-    t = target.select(F.col("id").alias("target_id"), F.col("label").alias("_own"))
-    h = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("target_id").cast("string"), F.col("id").cast("string")))
-    j = sized(t).join(public.select("id", "x", "label"), F.col("label") != F.col("_own"))
-    w = Window.partitionBy("target_id", "label").orderBy("_h", "id")
-    return j.withColumn("_h", h).withColumn("_r", F.row_number().over(w)).where("_r = 1").select("target_id", "id", "x", "label")
+    s = str(seed)
+    sizes = local(public.where("label IS NOT NULL").groupBy("label").agg(F.greatest(F.lit(1), F.floor(F.count(F.lit(1)) / choice)).alias("_groups")))
+    rows = public.select("id", "x", "label").join(sizes, "label").withColumn("_g", _drawn(F.col("_groups"), _hashed(s, "group", F.col("id"))))
+    asked = target.select(F.col("id").alias("target_id"), F.col("label").alias("_own")).join(sizes, F.col("label") != F.col("_own"))
+    asked = asked.select("target_id", "label", _drawn(F.col("_groups"), _hashed(s, "draw", F.col("target_id"), F.col("label"))).alias("_g"))
+    w = Window.partitionBy("target_id", "label").orderBy(_hashed(s, F.col("target_id"), F.col("id")), "id")
+
+    def first(df: DataFrame) -> DataFrame:
+        return df.withColumn("_r", F.row_number().over(w)).where("_r = 1").select("target_id", "id", "x", "label")
+
+    found = first(asked.join(rows, ["label", "_g"]))
+    missing = asked.join(found.select("target_id", "label"), ["target_id", "label"], "left_anti")
+    return found.unionByName(first(missing.join(rows.drop("_g"), "label"))) if missing.head(1) else found
 
 
 def client_set(target: DataFrame, public: DataFrame, dummy: DataFrame, keep_dummy_anchor: bool = False) -> DataFrame:
@@ -48,67 +67,20 @@ def server_set(server: DataFrame, public: DataFrame) -> DataFrame:
     return server.select("id", "x", "label").withColumn("role", F.lit("server")).unionByName(public.select("id", "x", "label").withColumn("role", F.lit("public")))
 
 
-def knn(queries: DataFrame, rows: DataFrame, k: int, metric: str = "l2", skip_self: bool = True) -> DataFrame:
-    """``(query_id, match_id, dist, rank)``: the k nearest of ``rows (id, v)`` to each of ``queries (id, v)``.
-
-    Exact. Queries go out in blocks of about ``QUERIES`` rows; each task keeps k rows a
-    query, and ranks come from those. Distances count to 12 decimals, ties go to the
-    smaller id. ``metric``: ``l2`` (squared) or ``cosine`` (1 - cosine).
-    """
-    n = queries.count()
-    blocks = max(1, -(-n // QUERIES))
-    spark = queries.sparkSession
-    found = None
-    for b in range(blocks):
-        q = queries.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == b).select("id", "v").orderBy("id").toArrow()
-        sent = spark.sparkContext.broadcast((q["id"].to_numpy(), _matrix(q["v"], len(q))))
-
-        def nearest(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            ids, x = sent.value
-            best = [(np.empty(0), np.empty(0, np.int64)) for _ in ids]
-            for batch in batches:
-                own = batch.column(0).to_numpy()
-                for s in range(0, len(own) if len(ids) else 0, 8192):
-                    i = own[s : s + 8192]
-                    y = _matrix(batch.column(1).slice(s, len(i)), len(i))
-                    if metric == "cosine":
-                        unit = lambda z: z / np.maximum(np.linalg.norm(z, axis=1, keepdims=True), 1e-300)
-                        gap = 1 - unit(x) @ unit(y).T
-                    else:
-                        gap = square_gaps(x, y)
-                    gap = np.round(gap, 12) + 0.0
-                    for r in range(len(ids)):
-                        row = gap[r]
-                        ok = np.flatnonzero(i != ids[r]) if skip_self else np.arange(len(i))
-                        if len(ok) > k:
-                            ok = ok[row[ok] <= np.partition(row[ok], k - 1)[k - 1]]
-                        d, m = np.r_[best[r][0], row[ok]], np.r_[best[r][1], i[ok]]
-                        order = np.lexsort((m, d))[:k]
-                        best[r] = d[order], m[order]
-            size = [len(d) for d, _ in best]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, size)), pa.array(np.concatenate([np.empty(0, np.int64), *(m for _, m in best)])), pa.array(np.concatenate([np.empty(0), *(d for d, _ in best)]))], ["query_id", "match_id", "dist"])
-
-        part = rows.select("id", "v").mapInArrow(nearest, "query_id long, match_id long, dist double")
-        found = part if found is None else found.unionByName(part)
-    w = Window.partitionBy("query_id").orderBy("dist", "match_id")
-    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
-
-
 def knn_buckets(queries: DataFrame, rows: DataFrame, k: int, centroids: int = 16, probes: int = 4, seed: int = 1) -> DataFrame:
     """Approximate: rows are dealt to their nearest of ``centroids`` sampled rows, queries look into ``probes`` of them."""
-    h = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("id").cast("string")))
-    c = rows.orderBy(h).limit(centroids).select(F.col("id").alias("c"), F.col("v").alias("cv"))
-    gap = F.aggregate(F.zip_with("v", "cv", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, z: s + z)
+    c = rows.orderBy(_hashed(str(seed), F.col("id"))).limit(centroids)
+    centres = local(c.agg(F.collect_list(F.struct(F.col("id").alias("c"), F.col("v").alias("cv"))).alias("_centres")))  # ``centroids`` rows
 
     def nearest(df: DataFrame, n: int) -> DataFrame:
-        near = df.crossJoin(F.broadcast(c)).groupBy("id").agg(F.slice(F.array_sort(F.collect_list(F.struct(gap.alias("g"), "c"))), 1, n).alias("near"))
-        return df.join(near, "id").select("id", "v", F.explode("near.c").alias("bucket"))
+        gaps = F.transform("_centres", lambda z: F.struct(F.round(dist2(F.col("v"), z["cv"]), 12).alias("g"), z["c"].alias("c")))
+        near = F.transform(F.slice(F.array_sort(gaps), 1, n), lambda z: z["c"])
+        return df.select("id", "v").crossJoin(centres).select("id", "v", F.explode(near).alias("bucket"))
 
-    q = nearest(queries.select("id", "v"), probes).select(F.col("id").alias("query_id"), F.col("v").alias("qv"), "bucket")
-    s = nearest(rows.select("id", "v"), 1).select(F.col("id").alias("match_id"), "v", "bucket")
-    d = F.aggregate(F.zip_with("v", "qv", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda t, z: t + z)
+    q = nearest(queries, probes).select(F.col("id").alias("query_id"), F.col("v").alias("qv"), "bucket")
+    s = nearest(rows, 1).select(F.col("id").alias("match_id"), "v", "bucket")
     w = Window.partitionBy("query_id").orderBy("dist", "match_id")
-    near = q.join(s, "bucket").where("query_id <> match_id").select("query_id", "match_id", F.round(d, 12).alias("dist"))
+    near = q.join(s, "bucket").where("query_id <> match_id").select("query_id", "match_id", F.round(dist2(F.col("v"), F.col("qv")), 12).alias("dist"))
     return near.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
@@ -136,11 +108,14 @@ class Config:
     rebuild: str = "once"
     renorm: str = "rows"
     label_policy: str = "masked"
+    label_epsilon: float | None = None
+    padding: str = "reserve"
     align: str = "rigid"
     keep_dummy_anchor: bool = False
     private: bool = True
     test_noise: int | str | None = None
     op: Op | None = None
+    book: Book | None = None
 
 
 @dataclass
@@ -156,28 +131,61 @@ class Exchange:
     rmsd_after: float
 
 
-def private_retrieve(target: DataFrame, public: DataFrame, server: DataFrame, k: int = 8, cfg: Config | None = None) -> Exchange:
-    """The client's noisy release and free steps, the server's own steps, alignment on anchors, retrieval for all, parsing by the client."""
+@dataclass
+class Served:
+    """What the server has ready for any client: its embedding, and the ids of its anchors and of the rows it searches."""
+
+    v: DataFrame
+    anchors: DataFrame
+    base: DataFrame
+
+
+def serve(server: DataFrame, public: DataFrame, cfg: Config) -> Served:
+    """The server's own steps, from the raw features of its rows and the public ones."""
+    theirs = server_set(server, public)
+    steps = cfg.server_steps if cfg.server_steps is not None else cfg.steps
+    seed = cfg.server_seed if cfg.server_seed is not None else f"{cfg.seed}s"
+    v = run(theirs, cfg.m, cfg.sigma, cfg.alpha, steps, seed, cfg.op, sigma_q=cfg.sigma_q, rescale=True).v
+    return Served(v, theirs.where("role = 'public'").select("id"), theirs.where("role = 'server'").select("id"))
+
+
+def private_retrieve(target: DataFrame, public: DataFrame, server: DataFrame, k: int = 8, cfg: Config | None = None, served: Served | None = None) -> Exchange:
+    """The client's noisy release and free steps, the server's own steps, alignment on anchors, retrieval for all, parsing by the client.
+
+    The client writes its book of ids and the labels that later steps may read before the
+    release; behind the barrier only those and the release are read. ``served``: a server
+    embedding that is there already.
+    """
     cfg = cfg or Config()
     dummy = dummies(target, public, cfg.seed)
-    mine, theirs = client_set(target, public, dummy, cfg.keep_dummy_anchor), server_set(server, public)
+    mine = client_set(target, public, dummy, cfg.keep_dummy_anchor)
     report = None
     if cfg.private:
-        out, report = noisy_first_step(mine, cfg.m, cfg.sigma, cfg.alpha, cfg.epsilon, cfg.delta, cfg.sigma_q, cfg.seed, cfg.form, cfg.calibration, test_noise=cfg.test_noise)
-        labels, said = labels_for(mine, cfg.label_policy, cfg.epsilon)
-        report.label_policy, report.assumptions = cfg.label_policy, report.assumptions + said
-        v = free_steps(resume(target.sparkSession, out.at), labels, cfg.m, cfg.sigma, 0.0 if cfg.label_policy == "off" else cfg.alpha, cfg.steps, cfg.rebuild, cfg.renorm, cfg.op)
+        mine = cut(mine, "client")  # the client's own, gone before the barrier
+        ids = cut(mine.select("id", "role"), "ids")
+        labels, said, cost = published_labels(mine, cfg.label_policy, cfg.label_epsilon, cfg.book)
+        out, report = noisy_first_step(mine, cfg.m, cfg.sigma, cfg.alpha, cfg.epsilon, cfg.delta, cfg.sigma_q, cfg.seed, cfg.form, cfg.calibration, padding=cfg.padding, book=cfg.book, test_noise=cfg.test_noise)
+        report.label_policy, report.epsilon, report.assumptions = cfg.label_policy, report.epsilon + cost, report.assumptions + said
+        drop(target.sparkSession, mine)
+        barrier = Barrier(out.at, labels.at, ids.at)
+        v = free_steps(resume(target.sparkSession, out.at), labels, cfg.m, cfg.sigma, 0.0 if cfg.label_policy == "off" else cfg.alpha, cfg.steps, cfg.rebuild, cfg.renorm, cfg.op, barrier=barrier)
     else:
+        ids = mine.select("id", "role")
         v = run(mine, cfg.m, cfg.sigma, cfg.alpha, cfg.steps + 1, cfg.seed, cfg.op, sigma_q=cfg.sigma_q, rescale=True).v
-    s = run(theirs, cfg.m, cfg.sigma, cfg.alpha, cfg.server_steps if cfg.server_steps is not None else cfg.steps, cfg.server_seed if cfg.server_seed is not None else f"{cfg.seed}s", cfg.op, sigma_q=cfg.sigma_q, rescale=True).v
-    anchors = theirs.where("role = 'public'").select("id").join(mine.where("role = 'public'").select("id"), "id")
-    a, b = v.join(anchors, "id", "left_semi"), s.join(anchors, "id", "left_semi")
+    served = served or serve(server, public, cfg)
+    s = served.v
+    anchors = served.anchors.join(ids.where("role = 'public'").select("id"), "id")
+    a, b = (known_width(x.join(anchors, "id", "left_semi"), cfg.m) for x in (v, s))
     before = align.rmsd(a, b)
     if cfg.align != "none":
         motion = align.fit(a, b, scale=cfg.align == "similarity", reflect=cfg.align == "orthogonal")
-        v = align.apply(v, motion)
-    after = align.rmsd(v.join(anchors, "id", "left_semi"), b)
-    asked = v.join(mine.where("role IN ('target', 'dummy')").select("id"), "id", "left_semi")
-    base = s.join(theirs.where("role = 'server'").select("id"), "id", "left_semi")
-    matches = knn(asked, base, k, skip_self=False)
-    return Exchange(parse(matches, target), matches, v, s, report, before, after)
+        v, a = align.apply(v, motion), align.apply(a, motion)
+    after = align.rmsd(a, b)
+    asked = v.join(ids.where("role IN ('target', 'dummy')").select("id"), "id", "left_semi")
+    if cfg.private:
+        barrier.check(asked)
+    matches = knn(asked, s.join(served.base, "id", "left_semi"), k, skip_self=False)
+    return Exchange(parse(matches, ids.where("role = 'target'")), matches, v, s, report, before, after)
+
+
+__all__ = ["Config", "Exchange", "Served", "client_set", "dummies", "knn", "knn_buckets", "parse", "private_retrieve", "serve", "server_set"]

@@ -8,10 +8,14 @@ parts: the other columns, the diagonal and the new column.
 from __future__ import annotations
 
 import math
+from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources import known_width, width
+from . import arrays
 from .kernel import DenseOp, laplacian
 from .labels import LabelOp
 from .step import contrast_step
@@ -37,7 +41,7 @@ def row_bounds(n: int, alpha: float, sigma: float, domain: str = "sphere") -> di
 
 
 def bound_for(n: int, alpha: float, sigma: float, q_norm: float, form: str = "uniform", domain: str = "sphere", q_spectral: float | None = None) -> float:
-    """A bound of the step's change. ``uniform``: M sqrt(n + 1) |Q|_F / 2; ``row_split``: old and new rows by their own bounds; ``spectral``: the latter with |Q|_2."""
+    """A bound of the change of the step from n rows to n + 1, given the norm of the start matrix of n + 1 rows. ``uniform``: M sqrt(n + 1) |Q|_F / 2; ``row_split``: old and new rows by their own bounds; ``spectral``: the latter with |Q|_2."""
     r = row_bounds(n, alpha, sigma, domain)
     if form == "uniform":
         return r["m"] / 2 * math.sqrt(n + 1) * q_norm
@@ -49,27 +53,63 @@ def bound_for(n: int, alpha: float, sigma: float, q_norm: float, form: str = "un
     raise ValueError(f"unknown form {form}")
 
 
+def _squares(q: DataFrame) -> float:
+    return q.agg(F.sum(F.aggregate("v", F.lit(0.0), lambda s, z: s + z * z))).first()[0] or 0.0
+
+
 def q_norm(q: DataFrame) -> float:
-    return math.sqrt(q.agg(F.sum(F.aggregate("v", F.lit(0.0), lambda s, z: s + z * z))).first()[0] or 0.0)
+    return math.sqrt(_squares(q))
 
 
-def bound(n: int, alpha: float, sigma: float, q: DataFrame, form: str = "uniform", domain: str = "sphere") -> float:
-    """The bound for either neighbour: one row more, or one less (n itself is disclosed by the row count)."""
-    size, top = q_norm(q), None
-    if form == "spectral":
-        import numpy as np
+@dataclass
+class StartNorms:
+    """Norms of the start matrix: over the rows that are there, and padded by the row of one newcomer.
+
+    A neighbouring data set has one row more, so its start matrix does too. ``reserve``: the
+    newcomer gets the next free id, whose row of the (public) start matrix is known. ``tail``:
+    a bound of the norm of so many normal entries that fails with probability ``beta``, which
+    the caller takes off delta; it needs no look at the matrix.
+    """
+
+    own: float
+    padded: float
+    spectral: float | None = None
+    spectral_padded: float | None = None
+    beta: float = 0.0
 
+
+def start_norms(q: DataFrame, seed: int | str, sigma_q: float, spectral: bool = False) -> StartNorms:
+    """The norms of ``q``, padded by the row of the id after the greatest."""
+    m = width(q)
+    squares, top = q.agg(F.sum(F.aggregate("v", F.lit(0.0), lambda s, z: s + z * z)), F.max("id")).first()
+    extra = sigma_q * arrays.normals(seed, np.array([(top if top is not None else -1) + 1]), m)[0]
+    out = StartNorms(math.sqrt(squares or 0.0), math.sqrt((squares or 0.0) + float(extra @ extra)))
+    if spectral:
         from .maps import gram
 
-        top = math.sqrt(max(0.0, float(np.linalg.eigvalsh(gram(q))[-1])))
-    return max(bound_for(k, alpha, sigma, size, form, domain, top) for k in (n - 1, n) if k >= 2)
+        g = gram(q)
+        out.spectral, out.spectral_padded = (math.sqrt(max(0.0, float(np.linalg.eigvalsh(x)[-1]))) for x in (g, g + np.outer(extra, extra)))
+    return out
+
+
+def tail_norms(n: int, m: int, sigma_q: float, beta: float) -> StartNorms:
+    """Bounds of the norms over n and n + 1 rows of m normal entries, either failing with probability ``beta`` at most."""
+    log = math.log(1 / beta)
+    own, padded = (sigma_q * math.sqrt(k + 2 * math.sqrt(k * log) + 2 * log) for k in (n * m, (n + 1) * m))
+    return StartNorms(own, padded, beta=beta)
+
+
+def bound(n: int, alpha: float, sigma: float, norms: StartNorms, form: str = "uniform", domain: str = "sphere") -> float:
+    """The bound for either neighbour: one row more, whose start matrix is the padded one, or one less (n itself is disclosed by the row count)."""
+    cases = [(n, norms.padded, norms.spectral_padded), (n - 1, norms.own, norms.spectral)]
+    return max(bound_for(k, alpha, sigma, size, form, domain, top) for k, size, top in cases if k >= 2)
 
 
 def observed(points: DataFrame, extra: DataFrame, q: DataFrame, sigma: float, alpha: float, sigma_y: float | None = None) -> float:
     """Frobenius gap of the first step with and without the rows of ``extra``; ``q`` has rows for both. Absent rows count as Q, as a Laplacian padded by zeros leaves them."""
     outs = []
     for rows in (points, points.unionByName(extra)):
-        own = q.join(rows.select("id"), "id", "left_semi")
+        own = known_width(q.join(rows.select("id"), "id", "left_semi"), width(q))
         outs.append(contrast_step(own, DenseOp(sigma).over(rows), LabelOp(rows, sigma_y or sigma) if alpha else None, alpha))
     a, b = outs
     j = a.withColumnRenamed("v", "va").join(b.withColumnRenamed("v", "vb"), "id", "full").join(q, "id")

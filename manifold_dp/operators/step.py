@@ -3,46 +3,47 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from ..sources import cut
-from .kernel import DenseOp, Op
+from ..sources import cut, drop, known_width, width
+from .kernel import DenseOp, Op, laplacian_product
 from .labels import LabelOp
 from .noise import start_matrix
 
 
-def contrast_step(v: DataFrame, op: Op, labels: LabelOp | None, alpha: float, rescale: bool = False) -> DataFrame:
+def contrast_step(v: DataFrame, op: Op, labels: LabelOp | None, alpha: float) -> DataFrame:
     """``(id, v)``: V + (1/2) pinv(Diag L_X) (alpha L_Y V - L_X V). A row of degree 0 stays as it is."""
-    x = op.apply(v)
-    rows = v.select("id", "v").join(x, "id")
+    rows, m = op.apply(v), width(v)
     half = F.when(F.col("deg") != 0, F.lit(0.5) / F.col("deg")).otherwise(F.lit(0.0))
+    change = F.zip_with("v", "wv", lambda a, b: b - a * F.col("deg"))
     if alpha and labels is not None:
-        rows = rows.join(labels.apply(v).select("id", F.col("lv").alias("ly")), "id")
-        change = F.zip_with(F.zip_with("v", "wv", lambda a, b: b - a * F.col("deg")), "ly", lambda lx, ly: lx + F.lit(float(alpha)) * ly)
-    else:
-        change = F.zip_with("v", "wv", lambda a, b: b - a * F.col("deg"))
-    return rows.select("id", F.zip_with("v", change, lambda a, c: a + half * c).alias("v"))
+        rows = labels.apply(v, rows)
+        change = F.zip_with(change, "lv", lambda lx, ly: lx + F.lit(float(alpha)) * ly)
+    return known_width(rows.select("id", F.zip_with("v", change, lambda a, c: a + half * c).alias("v")), m)
+
+
+def _dot(a: str, b: str) -> Column:
+    return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, z: s + z)
 
 
 def objective(v: DataFrame, op: Op, labels: LabelOp | None, alpha: float) -> float:
     """tr(V' L_X V) - alpha tr(V' L_Y V)."""
-    own = F.sum(F.aggregate(F.zip_with("v", "lv", lambda a, b: a * b), F.lit(0.0), lambda s, z: s + z))
-    x = op.apply(v).join(v.select("id", "v"), "id").select("v", F.zip_with("v", "wv", lambda a, b: a * F.col("deg") - b).alias("lv")).agg(own).first()[0] or 0.0
-    return x - (alpha * (labels.apply(v).agg(own).first()[0] or 0.0) if alpha and labels is not None else 0.0)
+    x = laplacian_product(op, v).agg(F.sum(_dot("v", "lv"))).first()[0] or 0.0
+    return x - (alpha * (labels.apply(v).agg(F.sum(_dot("v", "lv"))).first()[0] or 0.0) if alpha and labels is not None else 0.0)
 
 
 def majorant(v: DataFrame, v0: DataFrame, op: Op, labels: LabelOp | None, alpha: float) -> float:
     """The quadratic bound of the objective that touches it at ``v0``: F(v0) + 2 <F v0, v - v0> + 2 |v - v0|^2 in the degrees' norm."""
     base = objective(v0, op, labels, alpha)
-    g = op.apply(v0).join(v0.select("id", F.col("v").alias("v0")), "id").select("id", "v0", "deg", F.zip_with("v0", "wv", lambda a, b: a * F.col("deg") - b).alias("lx"))
+    g = laplacian_product(op, v0).withColumnRenamed("lv", "lx")
     if alpha and labels is not None:
-        g = g.join(labels.apply(v0).select("id", "lv"), "id").withColumn("lx", F.zip_with("lx", "lv", lambda a, b: a - F.lit(float(alpha)) * b))
-    j = g.join(v.select("id", "v"), "id").withColumn("gap", F.zip_with("v", "v0", lambda a, b: a - b))
-    add = lambda c: F.aggregate(c, F.lit(0.0), lambda s, z: s + z)
-    return base + j.agg(F.sum(2 * add(F.zip_with("lx", "gap", lambda a, b: a * b)) + 2 * F.col("deg") * add(F.transform("gap", lambda a: a * a)))).first()[0]
+        g = labels.apply(v0, g).withColumn("lx", F.zip_with("lx", "lv", lambda a, b: a - F.lit(float(alpha)) * b))
+    j = g.select("id", F.col("v").alias("v0"), "deg", "lx").join(v.select("id", "v"), "id").withColumn("gap", F.zip_with("v", "v0", lambda a, b: a - b))
+    return base + j.agg(F.sum(2 * _dot("lx", "gap") + 2 * F.col("deg") * _dot("gap", "gap"))).first()[0]
 
 
 @dataclass
@@ -70,27 +71,38 @@ def run(
     sigma_q: float = 1.0,
     monitor: bool = False,
     keep: bool = False,
+    write: Callable[[DataFrame, str], DataFrame] = cut,
 ) -> Run:
     """``steps`` contrast steps from a start matrix (or ``start``), each written before the next.
 
     ``rescale`` divides by the root mean square each step and records its logarithm: ranks
     do not change and nothing overflows. ``tol`` stops when the objective's relative
-    change falls below it. ``keep`` returns every step's embedding.
+    change falls below it. ``keep`` returns every step's embedding; else a step's table is
+    deleted once the next one is written. ``write`` writes them.
     """
     op = (op or DenseOp(sigma)).over(points)
     labels = LabelOp(points, sigma_y if sigma_y is not None else sigma, label_kernel) if alpha else None
     v = start if start is not None else start_matrix(points, m, sigma_q, seed)
-    v = cut(v.select("id", "v"), "v")
+    spark = v.sparkSession
+    v = written = known_width(write(v.select("id", "v"), "v"), m)
     out = Run(v, [], [v] if keep else [])
     last = objective(v, op, labels, alpha) if monitor or tol is not None else None
     scale = 0.0
     if last is not None:
         out.log.append({"t": 0, "objective": last, "log_scale": 0.0})
     for t in range(1, steps + 1):
-        v = cut(contrast_step(v, op, labels, alpha), "v")
+        seen = Observation()
+        new = contrast_step(v, op, labels, alpha)
+        if rescale:  # counted while it is written
+            new = new.observe(seen, F.sum(_dot("v", "v")).alias("squares"), F.count(F.lit(1)).alias("rows"))
+        new = known_width(write(new, "v"), m)
+        if not keep:
+            drop(spark, written)
+        v = written = new
         if rescale:
-            rms = math.sqrt(v.agg(F.avg(F.aggregate("v", F.lit(0.0), lambda s, z: s + z * z) / F.size("v"))).first()[0] or 1.0) or 1.0
-            v = v.select("id", F.transform("v", lambda z: z / F.lit(rms)).alias("v"))  # narrow: read with the next step
+            got = seen.get
+            rms = math.sqrt((got["squares"] or 0.0) / max(1, got["rows"] * m)) or 1.0
+            v = known_width(v.select("id", F.transform("v", lambda z: z / F.lit(rms)).alias("v")), m)  # narrow: read with the next step
             scale += math.log(rms)
         out.v = v
         if keep:

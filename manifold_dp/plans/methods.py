@@ -13,12 +13,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import dot
-from ..operators import align, baselines, experiments, features, kernel, metrics, noise, release, retrieval, sensitivity
+from ..operators import align, baselines, experiments, features, kernel, ledger, metrics, noise, release, retrieval, sensitivity
 from ..operators.kernel import DenseOp, FeatureMapOp, SparseOp
 from ..operators.labels import LabelOp
 from ..operators.maps import spectral
-from ..operators.step import contrast_step, objective, run
-from ..sources import cut
+from ..operators.step import contrast_step, majorant, objective, run
+from ..sources import cut, folder
 
 M, SIGMA, ALPHA, SEED = 4, 1.0, 0.1, 1
 EPS, DELTA = 0.5, 1e-5
@@ -94,6 +94,34 @@ def _step(prev: str, out: str, alpha: float = ALPHA, label: str | None = None) -
 {out} AS MATERIALIZED (SELECT id, label, {new} FROM {prev} JOIN {out}_s ON i = id)"""
 
 
+def _weights(out: str, src: str, sigma: float) -> str:
+    return f"{out} AS MATERIALIZED (SELECT a.id AS i, b.id AS j, a.label AS li, b.label AS lj, exp(-(list_distance(a.x, b.x) * list_distance(a.x, b.x)) / {sigma!r}e0) AS w FROM {src} a JOIN {src} b ON a.id <> b.id)"
+
+
+def _start(out: str, src: str, m: int, seed: str, keep: str = "id, label") -> str:
+    return f"{out} AS MATERIALIZED (SELECT {keep}, {', '.join(f'{_normal(seed, "id", str(j))} AS v{j}' for j in range(m))} FROM {src})"
+
+
+def _any_step(prev: str, out: str, w: str, m: int, alpha: float, sigma: float, keep: str = "id, label") -> str:
+    """A contrast step on the weights ``w``; null labels have no label edges."""
+    ly = f"CASE WHEN li IS NULL OR lj IS NULL THEN 0e0 ELSE exp(-((li - lj) * (li - lj)) / {sigma!r}e0) END"
+    sums = ", ".join(f"sum(w * b.v{k}) AS w{k}, sum(({ly}) * b.v{k}) AS y{k}" for k in range(m))
+    new = ", ".join(f"v{k} + 0.5e0 / deg * ({alpha!r}e0 * (e * v{k} - y{k}) - (deg * v{k} - w{k})) AS v{k}" for k in range(m))
+    return f"""{out}_s AS (SELECT i, sum(w) AS deg, sum({ly}) AS e, {sums} FROM {w} w JOIN {prev} b ON b.id = w.j GROUP BY i),
+{out} AS MATERIALIZED (SELECT {keep}, {new} FROM {prev} JOIN {out}_s ON i = id)"""
+
+
+def _rescaled(prev: str, out: str, m: int, keep: str = "id, label") -> str:
+    squares = " + ".join(f"v{k} * v{k}" for k in range(m))
+    return f"{out} AS MATERIALIZED (SELECT {keep}, {', '.join(f'v{k} / g AS v{k}' for k in range(m))} FROM {prev}, (SELECT sqrt(sum({squares}) / (count(*) * {m}e0)) AS g FROM {prev}))"
+
+
+def _as_points(prev: str, out: str, m: int, label: str = "label") -> str:
+    """Unit rows of an embedding, as points."""
+    n = f"sqrt({' + '.join(f'v{k} * v{k}' for k in range(m))})"
+    return f"{out} AS MATERIALIZED (SELECT id, {label} AS label, [{', '.join(f'v{k} / {n}' for k in range(m))}] AS x FROM {prev})"
+
+
 def _rows(table: str, m: int = M, extra: str = "") -> str:
     return " UNION ALL ".join(f"SELECT id, CAST({k} AS BIGINT) AS dim, round(v{k}, 6) + 0e0 AS value FROM {table}{extra}" for k in range(m))
 
@@ -113,6 +141,12 @@ def label_codes(spark, sf_dir):
     return features.label_codes(features.read(spark, sf_dir, "documents").select("doc_id", "lang"), "lang").select("doc_id", "label")
 
 
+@query("SELECT doc_id, CAST(dense_rank() OVER (ORDER BY doc_id) - 1 AS INTEGER) AS label FROM documents")
+def label_codes_by_range(spark, sf_dir):
+    """Codes of many values, ranked by ranges."""
+    return features.label_codes(features.read(spark, sf_dir, "documents").select("doc_id"), "doc_id", small=10).select("doc_id", "label")
+
+
 @query(f"WITH {_PLANTED} {_LIST_ROWS} p")
 def planted_features(spark, sf_dir):
     return laid_out(features.feature_set(spark, sf_dir, "emb_planted"), "x")
@@ -234,7 +268,7 @@ def sparse_graph(spark, sf_dir):
 
 
 @query(
-    f"""WITH {_PLANTED}, {_W}, r AS (SELECT i, j, w, row_number() OVER (PARTITION BY i ORDER BY w DESC, j) AS r FROM w),
+    f"""WITH {_PLANTED}, {_W}, r AS (SELECT i, j, w, row_number() OVER (PARTITION BY i ORDER BY round(-ln(w), 12), j) AS r FROM w),
 k AS (SELECT i, j, w FROM r WHERE r <= 8) SELECT i, j, round(max(w), 6) + 0e0 AS w FROM (SELECT * FROM k UNION ALL SELECT j, i, w FROM k) GROUP BY i, j"""
 )
 def knn_graph(spark, sf_dir):
@@ -312,11 +346,41 @@ def contrast_step_by_blocks(spark, sf_dir):
     return _stepped(spark, sf_dir, 1, op=DenseOp(SIGMA, block=128, broadcast=0))
 
 
-@query()
+def _objectives(n: int) -> str:
+    names = ["q", *(f"t{i}" for i in range(1, n + 1))]
+    steps = ", ".join(_step(a, b) for a, b in zip(names, names[1:], strict=False))
+    each = " UNION ALL ".join(f"SELECT CAST({t} AS INTEGER) AS t, round(sum(({_GAPS}) * (w - {ALPHA!r}e0 * {_gaussian_label()})), 4) + 0e0 AS objective FROM w JOIN {v} a ON a.id = i JOIN {v} b ON b.id = j WHERE i < j" for t, v in enumerate(names))
+    return f"WITH {_PLANTED}, {_STARTQ}, {_W}, {steps} {each}"
+
+
+@query(_objectives(5))
 def objective_by_step(spark, sf_dir):
     """The objective never rises."""
     r = run(planted(spark, sf_dir), M, SIGMA, ALPHA, 5, SEED, monitor=True)
-    return spark.createDataFrame([(x["t"], float(x["objective"])) for x in r.log], "t int, objective double")
+    return spark.createDataFrame([(x["t"], float(x["objective"])) for x in r.log], "t int, objective double").select("t", (F.round("objective", 4) + F.lit(0.0)).alias("objective"))
+
+
+@query(
+    f"""WITH {_PLANTED}, {_STARTQ}, {_W}, {_step("q", "t1")},
+f AS (SELECT q.id, s.deg, {", ".join(f"(s.deg * q.v{k} - s.w{k}) - {ALPHA!r}e0 * (s.e * q.v{k} - s.y{k}) AS f{k}, n.v{k} - q.v{k} AS d{k}" for k in range(M))} FROM q JOIN t1_s s ON s.i = q.id JOIN t1 n ON n.id = q.id),
+o AS (SELECT {", ".join(f"(SELECT sum(({_GAPS}) * (w - {ALPHA!r}e0 * {_gaussian_label()})) FROM w JOIN {v} a ON a.id = i JOIN {v} b ON b.id = j WHERE i < j) AS {name}" for v, name in (("q", "before_"), ("t1", "after_")))})
+SELECT round(before_, 4) + 0e0 AS before_, round(after_, 4) + 0e0 AS after_, round(before_ + (SELECT sum(2 * ({" + ".join(f"f{k} * d{k}" for k in range(M))}) + 2 * deg * ({" + ".join(f"d{k} * d{k}" for k in range(M))})) FROM f), 4) + 0e0 AS bound_ FROM o"""
+)
+def majorant_check(spark, sf_dir):
+    """Objective before and after a step, and the quadratic bound at the new place, which lies between."""
+    p = planted(spark, sf_dir)
+    op, labels = DenseOp(SIGMA).over(p), LabelOp(p, SIGMA)
+    r = run(p, M, SIGMA, ALPHA, 1, SEED, keep=True)
+    vals = {"before_": objective(r.steps[0], op, labels, ALPHA), "after_": objective(r.steps[1], op, labels, ALPHA), "bound_": majorant(r.steps[1], r.steps[0], op, labels, ALPHA)}
+    return spark.createDataFrame([tuple(vals.values())], ", ".join(f"{k} double" for k in vals)).select(*((F.round(k, 4) + F.lit(0.0)).alias(k) for k in vals))
+
+
+@query(f"WITH {_PLANTED}, {_STARTQ}, {_W} SELECT i, j, round(sqrt({_GAPS}), 6) + 0e0 AS gap, round(sqrt({_GAPS}) / list_distance(x.x, y.x), 4) + 0e0 AS ratio FROM w JOIN q a ON a.id = i JOIN q b ON b.id = j JOIN p x ON x.id = i JOIN p y ON y.id = j WHERE i < j AND list_distance(x.x, y.x) > 1e-3")
+def distortion(spark, sf_dir):
+    """How far images of rows lie apart, against the rows themselves."""
+    p = planted(spark, sf_dir)
+    d = metrics.distortion(_q(p), p, SIGMA).where(F.col("w") < math.exp(-1e-6 / SIGMA))
+    return d.select("i", "j", r6("gap").alias("gap"), (F.round("ratio", 4) + F.lit(0.0)).alias("ratio"))
 
 
 @query()
@@ -336,13 +400,37 @@ def diffusion_map(spark, sf_dir):
     return laid_out(spectral(planted(spark, sf_dir), SIGMA, 3, power=2.0)[0])
 
 
-@query()
+FEATURES = 64
+
+
+def _feature_step(prev: str, out: str) -> str:
+    """A step at alpha 0 with the feature-map product: sums by feature, then by row."""
+    sums = ", ".join(f"sum(z * v{k}) AS s{k}" for k in range(M))
+    deg = "sum(z * s) - sum(z * z)"
+    new = ", ".join(f"any_value(v{k}) + 0.5e0 / ({deg}) * ((sum(z * s{k}) - sum(z * z) * any_value(v{k})) - ({deg}) * any_value(v{k})) AS v{k}" for k in range(M))
+    return f"""{out}_z AS MATERIALIZED (SELECT r, sum(z) AS s, {sums} FROM z JOIN {prev} USING (id) GROUP BY r),
+{out} AS MATERIALIZED (SELECT id, {new} FROM z JOIN {out}_z USING (r) JOIN {prev} USING (id) GROUP BY id)"""
+
+
+@query(
+    f"""WITH {_PLANTED}, {_STARTQ}, d AS (SELECT unnest(generate_series(0, 63)) AS i), f AS (SELECT unnest(generate_series(0, {FEATURES - 1})) AS r),
+om AS MATERIALIZED (SELECT i, r, sqrt(2e0 / 4e0) * {_normal("1w", "i", "r")} AS o FROM d, f),
+ph AS (SELECT r, {2 * math.pi!r}e0 * (CAST(CAST('0x' || substr(md5('1p:0:' || CAST(r AS VARCHAR)), 1, 8) AS UBIGINT) AS DOUBLE) + 0.5e0) / 4294967296e0 AS ph FROM f),
+xx AS (SELECT id, generate_subscripts(x, 1) - 1 AS i, unnest(x) AS a FROM p),
+z AS MATERIALIZED (SELECT id, r, sqrt(2e0 / {FEATURES}e0) * cos(sum(a * o) + any_value(ph)) AS z FROM xx JOIN om USING (i) JOIN ph USING (r) GROUP BY id, r),
+{_feature_step("q", "t1")}, {_feature_step("t1", "t2")} {_rows("t2")}"""
+)
 def step_with_feature_map(spark, sf_dir):
+    """Two steps without a pair of rows."""
     p = planted(spark, sf_dir)
-    return laid_out(run(p, M, 4.0, 0.0, 2, SEED, op=FeatureMapOp(4.0, 256)).v)
+    return laid_out(run(p, M, 4.0, 0.0, 2, SEED, op=FeatureMapOp(4.0, FEATURES)).v)
 
 
-@query()
+@query(
+    f"""WITH {_PLANTED}, {_STARTQ}, {_weights("w0", "p", SIGMA)}, r AS (SELECT *, row_number() OVER (PARTITION BY i ORDER BY round(-ln(w), 12), j) AS r FROM w0),
+k AS (SELECT i, j, w FROM r WHERE r <= 16), w AS MATERIALIZED (SELECT i, j, 0 AS li, 0 AS lj, max(w) AS w FROM (SELECT * FROM k UNION ALL SELECT j, i, w FROM k) GROUP BY i, j),
+{_step("q", "t1", 0.0)}, {_step("t1", "t2", 0.0)} {_rows("t2")}"""
+)
 def step_with_sparse_graph(spark, sf_dir):
     p = planted(spark, sf_dir)
     return laid_out(run(p, M, SIGMA, 0.0, 2, SEED, op=SparseOp(SIGMA, knn=16)).v)
@@ -375,47 +463,76 @@ def row_bounds(spark, sf_dir):
     return spark.createDataFrame(rows, "n long, alpha double, sigma double, old_rows double, new_row double").select("n", "alpha", "sigma", (F.round("old_rows", 4) + F.lit(0.0)).alias("old_rows"), (F.round("new_row", 4) + F.lit(0.0)).alias("new_row"))
 
 
-_QNORM = f"z AS (SELECT CAST(count(*) AS DOUBLE) AS n0, sqrt({' + '.join(f'sum(v{k} * v{k})' for k in range(M))}) AS qn, 4e0 AS sigma, {ALPHA!r}e0 AS alpha FROM q)"
-_BOTH = "zz AS (SELECT z.*, n0 - d AS n FROM z, (VALUES (0), (1)) t(d) WHERE n0 - d >= 2)"
+def _norms(q: str, m: int = M, seed: str = str(SEED), sigma: float = 4.0) -> str:
+    """Rows, and norms of the start matrix over them and over one row more: that of the next free id."""
+    extra = " + ".join(f"pow({_normal(seed, 'top', str(k))}, 2)" for k in range(m))
+    return f"""z0 AS (SELECT CAST(count(*) AS DOUBLE) AS n0, {" + ".join(f"sum(v{k} * v{k})" for k in range(m))} AS own, max(id) + 1 AS top FROM {q}),
+zz AS (SELECT n0 - d AS n, sqrt(CASE WHEN d = 0 THEN own + ({extra}) ELSE own END) AS qn, {sigma!r}e0 AS sigma, {ALPHA!r}e0 AS alpha FROM z0, (VALUES (0), (1)) t(d) WHERE n0 - d >= 2)"""
+
+
 _BOUNDS = f"b AS (SELECT max(greatest({_OLD}, {_NEW}) / 2 * sqrt(n + 1) * qn) AS uniform_, max(sqrt(n * pow({_OLD}, 2) + pow({_NEW}, 2)) / 2 * qn) AS row_split FROM zz)"
 
 
-@query(f"WITH {_PLANTED}, {_STARTQ}, {_QNORM}, {_BOTH}, {_BOUNDS} SELECT round(uniform_, 4) + 0e0 AS uniform_bound, round(row_split, 4) + 0e0 AS row_split_bound FROM b")
+def _start_norms(p: DataFrame, m: int = M, spectral_: bool = False) -> sensitivity.StartNorms:
+    return sensitivity.start_norms(noise.start_matrix(p, m, 1.0, SEED), SEED, 1.0, spectral_)
+
+
+@query(f"WITH {_PLANTED}, {_STARTQ}, {_norms('q')}, {_BOUNDS} SELECT round(uniform_, 4) + 0e0 AS uniform_bound, round(row_split, 4) + 0e0 AS row_split_bound FROM b")
 def sensitivity_bound(spark, sf_dir):
+    """The bound counts the start matrix of one row more."""
     p = planted(spark, sf_dir)
-    n = p.count()
-    u, r = (sensitivity.bound(n, ALPHA, 4.0, _q(p), form) for form in ("uniform", "row_split"))
+    norms = _start_norms(p)
+    u, r = (sensitivity.bound(p.count(), ALPHA, 4.0, norms, form) for form in ("uniform", "row_split"))
     return spark.createDataFrame([(u, r)], "uniform_bound double, row_split_bound double").select(*((F.round(c, 4) + F.lit(0.0)).alias(c) for c in ("uniform_bound", "row_split_bound")))
 
 
+@query(
+    f"""WITH {_PLANTED}, {_start("q", "p", 2, str(SEED))}, g0 AS (SELECT CAST(count(*) AS DOUBLE) AS n0, max(id) + 1 AS top, sum(v0 * v0) AS a0, sum(v0 * v1) AS b0, sum(v1 * v1) AS c0 FROM q),
+g AS (SELECT n0 - d AS n, 4e0 AS sigma, {ALPHA!r}e0 AS alpha, {", ".join(f"{own}0 + CASE WHEN d = 0 THEN {_normal(str(SEED), 'top', i)} * {_normal(str(SEED), 'top', j)} ELSE 0e0 END AS {own}" for own, i, j in (("a", "0", "0"), ("b", "0", "1"), ("c", "1", "1")))} FROM g0, (VALUES (0), (1)) t(d)),
+sv AS (SELECT *, sqrt((a + c) / 2 + sqrt(pow((a - c) / 2, 2) + b * b)) AS top2 FROM g)
+SELECT round(max(sqrt(n * pow({_OLD}, 2) + pow({_NEW}, 2)) / 2 * top2), 4) + 0e0 AS spectral_bound FROM sv"""
+)
+def spectral_bound(spark, sf_dir):
+    """The bound by the start matrix's greatest singular value, in the plane."""
+    p = planted(spark, sf_dir)
+    b = sensitivity.bound(p.count(), ALPHA, 4.0, _start_norms(p, 2, True), "spectral")
+    return spark.createDataFrame([(b,)], "spectral_bound double").select((F.round("spectral_bound", 4) + F.lit(0.0)).alias("spectral_bound"))
+
+
 _TAU = f"sqrt(2e0 * ln(1.25e0 / {DELTA!r})) / {EPS!r}e0"
 
 
-@query(f"WITH {_PLANTED}, {_STARTQ}, {_QNORM}, {_BOTH}, {_BOUNDS} SELECT round(uniform_ * {_TAU}, 2) + 0e0 AS tau FROM b")
+@query(f"WITH {_PLANTED}, {_STARTQ}, {_norms('q')}, {_BOUNDS} SELECT round(uniform_ * {_TAU}, 2) + 0e0 AS tau FROM b")
 def noise_scale(spark, sf_dir):
     p = planted(spark, sf_dir)
-    tau = noise.calibrate(EPS, DELTA, sensitivity.bound(p.count(), ALPHA, 4.0, _q(p)))
+    tau = noise.calibrate(EPS, DELTA, sensitivity.bound(p.count(), ALPHA, 4.0, _start_norms(p)))
     return spark.createDataFrame([(tau,)], "tau double").select((F.round("tau", 2) + F.lit(0.0)).alias("tau"))
 
 
-@query(
-    "WITH "
-    + _PLANTED
-    + ", "
-    + _STARTQ
-    + ", "
-    + _W.replace(f"/ {SIGMA!r}e0", "/ 4.0e0")
-    + ", "
-    + _step("q", "t1", ALPHA, _gaussian_label().replace(f"/ {SIGMA!r}e0", "/ 4.0e0"))
-    + f", {_QNORM}, {_BOTH}, {_BOUNDS} "
-    + " UNION ALL ".join(f"SELECT id, CAST({k} AS BIGINT) AS dim, round(v{k} + uniform_ * {_TAU} * {_normal('noise', 'id', str(k))}, 2) + 0e0 AS value FROM t1, b" for k in range(M))
-)
+def _released(m: int = M, src: str = "p", q: str = "q", out: str = "r0", keep: str = "id, label") -> str:
+    """The first step of ``src`` with test noise, at sigma 4."""
+    noisy = ", ".join(f"v{k} + uniform_ * {_TAU} * {_normal('noise', 'id', str(k))} AS v{k}" for k in range(m))
+    return f"""{_start(q, src, m, str(SEED), keep)}, {_weights(f"{out}_w", src, 4.0)}, {_any_step(q, f"{out}_t", f"{out}_w", m, ALPHA, 4.0, keep)},
+{_norms(q, m)}, {_BOUNDS}, {out} AS MATERIALIZED (SELECT {keep}, {noisy} FROM {out}_t, b)"""
+
+
+@query(f"WITH {_PLANTED}, {_released()} " + " UNION ALL ".join(f"SELECT id, CAST({k} AS BIGINT) AS dim, round(v{k}, 2) + 0e0 AS value FROM r0" for k in range(M)))
 def noisy_first_step_testnoise(spark, sf_dir):
     """The released step, with the reproducible noise that only tests may use."""
     v, _ = release.noisy_first_step(planted(spark, sf_dir), M, 4.0, ALPHA, EPS, DELTA, seed=SEED, test_noise="noise")
     return v.select("id", F.posexplode("v").alias("dim", "value")).select("id", F.col("dim").cast("long").alias("dim"), (F.round("value", 2) + F.lit(0.0)).alias("value"))
 
 
+@query(f"WITH {_PLANTED}, {_released()} SELECT round((SELECT sqrt(sum({' + '.join(f'v{k} * v{k}' for k in range(M))})) FROM r0_t) / (uniform_ * {_TAU} * sqrt((SELECT count(*) FROM p) * {M}e0)), 8) + 0e0 AS signal_to_noise FROM b")
+def signal_to_noise(spark, sf_dir):
+    """Norm of the step over the expected norm of its noise."""
+    p = planted(spark, sf_dir)
+    step = run(p, M, 4.0, ALPHA, 1, SEED).v
+    _, r = release.noisy_first_step(p, M, 4.0, ALPHA, EPS, DELTA, seed=SEED, test_noise="noise")
+    value = sensitivity.q_norm(step) / (r.tau * math.sqrt(r.n * M))
+    return spark.createDataFrame([(value,)], "signal_to_noise double").select((F.round("signal_to_noise", 8) + F.lit(0.0)).alias("signal_to_noise"))
+
+
 @query()
 def noisy_first_step(spark, sf_dir):
     """A real release: its noise is drawn once and differs from run to run."""
@@ -429,6 +546,45 @@ def release_then_iterate(spark, sf_dir):
     return laid_out(v)
 
 
+_ROLE = "CASE WHEN CAST(CAST('0x' || substr(md5('42:' || CAST(id AS VARCHAR)), 1, 8) AS UBIGINT) AS BIGINT) % 100 < 40 THEN 'public' WHEN CAST(CAST('0x' || substr(md5('42:' || CAST(id AS VARCHAR)), 1, 8) AS UBIGINT) AS BIGINT) % 100 < 95 THEN 'server' ELSE 'target' END"
+_MASKED = f"CASE WHEN {_ROLE} <> 'target' THEN label END"
+
+
+def _free_steps(n: int, m: int = M, prev: str = "r0", label: str = _MASKED, keep: str = "id, label", tag: str = "f") -> str:
+    """Steps on the unit rows of a release, rescaled after each."""
+    out = [_as_points(prev, f"{tag}_x", m, label), _weights(f"{tag}_w", f"{tag}_x", 4.0)]
+    for t in range(1, n + 1):
+        out += [_any_step(prev, f"{tag}{t}r", f"{tag}_w", m, ALPHA, 4.0, keep), _rescaled(f"{tag}{t}r", f"{tag}{t}", m, keep)]
+        prev = f"{tag}{t}"
+    return ", ".join(out)
+
+
+@query(f"WITH {_PLANTED}, {_released()}, {_free_steps(2)} " + " UNION ALL ".join(f"SELECT id, CAST({k} AS BIGINT) AS dim, round(v{k}, 5) + 0e0 AS value FROM f2" for k in range(M)))
+def release_then_iterate_testnoise(spark, sf_dir):
+    """Release with test noise, graph rebuilt from it, two free steps with the targets' labels hidden."""
+    v, _ = release.release_then_iterate(planted(spark, sf_dir), M, 4.0, ALPHA, EPS, DELTA, 2, label_policy="masked", seed=SEED, test_noise="noise")
+    return v.select("id", F.posexplode("v").alias("dim", "value")).select("id", F.col("dim").cast("long").alias("dim"), (F.round("value", 5) + F.lit(0.0)).alias("value"))
+
+
+@query("SELECT * FROM (VALUES ('client', 1.1e0, CAST(2 AS BIGINT))) t(subject, epsilon, charges)")
+def release_charges_ledger(spark, sf_dir):
+    """Two releases of one client are charged before they are published; a third would exceed the budget and is not made."""
+    p = planted(spark, sf_dir)
+    book = ledger.Book(spark, f"{folder(spark)}/book-{id(p)}", 1.2)
+    for eps in (0.5, 0.6, 0.7):
+        try:
+            release.noisy_first_step(p, M, 4.0, ALPHA, eps, DELTA, book=book)
+        except ledger.BudgetExceeded:
+            continue
+    return ledger.spent(book.rows()).select("subject", F.col("epsilon").cast("double").alias("epsilon"), "charges")
+
+
+@query()
+def membership_attack(spark, sf_dir):
+    """The best threshold's advantage at telling a release with a row from one without, and the most that (epsilon, delta) allows."""
+    return experiments.membership_attack(spark, sf_dir)
+
+
 def _gap_sql() -> str:
     def side(tag: str, where: str) -> str:
         s = f"{tag}_q AS (SELECT * FROM q WHERE {where}), {tag}_w AS MATERIALIZED (SELECT * FROM w WHERE {where.replace('id', 'i')} AND {where.replace('id', 'j')})"
@@ -467,11 +623,23 @@ def difference_rows(spark, sf_dir):
 
 # --- retrieval -----------------------------------------------------------------
 
-_ROLE = "CASE WHEN CAST(CAST('0x' || substr(md5('42:' || CAST(id AS VARCHAR)), 1, 8) AS UBIGINT) AS BIGINT) % 100 < 40 THEN 'public' WHEN CAST(CAST('0x' || substr(md5('42:' || CAST(id AS VARCHAR)), 1, 8) AS UBIGINT) AS BIGINT) % 100 < 95 THEN 'server' ELSE 'target' END"
 _PARTIES = f"pr AS MATERIALIZED (SELECT id, label, x, {_ROLE} AS role FROM p)"
-_DUMMIES = """dm AS MATERIALIZED (SELECT target_id, id, label FROM (SELECT t.id AS target_id, u.id, u.label,
-  row_number() OVER (PARTITION BY t.id, u.label ORDER BY md5('1:' || CAST(t.id AS VARCHAR) || ':' || CAST(u.id AS VARCHAR)), u.id) AS r
-  FROM pr t JOIN pr u ON t.role = 'target' AND u.role = 'public' AND u.label <> t.label) WHERE r = 1)"""
+
+
+def _hash_number(text: str) -> str:
+    return f"CAST(CAST('0x' || substr(md5({text}), 1, 8) AS UBIGINT) AS BIGINT)"
+
+
+def _dummies(choice: int = retrieval.CHOICE) -> str:
+    """A drawn group of each class first, all of the class if it is empty; in it the least hash."""
+    return f"""dg AS (SELECT label, greatest(1, count(*) // {choice}) AS groups FROM pr WHERE role = 'public' GROUP BY label),
+dm AS MATERIALIZED (SELECT target_id, id, label FROM (SELECT t.id AS target_id, u.id, u.label,
+  row_number() OVER (PARTITION BY t.id, u.label ORDER BY CASE WHEN {_hash_number("'1:group:' || CAST(u.id AS VARCHAR)")} % groups = {_hash_number("'1:draw:' || CAST(t.id AS VARCHAR) || ':' || CAST(u.label AS VARCHAR)")} % groups THEN 0 ELSE 1 END, md5('1:' || CAST(t.id AS VARCHAR) || ':' || CAST(u.id AS VARCHAR)), u.id) AS r
+  FROM pr t JOIN pr u ON t.role = 'target' AND u.role = 'public' AND u.label <> t.label JOIN dg ON dg.label = u.label) WHERE r = 1)"""
+
+
+_DUMMIES = _dummies()
+_CLIENT = "cl AS MATERIALIZED (SELECT id, label, x, CASE WHEN role = 'public' AND id IN (SELECT id FROM dm) THEN 'dummy' ELSE role END AS role FROM pr WHERE role IN ('target', 'public'))"
 
 
 def _parties(spark, sf_dir):
@@ -490,6 +658,13 @@ def dummies(spark, sf_dir):
     return retrieval.dummies(t, u).select("target_id", "id", "label")
 
 
+@query(f"WITH {_PLANTED}, {_PARTIES}, {_dummies(4)} SELECT target_id, id, label FROM dm")
+def dummies_by_group(spark, sf_dir):
+    """Groups of about four rows, as classes of many rows are dealt; some drawn groups are empty."""
+    _, t, u, _ = _parties(spark, sf_dir)
+    return retrieval.dummies(t, u, choice=4).select("target_id", "id", "label")
+
+
 @query(f"WITH {_PLANTED}, {_PARTIES}, {_DUMMIES} SELECT id, role FROM pr WHERE role = 'target' UNION ALL SELECT DISTINCT id, 'dummy' FROM dm UNION ALL SELECT id, role FROM pr WHERE role = 'public' AND id NOT IN (SELECT id FROM dm)")
 def client_set(spark, sf_dir):
     _, t, u, _ = _parties(spark, sf_dir)
@@ -549,7 +724,55 @@ def neighbour_overlap(spark, sf_dir):
     return metrics.set_recall(b, a, 8).select("query_id", r6("recall").alias("recall"))
 
 
-@query()
+@query(f"WITH {_PLANTED}, {_knn_sql(8)} SELECT query_id, match_id, rank, round(dist, 6) + 0e0 AS dist FROM t")
+def knn_by_blocks(spark, sf_dir):
+    """The block form that large inputs take."""
+    v = baselines.raw(planted(spark, sf_dir))
+    return retrieval.knn(v, v, 8, sent=0).select("query_id", "match_id", "rank", r6("dist").alias("dist"))
+
+
+@query(
+    f"""WITH {_PLANTED}, {_PARTIES}, {_DUMMIES}, asked AS (SELECT id FROM pr WHERE role = 'target' UNION SELECT id FROM dm),
+k AS (SELECT a.id AS query_id, b.id AS match_id, CAST(row_number() OVER (PARTITION BY a.id ORDER BY round(list_distance(a.x, b.x) * list_distance(a.x, b.x), 12), b.id) AS INTEGER) AS rank FROM pr a JOIN pr b ON a.id IN (SELECT id FROM asked) AND b.role = 'server')
+SELECT query_id, match_id, rank FROM k JOIN pr ON pr.id = query_id AND role = 'target' WHERE rank <= 8"""
+)
+def parsed_answers(spark, sf_dir):
+    """Targets and dummies are all answered; the client keeps the targets' answers."""
+    _, t, u, s = _parties(spark, sf_dir)
+    v = lambda df: df.select("id", F.col("x").alias("v"))
+    asked = v(t).unionByName(v(retrieval.dummies(t, u)).distinct())
+    return retrieval.parse(retrieval.knn(asked, v(s), 8, skip_self=False), t).select("query_id", "match_id", "rank")
+
+
+def _iterate_sql(n: int) -> str:
+    names = ["q", *(f"t{i}" for i in range(1, n + 1))]
+    steps = ", ".join(_step(a, b) for a, b in zip(names, names[1:], strict=False))
+    all_ = ", ".join(f"SELECT {t} AS t, * FROM {v}" for t, v in enumerate(names)).replace(", SELECT", " UNION ALL SELECT")
+    gap = " + ".join(f"pow(a.v{k} - b.v{k}, 2)" for k in range(M))
+    return f"""WITH {_PLANTED}, {_STARTQ}, {_W}, {steps}, v AS MATERIALIZED ({all_}),
+k AS (SELECT a.t, a.id AS query_id, a.label = b.label AS same, row_number() OVER (PARTITION BY a.t, a.id ORDER BY round({gap}, 12), b.id) AS r FROM v a JOIN v b ON a.t = b.t AND a.id <> b.id),
+h AS (SELECT t, query_id, max(CASE WHEN same THEN 1e0 ELSE 0e0 END) AS hit, avg(CASE WHEN same THEN 1e0 ELSE 0e0 END) AS share FROM k WHERE r <= 8 GROUP BY t, query_id)
+SELECT CAST(t AS INTEGER) AS t, round(avg(hit), 6) + 0e0 AS recall, round(avg(share), 6) + 0e0 AS "precision" FROM h GROUP BY t"""
+
+
+@query(_iterate_sql(3))
+def recall_by_iteration(spark, sf_dir):
+    """Recall and precision at 8 of every iterate."""
+    p = planted(spark, sf_dir)
+    r = run(p, M, SIGMA, ALPHA, 3, SEED, keep=True)
+    rows = [(t, *metrics.recall_table(retrieval.knn(v, v, 8), p, (8,)).select("recall", "precision").first()) for t, v in enumerate(r.steps)]
+    return spark.createDataFrame(rows, "t int, recall double, precision double").select("t", r6("recall").alias("recall"), r6("precision").alias("precision"))
+
+
+_BUCKET_GAP = "round(list_distance(a.x, c.x) * list_distance(a.x, c.x), 12)"
+
+
+@query(
+    f"""WITH {_PLANTED}, {_knn_sql(8)}, c AS MATERIALIZED (SELECT id, x FROM p ORDER BY md5('1:' || CAST(id AS VARCHAR)) LIMIT 12),
+g AS MATERIALIZED (SELECT a.id, a.x, c.id AS bucket, row_number() OVER (PARTITION BY a.id ORDER BY {_BUCKET_GAP}, c.id) AS r FROM p a CROSS JOIN c),
+f AS (SELECT q.id AS query_id, s.id AS match_id, row_number() OVER (PARTITION BY q.id ORDER BY round(list_distance(q.x, s.x) * list_distance(q.x, s.x), 12), s.id) AS r FROM g q JOIN g s ON q.bucket = s.bucket AND q.r <= 6 AND s.r = 1 AND q.id <> s.id)
+SELECT t.query_id, round(count(f.match_id) / CAST(count(*) AS DOUBLE), 6) + 0e0 AS recall FROM t LEFT JOIN f ON f.query_id = t.query_id AND f.match_id = t.match_id AND f.r <= 8 GROUP BY 1"""
+)
 def knn_buckets(spark, sf_dir):
     """Recall of the bucket index against the exact search."""
     p = planted(spark, sf_dir)
@@ -592,15 +815,53 @@ def aligned_rmsd(spark, sf_dir):
     return one(spark, before_=align.rmsd(a, b), after_=align.rmsd(align.apply(a, align.fit(a, b)), b))
 
 
-@query()
+@query(
+    f"""WITH {_PLANTED}, {_AB}, s AS (SELECT avg(pow(a0 - b0, 2) + pow(a1 - b1, 2)) AS apart, var_pop(a0) + var_pop(a1) AS sa, var_pop(b0) + var_pop(b1) AS sb,
+  {", ".join(f"avg(a{i} * b{j}) - avg(a{i}) * avg(b{j}) AS c{i}{j}" for i in range(2) for j in range(2))} FROM ab),
+r AS (SELECT *, sqrt(pow(c00 + c11, 2) + pow(c01 - c10, 2)) AS turned, sqrt(pow(c00 - c11, 2) + pow(c01 + c10, 2)) AS mirrored FROM s)
+SELECT round(sqrt(apart), 6) + 0e0 AS "none", round(sqrt(sa + sb - 2 * turned), 6) + 0e0 AS rigid, round(sqrt(sb - turned * turned / sa), 6) + 0e0 AS similarity, round(sqrt(sa + sb - 2 * greatest(turned, mirrored)), 6) + 0e0 AS orthogonal FROM r"""
+)
 def alignment_variants(spark, sf_dir):
-    a, b = _two(spark, sf_dir, 4)
+    """Distance after each kind of motion; the plane has closed forms for all."""
+    a, b = _two(spark, sf_dir)
     vals = {"none": align.rmsd(a, b)}
     for name, kw in (("rigid", {}), ("similarity", {"scale": True}), ("orthogonal", {"reflect": True})):
         vals[name] = align.rmsd(align.apply(a, align.fit(a, b, **kw)), b)
     return one(spark, **vals)
 
 
+#: The exchange in the plane, with test noise and one free step: parties, both embeddings, and the motion of client onto server.
+_EXCHANGE = f"""{_PLANTED}, {_PARTIES}, {_DUMMIES}, {_CLIENT}, {_released(2, "cl", "cq", "r0", "id, label, role")},
+{_free_steps(1, 2, "r0", "CASE WHEN role = 'public' THEN label END", "id, label, role", "f")},
+sv AS MATERIALIZED (SELECT id, label, x, role FROM pr WHERE role IN ('server', 'public')), {_start("sq", "sv", 2, "1s", "id, label, role")}, {_weights("s_w", "sv", 4.0)},
+{_any_step("sq", "s1r", "s_w", 2, ALPHA, 4.0, "id, label, role")}, {_rescaled("s1r", "s1", 2, "id, label, role")},
+ab AS MATERIALIZED (SELECT c.id, c.v0 AS a0, c.v1 AS a1, s.v0 AS b0, s.v1 AS b1 FROM f1 c JOIN s1 s ON s.id = c.id AND c.role = 'public' AND s.role = 'public'),
+{_MOTION}"""
+
+
+def _plane_exchange(spark, sf_dir) -> retrieval.Exchange:
+    _, t, u, s = _parties(spark, sf_dir)
+    cfg = retrieval.Config(m=2, sigma=4.0, alpha=ALPHA, epsilon=EPS, delta=DELTA, steps=1, seed=SEED, form="uniform", calibration="classic", label_policy="masked", test_noise="noise")
+    return retrieval.private_retrieve(t, u, s, 8, cfg)
+
+
+@query(f"WITH {_EXCHANGE} SELECT round((SELECT sqrt(avg(pow(a0 - b0, 2) + pow(a1 - b1, 2))) FROM ab), 5) + 0e0 AS before_, round(sqrt(avg(g0 * g0 + g1 * g1)), 5) + 0e0 AS after_ FROM mv")
+def exchange_alignment(spark, sf_dir):
+    """Anchor distance before and after alignment in a whole exchange with test noise."""
+    x = _plane_exchange(spark, sf_dir)
+    return spark.createDataFrame([(x.rmsd_before, x.rmsd_after)], "before_ double, after_ double").select(*((F.round(c, 5) + F.lit(0.0)).alias(c) for c in ("before_", "after_")))
+
+
+@query(
+    f"""WITH {_EXCHANGE}, asked AS (SELECT c.id, (v0 - ma0) * cos(t) - (v1 - ma1) * sin(t) + mb0 AS v0, (v0 - ma0) * sin(t) + (v1 - ma1) * cos(t) + mb1 AS v1 FROM f1 c, th WHERE role = 'target'),
+k AS (SELECT a.id AS query_id, b.id AS match_id, CAST(row_number() OVER (PARTITION BY a.id ORDER BY round(pow(a.v0 - b.v0, 2) + pow(a.v1 - b.v1, 2), 12), b.id) AS INTEGER) AS rank FROM asked a JOIN s1 b ON b.role = 'server')
+SELECT query_id, match_id, rank FROM k WHERE rank <= 8"""
+)
+def private_retrieve_testnoise(spark, sf_dir):
+    """The whole exchange, with test noise, in the plane: the answers that the client keeps."""
+    return _plane_exchange(spark, sf_dir).answers.select("query_id", "match_id", "rank")
+
+
 @query()
 def private_retrieve(spark, sf_dir):
     return experiments.end_to_end(spark, sf_dir)
@@ -650,6 +911,23 @@ def separation_ratio(spark, sf_dir):
     return one(spark, ratio=metrics.separation(_q(p), p))
 
 
+@query(f"WITH {_PLANTED}, {_knn_sql(8)} SELECT query_id, match_id, rank FROM t")
+def pca_keeps_distances(spark, sf_dir):
+    """With all directions PCA is a rotation: neighbours stay."""
+    v = baselines.pca(planted(spark, sf_dir), 64)
+    return retrieval.knn(v, v, 8).select("query_id", "match_id", "rank")
+
+
+@query(
+    f"""WITH {_PLANTED}, i AS (SELECT unnest(generate_series(0, 63)) AS i), r AS MATERIALIZED (SELECT i, {", ".join(f"{_normal('7', 'i', str(k))} / sqrt(2e0) AS r{k}" for k in range(2))} FROM i),
+g AS (SELECT sum(r0 * r0) AS a, sum(r0 * r1) AS b, sum(r1 * r1) AS c FROM r), tau AS (SELECT 2 * sqrt((a + c) / 2 + sqrt(pow((a - c) / 2, 2) + b * b)) * {_TAU} AS tau FROM g),
+xx AS (SELECT id, generate_subscripts(x, 1) - 1 AS i, unnest(x) AS z FROM p), pj AS (SELECT id, {", ".join(f"sum(z * r{k}) + any_value(tau) * {_normal('rp', 'id', str(k))} AS v{k}" for k in range(2))} FROM xx JOIN r USING (i), tau GROUP BY id) {_rows("pj", 2)}"""
+)
+def dp_rp_testnoise(spark, sf_dir):
+    """Private random projection with the reproducible noise of tests."""
+    return laid_out(baselines.dp_rp(planted(spark, sf_dir), 2, EPS, DELTA, 7, "classic", "rp"))
+
+
 @query()
 def pca(spark, sf_dir):
     return laid_out(baselines.pca(planted(spark, sf_dir), M))
@@ -675,10 +953,21 @@ def dp_sne(spark, sf_dir):
     return laid_out(baselines.dp_sne(experiments.points_of(spark, sf_dir, "emb_planted"), 2, 1.0, DELTA, iterations=8))
 
 
-@query()
+_DOCS = (
+    f"src AS (SELECT doc_id AS id, text FROM documents), {_TRIGRAMS[: _TRIGRAMS.index('SELECT s.id, d.dim')].rstrip()}".rstrip(",")
+    + """, p AS MATERIALIZED (SELECT v.id, any_value(lang) AS label, list(v.n ORDER BY v.dim) AS x FROM (SELECT s.id, d.dim, coalesce(b.n, 0e0) / nn AS n FROM s CROSS JOIN (SELECT unnest(generate_series(0, 63)) AS dim) d LEFT JOIN b ON b.id = s.id AND b.dim = d.dim) v JOIN documents ON doc_id = v.id GROUP BY v.id)"""
+)
+
+
+@query(
+    f"""WITH {_DOCS}, {_knn_sql(8)}, h AS (SELECT query_id, rank, CASE WHEN a.label = b.label THEN 1e0 ELSE 0e0 END AS hit FROM t JOIN p a ON a.id = query_id AND a.label IS NOT NULL JOIN p b ON b.id = match_id)
+SELECT CAST(k AS INTEGER) AS k, round(avg(r), 6) + 0e0 AS recall, round(avg(pr), 6) + 0e0 AS "precision", count(*) AS queries
+FROM (SELECT k, query_id, max(hit) AS r, avg(hit) AS pr FROM h, (VALUES (1), (2), (4), (8)) ks(k) WHERE rank <= k GROUP BY k, query_id) GROUP BY k"""
+)
 def baseline_raw(spark, sf_dir):
+    """Raw features of all documents."""
     p = experiments.points_of(spark, sf_dir, "doc_lang")
-    return metrics.recall_table(_exact(p), p)
+    return metrics.recall_table(_exact(p), p).select("k", r6("recall").alias("recall"), r6("precision").alias("precision"), "queries")
 
 
 @query()
@@ -711,6 +1000,12 @@ def w3_private_parameters(spark, sf_dir):
     return experiments.grid(spark, sf_dir, private=True)
 
 
+@query()
+def w3_choice(spark, sf_dir):
+    """The value of each parameter that held-out rows choose."""
+    return experiments.choice(spark, sf_dir)
+
+
 @query()
 def w4_privacy_utility(spark, sf_dir):
     return experiments.privacy_utility(spark, sf_dir)
@@ -718,7 +1013,7 @@ def w4_privacy_utility(spark, sf_dir):
 
 @query()
 def w5_alignment(spark, sf_dir):
-    return experiments.alignment(spark, sf_dir, epsilons=(1.0, 1e6))
+    return experiments.alignment(spark, sf_dir)
 
 
 @query()
@@ -726,6 +1021,12 @@ def w6_end_to_end(spark, sf_dir):
     return experiments.end_to_end(spark, sf_dir, "doc_lang")
 
 
+@query()
+def w6_without_noise(spark, sf_dir):
+    """The same exchange without noise, at a bandwidth that serves retrieval: the ceiling."""
+    return experiments.end_to_end(spark, sf_dir, "doc_lang", retrieval.Config(sigma=0.1, alpha=0.0, steps=6, private=False))
+
+
 @query()
 def w7_cost(spark, sf_dir):
     return experiments.cost(spark, sf_dir)

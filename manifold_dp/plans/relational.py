@@ -421,6 +421,40 @@ def fn_udtf(spark, sf_dir):
     return spark.sql("SELECT r.n, r.share FROM report_in i, LATERAL sensitivity_report(i.n, i.sigma) r")
 
 
+@query(
+    """WITH e AS (SELECT vec_id AS id, list_transform(embedding, lambda z: CAST(z AS DOUBLE)) AS x FROM embeddings),
+k AS (SELECT a.id AS query_id, b.id AS match_id, CAST(row_number() OVER (PARTITION BY a.id ORDER BY round(list_distance(a.x, b.x) * list_distance(a.x, b.x), 12), b.id) AS INTEGER) AS rank FROM e a JOIN e b ON a.id <> b.id)
+SELECT query_id, match_id, rank FROM k WHERE rank <= 3"""
+)
+def fn_udtf_neighbours(spark, sf_dir):
+    """A table function over a table: the nearest rows of each, for tables that one task can hold."""
+    import numpy as np
+    from pyspark.sql.functions import udtf
+
+    class Neighbours:
+        def __init__(self):
+            self.rows, self.k = [], 0
+
+        def eval(self, row, k: int):
+            if len(self.rows) >= 20_000:
+                raise ValueError("more than 20000 rows; use neighbours.knn")
+            self.rows.append((row["id"], row["x"]))
+            self.k = k
+
+        def terminate(self):
+            from manifold_dp.operators.arrays import nearest
+
+            if self.rows:
+                ids, x = np.array([r[0] for r in self.rows]), np.array([r[1] for r in self.rows], np.float64)
+                found, dist = nearest(ids, x, ids, x, self.k)
+                for i, row, gaps in zip(ids.tolist(), found.tolist(), dist.tolist(), strict=True):
+                    yield from ((i, j, r + 1) for r, (j, g) in enumerate(zip(row, gaps, strict=True)) if g != float("inf"))
+
+    spark.udtf.register("neighbours", udtf(Neighbours, returnType="query_id bigint, match_id bigint, rank int"))
+    read(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("x")).createOrReplaceTempView("neighbours_in")
+    return spark.sql("SELECT * FROM neighbours(TABLE(neighbours_in) WITH SINGLE PARTITION, 3)")
+
+
 # --- sources and sinks -------------------------------------------------------------
 
 _EX = "SELECT c_custkey, c_name, round(c_acctbal, 2) + 0e0 AS balance, c_mktsegment FROM customer"
@@ -462,4 +496,21 @@ def udf_arrow_group(spark, sf_dir):
     return read(spark, sf_dir, "embeddings").select("label", F.col("embedding").cast("array<double>").alias("x")).groupBy("label").applyInArrow(add, "label int, s double")
 
 
+@query("SELECT label, id, rank FROM (SELECT label, vec_id AS id, CAST(row_number() OVER (PARTITION BY label ORDER BY embedding[1] DESC, vec_id) AS INTEGER) AS rank FROM embeddings) WHERE rank <= 5")
+def udaf_top_k(spark, sf_dir):
+    """A merged top-k: each task's share of a group keeps its k best, the shares are merged, so no task needs a whole group."""
+    import pyarrow as pa
+
+    names = ["label", "id", "value", "rank"]
+
+    def best(t):
+        t = t.sort_by([("value", "descending"), ("id", "ascending")]).slice(0, 5)
+        return pa.table([t["label"], t["id"], t["value"], pa.array(range(1, len(t) + 1), pa.int32())], names=names)
+
+    schema = "label int, id long, value double, rank int"
+    rows = read(spark, sf_dir, "embeddings").select(F.col("label").cast("int").alias("label"), F.col("vec_id").cast("long").alias("id"), F.element_at("embedding", 1).cast("double").alias("value"))
+    shares = rows.withColumn("share", F.pmod(F.xxhash64("id"), F.lit(8))).groupBy("label", "share").applyInArrow(lambda t: best(t), schema)
+    return shares.select("label", "id", "value").groupBy("label").applyInArrow(lambda t: best(t), schema).select("label", "id", "rank")
+
+
 __all__ = ["ORACLES", "QUERIES", "events", "features"]

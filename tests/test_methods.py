@@ -1,12 +1,17 @@
 """Hand cases and invariants of the methods."""
 
 import math
+import pathlib
+import subprocess
+import sys
+import time
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from manifold_dp.operators import align, baselines, features, kernel, ledger, metrics, noise, release, retrieval, sensitivity
+from manifold_dp import sources
+from manifold_dp.operators import align, arrays, baselines, experiments, features, kernel, ledger, metrics, noise, release, retrieval, sensitivity, sweep
 from manifold_dp.operators.kernel import DenseOp, FeatureMapOp, SparseOp
 from manifold_dp.operators.labels import LabelOp
 from manifold_dp.operators.maps import gram, spectral
@@ -167,6 +172,169 @@ def test_sensitivity_bounds_hold(spark):
         assert all(r.r <= (b["new"] if r.i == n else b["old"]) + 1e-12 for r in d)
 
 
+def test_release_counts_the_start_matrix_of_one_row_more(some):
+    """The release itself: its sensitivity is the bound over n + 1 rows of Q, and holds for newcomers with the next id."""
+    q = noise.start_matrix(some, 3)
+    full = np.r_[matrix(q), arrays.normals(1, np.array([40]), 3)]
+    for form in ("uniform", "row_split", "spectral"):
+        _, r = release.noisy_first_step(some, 3, 4.0, 0.1, 0.5, 1e-5, form=form)
+        b = sensitivity.row_bounds(40, 0.1, 4.0)
+        factor = {"uniform": b["m"] / 2 * math.sqrt(41), "row_split": math.sqrt(40 * b["old"] ** 2 + b["new"] ** 2) / 2}
+        factor["spectral"] = factor["row_split"]
+        norm = np.linalg.norm(full, 2) if form == "spectral" else np.linalg.norm(full)
+        assert r.sensitivity >= factor[form] * norm * (1 - 1e-12)
+        assert factor[form] * np.linalg.norm(matrix(q), 2 if form == "spectral" else None) < factor[form] * norm
+        new = points(some.sparkSession, [[0, 0, 0, 0, 0, -1.0]], [2], start=40)
+        both = noise.start_matrix(some.select("id").unionByName(new.select("id")), 3)
+        assert sensitivity.observed(some, new, both, 4.0, 0.1) <= r.sensitivity
+    _, tail = release.noisy_first_step(some, 3, 4.0, 0.1, 0.5, 1e-5, padding="tail")
+    assert tail.sensitivity > sensitivity.bound(40, 0.1, 4.0, sensitivity.start_norms(q, 1, 1.0))
+    norms = [np.linalg.norm(arrays.normals(s, np.arange(41), 3)) for s in range(200)]
+    assert max(norms) < sensitivity.tail_norms(40, 3, 1.0, 1e-6).padded
+    with pytest.raises(ValueError, match="does not go"):
+        release.noisy_first_step(some, 3, 4.0, 0.1, 0.5, 1e-5, form="spectral", padding="tail")
+
+
+def test_barrier_lets_only_the_release_through(spark, some):
+    v, _ = release.noisy_first_step(some, 3, 4.0, 0.1, 0.5, 1e-5)
+    secret = sources.cut(some, "secret")
+    labels, _, _ = release.published_labels(some, "public")
+    assert not release.reads_only(secret, v.at) and not release.reads_only(secret, sources.folder(spark) + "/other")
+    barrier = release.Barrier(v.at, labels.at)
+    out = release.free_steps(release.resume(spark, v.at), labels, 3, 4.0, 0.1, 2, barrier=barrier)
+    assert out.count() == 40 and barrier.check(out) is out
+    with pytest.raises(PermissionError):
+        release.free_steps(release.resume(spark, v.at), secret.select("id", "label"), 3, 4.0, 0.1, 1, barrier=release.Barrier(v.at))
+    with pytest.raises(PermissionError):
+        release.Barrier(v.at).cut(release.resume(spark, v.at).join(secret.select("id"), "id"))
+
+
+def test_exchange_reads_nothing_secret_behind_the_barrier(spark, some):
+    p = sources.cut(some.withColumn("role", F.when(F.col("id") < 4, "target").when(F.col("id") % 2 == 0, "public").otherwise("server")), "raw")
+    cfg = retrieval.Config(m=3, steps=2, epsilon=0.5, label_policy="randomized", label_epsilon=0.5, calibration="analytic")
+    x = retrieval.private_retrieve(p.where("role = 'target'"), p.where("role = 'public'"), p.where("role = 'server'"), 3, cfg)
+    assert x.report.epsilon == pytest.approx(1.0)
+    assert not any(f.startswith(p.at) or p.at.removeprefix("file://") in f for f in x.client.inputFiles())
+
+
+def test_ledger_is_charged_before_a_release(spark, some, monkeypatch):
+    book = ledger.Book(spark, f"{sources.folder(spark)}/book", 1.0)
+    release.noisy_first_step(some, 2, 4.0, 0.1, 0.6, 1e-5, book=book)
+    assert book.spent("client") == pytest.approx(0.6)
+    written = []
+    monkeypatch.setattr(release, "cut", lambda *a, **k: written.append(a))
+    with pytest.raises(ledger.BudgetExceeded):
+        release.noisy_first_step(some, 2, 4.0, 0.1, 0.6, 1e-5, book=book)
+    assert not written and book.spent("client") == pytest.approx(0.6)
+
+    def lost(*a, **k):
+        raise OSError("disk full")
+
+    monkeypatch.setattr(release, "cut", lost)
+    with pytest.raises(OSError, match="disk full"):
+        release.noisy_first_step(some, 2, 4.0, 0.1, 0.3, 1e-5, book=book)
+    assert book.spent("client") == pytest.approx(0.9)  # paid for, though nothing came of it
+
+
+def test_iterations_leave_one_table(spark, some):
+    """Steps delete what no step reads any more; two lazy results live beside each other."""
+    here = pathlib.Path(sources.folder(spark).removeprefix("file://"))
+    before = set(here.iterdir())
+    a = run(some, 2, 1.0, 0.1, 5, rescale=True).v
+    b = run(some, 2, 1.0, 0.1, 3, seed=2, rescale=True).v
+    new = [f for f in here.iterdir() if f not in before]
+    assert len(new) == 2
+    assert a.count() == b.count() == 40
+    sources.drop(spark, *(str(f) for f in new))
+    assert set(here.iterdir()) == before
+
+
+def test_a_session_leaves_no_files(tmp_path):
+    code = f"""
+import sys; sys.path.insert(0, {str(pathlib.Path(__file__).resolve().parents[1])!r})
+from pyspark.sql import SparkSession
+from manifold_dp import sources
+s = SparkSession.builder.master("local[1]").config("spark.ui.enabled", "false").config("spark.checkpoint.dir", "file://{tmp_path}").getOrCreate()
+assert sources.cut(s.range(3)).count() == 3
+s.stop()
+"""
+    subprocess.run([sys.executable, "-c", code], check=True, timeout=120, capture_output=True)
+    deadline = time.time() + 20
+    while list(tmp_path.glob("manifold-*")) and time.time() < deadline:
+        time.sleep(0.5)
+    assert not list(tmp_path.glob("manifold-*"))
+
+
+def test_schema_contract(spark, some):
+    assert sources.require(some.withColumn("more", F.lit(1)), sources.POINTS).columns == ["id", "x", "label", "role"]
+    with pytest.raises(ValueError, match="missing"):
+        sources.require(some.drop("x"), sources.POINTS)
+    with pytest.raises(ValueError, match="not"):
+        sources.require(some.withColumn("id", F.col("id").cast("string")), sources.POINTS)
+
+
+def test_sweep_equals_the_distributed_operators(spark, sf):
+    p = sources.cut(features.feature_set(spark, sf, "emb_planted").where("id % 4 = 0"), "p")
+    same = {"set": "p", "m": 4, "seed": 1, "sigma": 0.1, "alpha": 0.1, "steps": 3}
+    arms = [same | a for a in ({"method": "raw"}, {"method": "pca"}, {"method": "contrast"}, {"method": "pure_noise", "policy": "masked", "targets": True}, {"method": "contrast", "fold": 1, "folds": 3}, {"method": "trace"}, {"method": "tsne", "iterations": 20}, {"method": "exchange", "epsilon": None})]
+    got = sweep.sweep(spark, {"p": p}, arms)
+    want = [a | row for a in arms for row in experiments._distributed(p, a)]
+    assert len(got) == len(want)
+    for g, w in zip(got, want, strict=True):
+        for name in w:
+            assert g[name] == w[name] if not isinstance(w[name], float) else g[name] == pytest.approx(w[name], rel=1e-6, abs=1e-9), (w["method"], name)
+
+
+def test_large_forms_equal_small_ones(spark, some):
+    v = baselines.raw(some)
+    order = ["query_id", "rank"]
+    assert retrieval.knn(v, v, 5, sent=0).orderBy(*order).collect() == retrieval.knn(v, v, 5).orderBy(*order).collect()
+    assert retrieval.knn(v, v, 5, "cosine", sent=0).orderBy(*order).collect() == retrieval.knn(v, v, 5, "cosine").orderBy(*order).collect()
+    with pytest.raises(ValueError, match="rows make"):
+        SparseOp(1.0, knn=3, max_pairs=10).over(some)
+    words = spark.createDataFrame([(f"w{i % 37:02d}",) for i in range(200)] + [(None,)], "w string")
+    assert features.label_codes(words, "w", small=5).orderBy("w").collect() == features.label_codes(words, "w").orderBy("w").collect()
+
+
+def test_tsne_by_neighbours(some):
+    """The form for many rows keeps classes as far apart as the one that holds all pairs."""
+    rng = np.random.default_rng(8)
+    x = np.repeat(np.eye(6)[:3], 30, 0) + 0.05 * rng.normal(size=(90, 6))
+    p = points(some.sparkSession, x / np.linalg.norm(x, axis=1, keepdims=True), [i // 30 for i in range(90)])
+    near = baselines.tsne(p, 2, 8, 60, rate=20, exact_rows=10)
+    assert near.count() == 90
+    assert metrics.precision_at(retrieval.knn(near, near, 5), p, 5) > 0.95
+
+
+def test_membership_attack_stays_under_its_limit(spark):
+    rows = experiments.membership_attack(spark, "/root/testdata/sf0.001", (0.5, 2.0), 200).collect()
+    assert all(r.advantage <= r.limit + 0.12 for r in rows)
+
+
+def test_anchors_of_private_sne_are_a_bounded_part(some):
+    p = some.withColumn("role", F.when(F.col("id") < 30, "public").otherwise("server"))
+    out = baselines.dp_sne(p, 2, 2.0, 1e-5, iterations=2, max_anchors=10)
+    assert out.select("id").distinct().count() == out.count() == 40
+    with pytest.raises(ValueError, match="hides nothing"):
+        baselines.dp_pca(some, 2, 1.0, 1e-5, test_seed=1)
+
+
+def test_stream_serves_targets_like_a_batch(spark, sf):
+    from manifold_dp import streaming
+
+    p = sources.cut(features.feature_set(spark, sf, "emb_planted").where("id % 3 = 0"), "p")
+    cfg = retrieval.Config(m=2, steps=1, epsilon=0.5, calibration="classic", test_noise="n")
+    at = f"{sources.folder(spark)}/arriving"
+    asked = p.where("role = 'target'").select("id")
+    asked.coalesce(1).write.parquet(at)
+    s = spark.readStream.schema("id long").parquet(at)
+    got = streaming.serve_targets(spark, s, p, cfg).select("query_id", "match_id", "rank")
+    want = retrieval.private_retrieve(p.where("role = 'target'"), p.where("role = 'public'"), p.where("role = 'server'"), 8, cfg).answers
+    assert sorted(map(tuple, got.collect())) == sorted((r.query_id, r.match_id, r["rank"]) for r in want.collect())
+    cfg.book = ledger.Book(spark, f"{sources.folder(spark)}/none", 0.1)
+    assert streaming.serve_targets(spark, spark.readStream.schema("id long").parquet(at), p, cfg).count() == 0
+
+
 def test_calibration(spark):
     for eps, delta in ((0.5, 1e-5), (5.0, 1e-6)):
         tau = noise.calibrate(eps, delta, 2.0, "analytic")
