@@ -156,8 +156,9 @@ def _exact(queries: list[tuple], k: int, scale: float):
                 x = whole(v)
                 for i, qid, q in qs:
                     if len(q) == len(x) and r != qid:
-                        best[i] = sorted([*best[i], (-sum(a * c for a, c in zip(q, x, strict=True)), LAST if r is None else r)])[:k]
-        rows = [(*queries[i][:3], None if r == LAST else r, min(max(-s, -LAST - 1), LAST)) for i, *_ in qs for s, r in best[i]]
+                        score = min(max(sum(a * c for a, c in zip(q, x, strict=True)), -LAST - 1), LAST)
+                        best[i] = sorted([*best[i], (-score, LAST if r is None else r)])[:k]
+        rows = [(*queries[i][:3], None if r == LAST else r, -s) for i, *_ in qs for s, r in best[i]]
         yield pa.RecordBatch.from_pylist([dict(zip(NAMES, r, strict=True)) for r in rows], _SCHEMA)
 
     return search
@@ -184,8 +185,9 @@ def topk(rows: DataFrame, is_query: Column, k: int = K, scale: float = SCALE, ve
     else:
         parts = max(1, -(-total // held))
         every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-        q = stated.withColumn("block", F.pmod("slot", F.lit(blocks))).withColumn("part", every(parts))
-        r = rows.withColumn("part", F.pmod(slot, F.lit(parts)).cast("int")).withColumn("block", every(blocks).cast("long"))
+        dealt = lambda c, n: F.pmod(c, F.lit(n)).cast("int")
+        q = stated.withColumn("block", dealt(F.col("slot"), blocks)).withColumn("part", every(parts))
+        r = rows.withColumn("part", dealt(slot, parts)).withColumn("block", every(blocks))
 
         def meet(queries: pa.Table, some: pa.Table) -> pa.Table:
             scan = _scanner(queries, k, scale, fits)

@@ -95,26 +95,64 @@ def test_jaccard(spark, texts, limits, percent):
     assert sorted(map(tuple, jaccard.classes(docs, percent=percent, limits=limits).collect())) == brute_classes(texts, percent)
 
 
-def test_decontaminate(spark, texts):
-    def norm(t):
-        return re.findall(r"[a-z0-9\x80-\U0010ffff]+", (t or "").lower())
+def norm(t):
+    return re.findall(r"[a-z0-9\x80-\U0010ffff]+", (t or "").lower())
 
-    items = {i: norm(t) for i, t in rows_of("benchmark", "item_id, text")}
+
+def brute_overlaps(texts, items):
     want = set()
-    for d, t in texts:
-        w = norm(t)
-        for i, x in items.items():
-            n = min(13, len(x))
-            allowed = 2 if len(x) >= 13 else len(x) * 2 // 13
-            starts = range(len(x) - n + 1)
-            first = collections.defaultdict(list)
-            for a in starts:
-                first[x[a]].append(a)
-                first[x[a + 1]].append(a - 1) if n > 1 else None
-            if len(x) >= 5 and any(sum(u != v for u, v in zip(w[p : p + n], x[a : a + n], strict=True)) <= allowed for p in range(len(w) - n + 1) for a in {*first.get(w[p], ()), *(first.get(w[p + 1], ()) if p + 1 < len(w) else ())} if 0 <= a <= len(x) - n):
+    for i, x in items.items():
+        n = min(13, len(x))
+        allowed = 2 if len(x) >= 13 else len(x) * 2 // 13
+        by_word = collections.defaultdict(set)  # one of an overlap's first ``allowed + 1`` words is right
+        for a in range(len(x) - n + 1):
+            for o in range(min(allowed + 1, n)):
+                by_word[o, x[a + o]].add(a)
+        for d, t in texts:
+            w = norm(t)
+            starts = range(len(w) - n + 1)
+            if n < 5:
+                lines = [norm(y) for y in (t or "").split("\n")]
+                edges = {0}
+                for y in lines:
+                    edges.add(max(edges) + len(y))
+                starts = [p for p in starts if p in edges and p + n in edges]
+            if n and any(sum(u != v for u, v in zip(w[p : p + n], x[a : a + n], strict=True)) <= allowed for p in starts for o in range(min(allowed + 1, n)) for a in by_word[o, w[p + o]]):
                 want.add((d, i))
+    return want
+
+
+def test_decontaminate(spark, texts):
+    items = {i: norm(t) for i, t in rows_of("benchmark", "item_id, text")}
     got = {(r.doc_id, r.item_id) for r in decontaminate.query(spark, SF).collect()}
-    assert want <= got and want
+    assert got == brute_overlaps(texts, items) and got
+
+
+def test_decontaminate_by_shuffle_equals_broadcast(spark, texts, monkeypatch):
+    """Beyond the size that may be sent, seeds meet by a shuffle join; equal rows and short items too."""
+    docs = table(spark, SF, "documents").select("doc_id", "text")
+    docs = docs.unionByName(docs.where("doc_id % 50 = 0"))
+    short = spark.createDataFrame([(900, "ok then"), (901, "one two three four five six"), (900, "another text of the same id"), (None, "null id but a text of six")], "item_id long, text string")
+    more = spark.createDataFrame([(700, "intro\nOk, then!\nrest"), (701, "ok then again"), (702, "say one two three four five six"), (703, "another text of the same id"), (None, "here null id but a text of six")], "doc_id long, text string")
+    items, docs = table(spark, SF, "benchmark").unionByName(short), docs.unionByName(more)
+    order = lambda df: sorted(map(repr, map(tuple, df.collect())))
+    found, kept = order(decontaminate.overlaps(docs, items)), order(decontaminate.clean(docs, items))
+    assert "(700, 900, 2, 2, 2, 1)" in found and not any(r.startswith("(701") for r in found)
+    monkeypatch.setattr(decontaminate, "ITEM_BYTES", 0)
+    assert order(decontaminate.overlaps(docs, items)) == found
+    assert order(decontaminate.clean(docs, items)) == kept
+
+
+def test_decontaminate_of_repeated_words_is_bounded():
+    """A seed at 20,000 places of a text and 1,000 of an item makes marks, not pairs."""
+    import resource
+
+    s = decontaminate.Seeds([1, 2], [" ".join(["again"] * 1000), " ".join(["again"] * 20 + ["other"] * 5)])
+    before = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
+    ((_, _, w),) = decontaminate._words(__import__("pyarrow").array([" ".join(["again"] * 20_000)]))
+    got = s.overlaps(w)
+    assert [(r[1], r[2], r[3], r[4]) for r in got] == [(0, 1000, 1000, 1000), (1, 25, 20, 22)]
+    assert resource.getrusage(resource.RUSAGE_SELF).ru_maxrss - before < 400_000  # KB
 
 
 def test_token_counts(spark, texts):
@@ -175,6 +213,48 @@ def test_agenda_equals_rounds():
             assert a[a >= 0].tolist() == pieces._agenda(p, s.tolist(), k, rate)
 
 
+def test_token_edits_touch_only_their_paths(monkeypatch):
+    """Edits that change the number of leaves add up a few sums, not the tree."""
+    count = tokencount.counter()
+    text = " ".join(f"word{i}" for i in range(20_000))
+    tree = tokencount.Tree.of(text, count)
+    added = []
+    add_up = tokencount.Tree._add_up
+    monkeypatch.setattr(tokencount.Tree, "_add_up", lambda self, i: added.append(i) or add_up(self, i))
+    text, _ = tree.edit(text, 50_000, 0, "new words " * 200, count)
+    text, _ = tree.edit(text, 90_000, 3000, "", count)
+    assert len(added) < 6 * tree.width.bit_length() and tree.width > 256
+    assert (tree.total, tree.length) == (count(text), len(text)) and sum(tree.chars) == len(text)
+
+
+def test_measures_equal_plain_compression():
+    """Block-wise sizes with each dictionary, normalised by the text's size."""
+    import zstandard
+
+    good, bad = (("plain words of a calm text " + str(i)).encode() for i in range(2)), (b"BUY NOW $$$ " * 9 for _ in range(2))
+    model = quality.Model(b"".join(good), b"".join(bad), np.zeros(2), np.ones(2), np.zeros(3), 0.5)
+    for text in (b"", b"plain words of a calm text", b"BUY NOW $$$ cheap " * 400, b"x" * 5000):
+        size = []
+        for d in (model.good, model.bad):
+            z = zstandard.ZstdCompressor(level=quality.LEVEL, dict_data=zstandard.ZstdCompressionDict(d), write_content_size=False)
+            size.append(sum(len(z.compress(text[i : i + 2048])) for i in range(0, max(1, len(text)), 2048)))
+        n = max(1, len(text))
+        assert quality._measures(text, *quality._packers(model)) == pytest.approx([(size[1] - size[0]) / n, min(2.0, size[0] / n)])
+
+
+def test_the_difference_ranks_by_itself(spark):
+    """Ablation: without the ratio the compressed-size difference still tells good from bad."""
+    docs = table(spark, "/root/testdata/sf0.1", "documents").select("doc_id", "text")
+    model = quality.fitted(spark, docs, "/root/testdata/sf0.1")
+    known = dict(rows_of("labels", "doc_id, quality", "/root/testdata/sf0.1"))
+    held = docs.where(quality.held_out())
+    got = held.mapInArrow(quality._measurer(model, ["doc_id"], "text", True), "doc_id long, diff double, ratio double")
+    rows = [(r["diff"], known[r.doc_id]) for r in got.collect() if known.get(r.doc_id) in (0, 1)]
+    score, y = np.array([r[0] for r in rows]), np.array([r[1] for r in rows])
+    auc = (score[y == 1][:, None] > score[y == 0][None, :]).mean() + 0.5 * (score[y == 1][:, None] == score[y == 0][None, :]).mean()
+    assert auc > 0.97
+
+
 def test_quality_on_held_out_labels(spark):
     sf = "/root/testdata/sf0.1"
     known = dict(rows_of("labels", "doc_id, quality", sf))
@@ -194,6 +274,93 @@ def test_page_text(spark):
     assert {r.page_id: r.text for r in html.query(spark, SF).collect()} == want
 
 
+SOUP = """<html><body><div>Daily %s site</div><div><a href=x>One</a> <a href=y>Two</a></div><div><h1>Story %d</h1><p>%s</p><div>Share this story</div></div><div>Printed by hand on page %d of many</div></body></html>"""
+
+
+def soup_pages(n, hosts=("a.example", "b.example")):
+    """Pages without article or telling names: only the host's other pages show what is a template."""
+    text = lambda h, i: " ".join(f"w{h}{i}x{j}" for j in range(60))
+    return [(1000 * k + i, f"http://{h}/{i}", SOUP % (h, i, text(k, i), i)) for k, h in enumerate(hosts) for i in range(n)]
+
+
+def test_page_text_is_decided_by_host_counts(spark):
+    pages = soup_pages(12) + [(9000, "http://lonely.example/1", SOUP % ("lonely.example", 1, "alone here", 1))]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string")
+    got = {r.page_id: r for r in html.extract(df).collect()}
+    for i, _, page in pages[:-1]:
+        want = re.search(r"<h1>(.*?)</h1><p>(.*?)</p>", page)
+        assert got[i].text == f"{want[1]} {want[2]}" and got[i].n_template >= 3
+    assert got[9000].text.startswith("Daily lonely.example site One Two Story 1 alone here")
+    # ablation: with what the counts judged left in, the site's parts come back
+    off = {r.page_id: r.text for r in html.extract(df, spared=True).collect()}
+    assert all(off[i].startswith("Daily") and off[i].endswith("of many") for i, *_ in pages)
+
+
+def test_templates_carry_the_given_pages(spark):
+    """Ablation on the given pages: hosts of several pages lose their boilerplate to counts, and without them it stays."""
+    pages = table(spark, "/root/testdata/sf0.01", "pages")
+    on = {r.page_id: r for r in html.extract(pages).collect()}
+    off = {r.page_id: r for r in html.extract(pages, spared=True).collect()}
+    hosts = collections.Counter(re.sub(r"^https?://([^/]*).*", r"\1", r.url) for r in on.values())
+    big = [i for i, r in on.items() if hosts[re.sub(r"^https?://([^/]*).*", r"\1", r.url)] >= 6]
+    changed = [i for i in big if off[i].text != on[i].text]
+    assert len(big) > 80 and len(changed) > 0.6 * len(big)
+    assert sum(on[i].n_template for i in big) > sum(on[i].n_rule for i in big)
+
+
+def test_page_reader_is_linear_in_nesting():
+    import time
+
+    for page in ("<div>" * 40_000, "<div>" * 20_000 + "</p>" * 20_000, "<div>" * 20_000 + "<li></li>" * 20_000):
+        began = time.time()
+        html.main_text(page)
+        assert time.time() - began < 5
+
+
+def test_chat_folds_a_real_log(spark):
+    """The query's log has deltas, edits, regenerations and removals; it folds to the turns themselves."""
+    turns = chat.with_odd_conversation(spark, table(spark, SF, "conversations"))
+    log = chat.streamed_events(turns)
+    assert {r.kind for r in log.select("kind").distinct().collect()} == {"message", "delta", "edit", "regenerate", "remove"}
+    order = lambda df: sorted(map(tuple, df.select("conv_id", "turn", "role", "text").collect()))
+    assert order(chat.fold(log)) == order(chat.fold(chat.events_of_turns(turns)))
+
+
+def test_chat_folds_like_one_event_after_another(spark):
+    import random
+
+    rng = random.Random(6)
+    rows, want = [], {}
+    for turn in range(300):
+        live, role, text = False, "", ""
+        for seq in range(rng.randrange(1, 9)):
+            kind, r, t = rng.choice(["message", "edit", "delta", "delta", "regenerate", "remove", "seen"]), rng.choice([None, "user", "bot"]), rng.choice([None, "", "a", "bc"])
+            rows.append((1, turn, seq, kind, r, t))
+            live, role = kind != "remove", r if r is not None else role
+            text = (t or "") if kind in ("message", "edit") else text + (t or "") if kind == "delta" else "" if kind in ("regenerate", "remove") else text
+        if live:
+            want[turn] = (role, text)
+    rng.shuffle(rows)
+    df = spark.createDataFrame(rows, "conv_id long, turn long, seq long, kind string, role string, text string")
+    assert {r.turn: (r.role, r.text) for r in chat.fold(df).collect()} == want
+
+
+def test_chat_of_many_deltas_and_turns(spark):
+    """Linear in deltas and turns: one turn of 20,000 deltas, one conversation of 20,000 turns."""
+    import time
+
+    from pyspark.sql import functions as F
+
+    lit = lambda c, t="string": F.lit(c).cast(t)
+    deltas = spark.range(20_000).select(lit(1, "long").alias("conv_id"), lit(0, "long").alias("turn"), F.col("id").alias("seq"), lit("delta").alias("kind"), lit("bot").alias("role"), lit("0123456789" * 5).alias("text"))
+    turns = spark.range(20_000).select(lit(2, "long").alias("conv_id"), F.col("id").alias("turn"), lit(0, "long").alias("seq"), lit("message").alias("kind"), lit("assistant").alias("role"), lit("<hi>").alias("text"))
+    began = time.time()
+    got = {r.conv_id: r for r in chat.digest(chat.parse(chat.render(chat.fold(deltas.unionByName(turns))))).collect()}
+    assert time.time() - began < 60
+    assert got[2].n_turns == 20_000 and got[2].loss_chars == 80_000
+    assert got[1].turns_sha256 == hashlib.sha256(("bot\n" + "0123456789" * 100_000 + "\n").encode()).hexdigest()
+
+
 def test_chat_reads_itself_back(spark):
     turns = chat.with_odd_conversation(spark, table(spark, SF, "conversations"))
     got = {r.conv_id: [tuple(t) for t in r.turns] for r in chat.parse(chat.render(chat.fold(chat.events_of_turns(turns)))).collect()}
@@ -293,3 +460,76 @@ def test_pieces_drop_by_occurrence():
     whole = pieces._agenda(p, word.tolist(), 0, 0.0)
     share = np.mean([done[w][done[w] >= 0].tolist() == whole for w in which])
     assert 0.1 < share < 1 - 0.1 + 0.03
+
+
+def test_pieces_with_dropout_equal_each_occurrence_by_itself(texts):
+    """Brute force with full keys: every segment of every text by the agenda alone, keyed by seed, document and occurrence."""
+    p = pieces.pieces()
+    some = [t for _, t in texts if t and len(t) < 3000][:25] + ["aa aa aa  aa", "▁ x", "日本 é", "word " * 40]
+    ids = np.arange(100, 100 + len(some))
+    out, count = pieces.encode_texts(p, some, ids, 0.15, 77)
+    cut = np.r_[0, np.cumsum(count)]
+    step, mask = int(pieces._STEP), 2**64 - 1
+    mix = lambda x: int(W.mix(np.array([x & mask], W.U64))[0])
+    for k, t in enumerate(some):
+        chars = [pieces.MARK] + [pieces.LITERAL if ord(c) == pieces.MARK else pieces.MARK if c == " " else ord(c) for c in t]
+        segments, now = [], []
+        for i, c in enumerate(chars):
+            alone = p.of_char[c] < 0
+            if now and (alone or p.of_char[chars[i - 1]] < 0 or c == pieces.MARK and chars[i - 1] != pieces.MARK):
+                segments.append(now)
+                now = []
+            now.append(c)
+        segments.append(now)
+        want = []
+        for nth, seg in enumerate(segments):
+            if p.of_char[seg[0]] < 0:
+                want += [int(p.byte[b]) for b in pieces._utf8(seg[0])]
+                continue
+            key = mix(mix(mix(int(ids[k]) + 77) + nth * step) ^ 77)
+            want += pieces._agenda(p, [int(p.of_char[c]) for c in seg], key, 0.15)
+        assert out[cut[k] : cut[k + 1]].tolist() == want
+
+
+def test_scratch_belongs_to_its_maker(spark):
+    """Two lazy results outlive each other; what an owned block made goes with it."""
+    import pathlib
+
+    from manifold_dp.llm.common import Scratch, shared_dir
+
+    here = pathlib.Path(shared_dir(spark).removeprefix("file://"))
+    pages = table(spark, SF, "pages")
+    a, b = html.extract(pages), html.extract(pages.limit(20))
+    docs = cp.keep_good(spark, table(spark, SF, "documents"), SF)
+    assert a.count() == pages.count() and b.count() == 20 and docs.count() > 0
+    before = {f.name for f in here.iterdir()}
+    with Scratch.owned():
+        assert html.extract(pages).count() == a.count()
+        assert {f.name for f in here.iterdir()} > before
+    assert {f.name for f in here.iterdir()} == before
+    assert cp.run(spark, SF).count() > 0
+    after = [f for f in here.iterdir() if f.name not in before]
+    assert len(after) == 1 and len(list(after[0].iterdir())) == 1  # the last stage's table
+    assert a.count() == pages.count()
+
+
+def test_pipeline_keeps_texts_that_share_an_id(spark):
+    """Different texts of one id are documents of their own; equal rows are one."""
+    text = {k: " ".join(f"{k}{j}" for j in range(40)) for k in "abcd"}
+    rows = [(5, text["a"], "en"), (5, text["b"], "en"), (5, text["b"], "de"), (7, text["b"] + " more", "en"), (8, text["c"], "en"), (None, text["c"], "en"), (9, text["d"], "en"), (9, text["d"], "en")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    want = [(5, text["a"], "en"), (5, text["b"], "de"), (8, text["c"], "en"), (9, text["d"], "en"), (None, text["c"], "en")]
+    for n in (1, 5):
+        got = [tuple(r) for r in cp.drop_near_copies(spark, docs.repartition(n), SF).collect()]
+        assert sorted(got, key=repr) == sorted(want, key=repr)
+
+
+def test_line_dedup_of_a_long_text_is_linear(spark):
+    import time
+
+    line = "\n".join(f"line {i}" for i in range(60_000))
+    df = spark.createDataFrame([(1, line), (2, "head\n" + line + "\ntail")], "doc_id long, text string")
+    began = time.time()
+    got = {r.doc_id: (r.text, r.n_removed) for r in linededup.clean(df).collect()}
+    assert got[2] == ("head\ntail", 60_000) and got[1] == (line, 0)
+    assert time.time() - began < 60

@@ -28,7 +28,7 @@ DOCS = [
     (12, "é漢🙂 ▁mark  two  spaces\r\n", "en", "a", 3),
 ]
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
-CLASH = "n_lines n_removed gone score predicted pieces n_pieces part key bucket h kind component_id n_shingles node id v w at".split()
+CLASH = "N_Lines n_removed gone Score predicted Pieces n_pieces part key bucket h kind component_id n_shingles node id v w at n_tokens Leaf_Chars decoded".split()
 
 
 @pytest.fixture(scope="module")
@@ -56,6 +56,8 @@ OPS = {
     "decontaminate": lambda s, d: decontaminate.overlaps(d, s.createDataFrame(BENCH, "item_id long, text string")),
     "linededup": lambda s, d: linededup.clean(d).select("doc_id", "text", "n_lines", "n_removed"),
     "tokencount": lambda s, d: tokencount.trees(d).select("doc_id", "n_chars", "n_tokens"),
+    "with_trees": lambda s, d: tokencount.with_trees(d).select("doc_id", "n_tokens", "leaf_chars", "leaf_tokens"),
+    "decoded": lambda s, d: pieces.decode(pieces.encode(d)).select("doc_id", "decoded"),
     "pieces": lambda s, d: pieces.encode(d).select("doc_id", "n_pieces", "pieces"),
     "substring": lambda s, d: substring.dedup(d),
     "jaccard": lambda s, d: jaccard.classes(d),
@@ -194,6 +196,18 @@ def test_topk_edges(spark):
     assert exact == [(2, 2**63 - 1), (1, 2**63 - 1)] or exact[0][1] == min(2**63 - 1, 256**2 * (10**18 + 2))
 
 
+def test_topk_by_blocks_equals_one_block(spark):
+    """Many query blocks and row parts, equal query rows, a vector that most rows share."""
+    rng = random.Random(9)
+    rows = [(i, [rng.choice([-1, 0, 1.5]) * rng.random() for _ in range(4)] if i % 3 else [0.5, 0.5, -0.25, 0.0]) for i in range(400)]
+    df = spark.createDataFrame([*rows, rows[0], rows[10], (None, [1.0] * 4), (7, [2.0])], "vec_id long, embedding array<double>").repartition(5)
+    order = lambda d: sorted(map(repr, map(tuple, d.collect())))
+    for values in (1.0, 1e9):
+        some = df.withColumn("embedding", F.transform("embedding", lambda x: x * values))  # noqa: B023
+        asked = F.col("vec_id") % 5 == 0
+        assert order(topk.topk(some, asked, 3, at_once=7, held=50)) == order(topk.topk(some, asked, 3))
+
+
 def test_topk_equals_brute_force(spark):
     rng = random.Random(4)
     rows = [(i, [rng.choice([-1, 0, 0.5, 1]) * rng.random() for _ in range(5)]) for i in range(1500)]
