@@ -170,16 +170,19 @@ def odd_at_least(n: float) -> int:
     return n
 
 
-#: Keys at most that ``join_hot`` sends to all tasks.
-HOT_KEYS = 2000
+#: Rows up to which a table is sent to all tasks; keys at most that ``join_hot`` sends of a larger one.
+SMALL, HOT_KEYS = 100_000, 2000
 
 
 def join_hot(left: DataFrame, right: DataFrame, on: list[str], rows: str, total: int) -> DataFrame:
     """Inner join with ``right``, which has one row a key and in ``rows`` how many rows of ``left`` have it, of ``total``.
 
-    Keys of more than one in ``HOT_KEYS`` rows, of which there are fewer than that, are sent to
-    all tasks, so that no task gets all rows of a frequent key; the others meet by shuffle.
+    ``right`` has no more than ``total`` rows; up to ``SMALL`` it is sent to all tasks. Else
+    keys of more than one in ``HOT_KEYS`` rows, of which there are fewer than that, are, so that
+    no task gets all rows of a frequent key; the others meet by shuffle.
     """
+    if total <= SMALL:
+        return left.join(F.broadcast(right.drop(rows)), on)
     hot = F.broadcast(right.where(F.col(rows) > total // HOT_KEYS).drop(rows))
     rest = right.where(F.col(rows) <= total // HOT_KEYS).drop(rows)
     return left.join(hot, on).unionByName(left.join(hot, on, "left_anti").join(rest, on))

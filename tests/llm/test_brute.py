@@ -533,3 +533,16 @@ def test_line_dedup_of_a_long_text_is_linear(spark):
     got = {r.doc_id: (r.text, r.n_removed) for r in linededup.clean(df).collect()}
     assert got[2] == ("head\ntail", 60_000) and got[1] == (line, 0)
     assert time.time() - began < 60
+
+
+def test_join_hot_equals_a_join(spark, monkeypatch):
+    """Sent whole, or only its frequent keys."""
+    from manifold_dp.llm import common
+
+    left = spark.createDataFrame([(i % 7 if i % 2 else 3, i) for i in range(400)], "k long, v long")
+    right = left.groupBy("k").count().where("k <> 5").withColumnRenamed("count", "n")
+    want = sorted(map(tuple, left.where("k <> 5").collect()))
+    for small, keys in ((1000, 2000), (0, 4), (0, 1)):
+        monkeypatch.setattr(common, "SMALL", small)
+        monkeypatch.setattr(common, "HOT_KEYS", keys)
+        assert sorted(map(tuple, common.join_hot(left, right, ["k"], "n", 400).select("k", "v").collect())) == want
