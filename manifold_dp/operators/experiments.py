@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources import cut, drop, known_width
+from ..sources import cut, known_width
 from . import arrays, baselines, features, metrics, noise, retrieval, sensitivity
 from .kernel import DenseOp, FeatureMapOp, SparseOp
 from .release import free_steps, labels_for, release_then_iterate
@@ -95,12 +95,17 @@ def measured(spark: SparkSession, sets: dict[str, DataFrame], arms: list[dict])
     return [a | row for a in arms for row in _distributed(sets[a["set"]], a)]
 
 
-def class_picture(spark: SparkSession, sf_dir: str, steps: int = 3, m: int = 2, sigma: float = 0.1, alpha: float = 0.1) -> DataFrame:
-    """Coordinates after three steps, and how far classes part before and after (W1)."""
+def class_picture(spark: SparkSession, sf_dir: str, steps: int = 3, m: int = 2, sigma: float = 0.1, alphas: tuple[float, ...] = (0.0, 0.1)) -> DataFrame:
+    """Coordinates after three steps, and how far classes part before and after, without and with the label term (W1)."""
     p = points_of(spark, sf_dir, "emb_planted")
-    r = run(p, m, sigma, alpha, steps, rescale=True, keep=True)
-    ratio = [metrics.separation(v, p) for v in (r.steps[0], r.v)]
-    return r.v.join(p.select("id", "label"), "id").select("id", "label", F.element_at("v", 1).alias("x1"), F.element_at("v", 2).alias("x2"), F.lit(ratio[0]).alias("separation_start"), F.lit(ratio[1]).alias("separation_end"))
+    out = None
+    for alpha in alphas:
+        r = run(p, m, sigma, alpha, steps, rescale=True, keep=True)
+        start, end = (metrics.separation(v, p) for v in (r.steps[0], r.v))
+        rows = r.v.join(p.select("id", "label"), "id")
+        rows = rows.select("id", "label", F.lit(alpha).alias("alpha"), F.element_at("v", 1).alias("x1"), F.element_at("v", 2).alias("x2"), F.lit(start).alias("separation_start"), F.lit(end).alias("separation_end"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 def convergence(spark: SparkSession, sf_dir: str, steps: int = 10, sigma: float = 0.1, alpha: float = 0.0, sets: tuple[str, ...] = SETS, m: int = 16) -> DataFrame:
@@ -211,7 +216,7 @@ def _shuffled(spark: SparkSession) -> int:
     return sum(every.apply(i).totalShuffleWrite() for i in range(every.size()))
 
 
-def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None, m: int = 16, sigma: float = 4.0, neighbours: int = 8, features_: int = 256) -> DataFrame:
+def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None, m: int = 16, sigma: float = 4.0, neighbours: int = 8, features_: int = 64) -> DataFrame:
     """Seconds and shuffled bytes of one product by operator and rows, the graph given (W7).
 
     Ids are multiplied, so features stay real, and the sparse graph is that of one copy in
@@ -226,9 +231,9 @@ def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None
     out = []
     for c in copies or growing(n):
         copy = F.explode(F.sequence(F.lit(0), F.lit(c - 1)))
-        p = cut(base.withColumn("c", copy).select((F.col("id") * c + F.col("c")).alias("id"), "x", "label", "role"), "p")
-        v = known_width(cut(p.select("id", F.array(*(F.randn(k) for k in range(m))).alias("v")), "v"), m)
-        e = cut(graph.withColumn("c", copy).select((F.col("i") * c + F.col("c")).alias("i"), (F.col("j") * c + F.col("c")).alias("j"), "w"), "edges")
+        p = base.withColumn("c", copy).select((F.col("id") * c + F.col("c")).alias("id"), "x")
+        v = known_width(p.select("id", F.array(*(F.randn(k) for k in range(m))).alias("v")), m)
+        e = graph.withColumn("c", copy).select((F.col("i") * c + F.col("c")).alias("i"), (F.col("j") * c + F.col("c")).alias("j"), "w")
         ops = {"feature_map": (FeatureMapOp(sigma, features_), n * c * features_), "sparse_knn": (SparseOp(sigma, knn=neighbours, edges=e), edges * c)}
         if n * c <= LARGEST_DENSE:
             ops["dense"] = (DenseOp(sigma), (n * c) ** 2)
@@ -238,7 +243,6 @@ def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None
             built = time.time()
             bound.apply(v).agg(F.sum("deg"), F.sum(F.element_at("wv", 1))).first()
             out.append({"op": name, "rows": n * c, "terms": terms, "build_s": built - began, "product_s": time.time() - built, "shuffle_bytes": _shuffled(spark) - before})
-        drop(spark, p, v, e)
     return _table(spark, out)
 
 

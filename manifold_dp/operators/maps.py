@@ -40,20 +40,20 @@ def times(v: DataFrame, by: np.ndarray, col: str = "v", shift: np.ndarray | None
 def spectral(points: DataFrame, sigma: float, m: int, op: Op | None = None, iterations: int = 30, seed: int = 1, power: float | None = None) -> tuple[DataFrame, list[float]]:
     """The m smallest non-trivial solutions of L u = lambda D u, with u' D u = 1, and their lambdas.
 
-    Subspace iteration on half (I + D^-1 W): each round is one product and one aggregate
-    of m x m sums. ``power`` weighs each by (1 - lambda)^power: the diffusion map.
+    Subspace iteration on half (I + D^-1 W): each round is one product, every third one an
+    aggregate of m x m sums. ``power`` weighs each by (1 - lambda)^power: the diffusion map.
     """
     spark = points.sparkSession
     op = (op or DenseOp(sigma)).over(points)
     k = m + 1
-    v = known_width(cut(start_matrix(points, k, 1.0, seed), "v"), k)
-    for _ in range(iterations):
+    v, last = start_matrix(points, k, 1.0, seed), None
+    for t in range(1, iterations + 1):
         new = F.zip_with("v", "wv", lambda a, b: F.when(F.col("deg") > 0, (a + b / F.col("deg")) / 2).otherwise(a))
         moved = known_width(cut(op.apply(v).select("id", "deg", new.alias("v")), "v"), k)
-        drop(spark, v)
-        q = np.linalg.cholesky(gram(moved, weight=F.col("deg")) + 1e-300 * np.eye(k))
-        v = known_width(cut(times(moved.select("id", "v"), np.linalg.inv(q).T), "v"), k)
-        drop(spark, moved)
+        drop(spark, last)
+        v, last = known_width(moved.select("id", "v"), k), moved
+        if t % 3 == 0 or t == iterations:  # orthogonal again, as a narrow map of what was written
+            v = times(v, np.linalg.inv(np.linalg.cholesky(gram(moved, weight=F.col("deg")) + 1e-300 * np.eye(k))).T)
     a = gram(known_width(known_width(laplacian_product(op, v), k), k, "lv"), "v", "lv")
     values, rotate = np.linalg.eigh((a + a.T) / 2)
     rotate = rotate[:, 1:]

@@ -306,6 +306,27 @@ def test_tsne_by_neighbours(some):
     assert metrics.precision_at(retrieval.knn(near, near, 5), p, 5) > 0.95
 
 
+def test_projections_find_most_edges(some):
+    """A graph by random projections is a part of the exact one, with the same weights."""
+    exact = {(r.i, r.j): r.w for r in SparseOp(1.0, theta=0.3).over(some).edges.collect()}
+    found = {(r.i, r.j): r.w for r in SparseOp(1.0, theta=0.3, mode="lsh").over(some).edges.collect()}
+    assert found.keys() <= exact.keys() and len(found) > 0.9 * len(exact)
+    assert all(w == pytest.approx(exact[k]) for k, w in found.items())
+
+
+def test_early_stop_ends_at_the_tolerance(some):
+    r = run(some, 3, 0.5, 0.0, 30, tol=0.05, rescale=True)
+    true = [x["objective"] * math.exp(2 * x["log_scale"]) for x in r.log]
+    change = [abs(b - a) / abs(a) for a, b in zip(true, true[1:], strict=False)]
+    assert change[-1] <= 0.05 or len(r.log) == 31
+    assert all(c > 0.05 for c in change[:-1])
+
+
+def test_library_text_features_have_unit_length(spark, sf):
+    rows = features.ml_text_features(spark, sf, 16).select(F.aggregate("x", F.lit(0.0), lambda s, z: s + z * z).alias("n")).distinct().collect()
+    assert all(r.n == pytest.approx(1.0) or r.n == 0.0 for r in rows)
+
+
 def test_membership_attack_stays_under_its_limit(spark):
     rows = experiments.membership_attack(spark, "/root/testdata/sf0.001", (0.5, 2.0), 200).collect()
     assert all(r.advantage <= r.limit + 0.12 for r in rows)
