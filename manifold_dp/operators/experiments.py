@@ -228,6 +228,8 @@ def cost(spark: SparkSession, sf_dir: str, copies: tuple[int, ...] | None = None
     n = base.count()
     graph = SparseOp(sigma, knn=neighbours).over(base).edges
     edges = graph.count()
+    tasks = 2 * spark.sparkContext.defaultParallelism  # one small file each would be one task
+    base, graph = base.repartition(tasks, "id"), graph.repartition(tasks, "i", "j")
     out = []
     for c in copies or growing(n):
         copy = F.explode(F.sequence(F.lit(0), F.lit(c - 1)))

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from ..functions import gauss_weight
 from ..sources import cut, known_width, sized, width
 from .arrays import normals, product, uniforms, weights
-from .neighbours import as_vector, knn, lists, matrix, summed, vector_sum
+from .neighbours import as_vector, dealt, knn, lists, matrix, summed, vector_sum
 
 #: Bytes that may be sent to every task; beyond it, the block form is used.
 BROADCAST = 64 << 20
@@ -140,7 +140,7 @@ class DenseOp(Op):
                     deg, wv = product(own, matrix(b.column(1), b.num_rows)[here], ids, x, v, sigma)
                     yield pa.RecordBatch.from_arrays([pa.array(own), lists(v[np.searchsorted(at, own)]), pa.array(deg), lists(wv)], _NAMES)
 
-        return self.points.mapInArrow(multiply, PRODUCT)
+        return dealt(self.points, self.n**2).mapInArrow(multiply, PRODUCT)
 
     def _blocks(self, v: DataFrame | None, m: int) -> DataFrame:
         n = max(1, -(-self.n // self.block))

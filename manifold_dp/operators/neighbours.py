@@ -56,6 +56,16 @@ def summed(df: DataFrame, f: Callable[[pa.RecordBatch], np.ndarray], rows: int,
     return out
 
 
+#: Pairs of rows that one task compares, about; rows that may be dealt anew for that.
+SHARE, FEW = 20_000_000, 200_000
+
+
+def dealt(rows: DataFrame, pairs: int) -> DataFrame:
+    """Rows of a table of bounded size over as many tasks as their pairs make worthwhile: a small file would be one."""
+    tasks = min(-(-pairs // SHARE), 4 * rows.sparkSession.sparkContext.defaultParallelism)
+    return rows.repartition(tasks, "id") if tasks > 1 else rows
+
+
 def _rows_of(qid: np.ndarray, ids: np.ndarray, dist: np.ndarray) -> list[pa.Array]:
     there = np.isfinite(dist)
     return [pa.array(np.broadcast_to(qid[:, None], ids.shape)[there]), pa.array(ids[there]), pa.array(dist[there])]
@@ -91,7 +101,8 @@ def knn(queries: DataFrame, rows: DataFrame, k: int, metric: str = "l2", skip_se
             if best is not None:
                 yield pa.RecordBatch.from_arrays(_rows_of(qid, *best), names)
 
-        found = rows.mapInArrow(search, FOUND)
+        few = rows.limit(FEW + 1).count()
+        found = (dealt(rows, n * few) if few <= FEW else rows).mapInArrow(search, FOUND)
     else:
         blocks = -(-n // QUERIES)
         parts = max(1, -(-rows.count() // ROWS))
@@ -111,4 +122,4 @@ def knn(queries: DataFrame, rows: DataFrame, k: int, metric: str = "l2", skip_se
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-__all__ = ["LAST", "as_vector", "knn", "lists", "matrix", "summed", "vector_sum", "width"]
+__all__ = ["LAST", "as_vector", "dealt", "knn", "lists", "matrix", "summed", "vector_sum", "width"]
